@@ -1,0 +1,6 @@
+"""Registered queries of the library itself and their DuckDB oracles."""
+
+from __future__ import annotations
+
+QUERIES: dict = {}
+ORACLES: dict = {}
