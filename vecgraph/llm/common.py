@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -31,3 +34,12 @@ def raw(batch: pa.RecordBatch, name: str = "text") -> list:
 
 def strings(batch: pa.RecordBatch, name: str = "text") -> list:
     return column(batch, name).to_pylist()
+
+
+def slices(n: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
+    """Cut a list of sizes into runs whose sum is at most `most` (or of one element)."""
+    ends, lo = np.cumsum(n), 0
+    while lo < len(n):
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + most, "right")))
+        yield lo, hi
+        lo = hi

@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import ship
 
-from .common import column, id_text, raw
+from .common import column, id_text, raw, slices
 
 #: Tokens of test items held by each task at once.
 BLOCK_TERMS = 2_000_000
@@ -127,7 +127,7 @@ class Shard:
         lists = self.df[t.tokens[anchor]] if len(anchor) else np.empty(0, np.int64)
         found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         size = np.diff(t.start)
-        for lo, hi in _slices(lists, 4_000_000):
+        for lo, hi in slices(lists, 4_000_000):
             a, n = anchor[lo:hi], lists[lo:hi]
             place = np.repeat(a, n)
             pos = self.postings[np.repeat(self.first[t.tokens[a]], n) + _ramp(n)] % self.length
@@ -180,14 +180,6 @@ def _ramp(n: np.ndarray) -> np.ndarray:
     return np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
 
 
-def _slices(n: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
-    ends, lo = np.cumsum(n), 0
-    while lo < len(n):
-        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + most, "right")))
-        yield lo, hi
-        lo = hi
-
-
 def _shards(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, list]]:
     for b in batches:
         ids, texts = column(b, "doc_id").to_pylist(), raw(b)

@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, langid, secrets, topk, urlfilter
+from . import bpe, decontaminate, fmindex, langid, linededup, secrets, simhash, suffixarray, topk, urlfilter
 from .common import table
 
 #: Where the public tokenizers' files lie; a parameter, nothing is copied.
@@ -44,6 +44,30 @@ def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.secret_digest(table(spark, sf_dir, "documents"))
 
 
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return linededup.dedup_digest(table(spark, sf_dir, "documents"))
+
+
+OP3_SQL = r"""
+WITH l AS (
+  SELECT doc_id, source, pos, line, trim(line, ' ') AS key
+  FROM (SELECT doc_id, source, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS pos FROM documents)),
+b AS (
+  SELECT key, min(doc_id) AS first FROM l WHERE length(key) >= 16
+  GROUP BY key HAVING count(DISTINCT coalesce('s' || source, '')) >= 10),
+j AS (
+  SELECT l.doc_id, l.pos, l.line,
+         b.key IS NOT NULL AND NOT (b.first = l.doc_id AND row_number() OVER (PARTITION BY l.doc_id, l.key ORDER BY l.pos) = 1) AS cut
+  FROM l LEFT JOIN b ON l.key = b.key),
+a AS (
+  SELECT doc_id, count(*) AS n_lines, count(*) FILTER (cut) AS n_cut,
+         coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (NOT cut), '') AS kept
+  FROM j GROUP BY doc_id)
+SELECT d.doc_id, coalesce(a.n_lines, 0) AS n_lines, coalesce(a.n_cut, 0) AS n_cut, sha256(coalesce(a.kept, '')) AS kept_sha256
+FROM documents d LEFT JOIN a ON d.doc_id = a.doc_id
+"""
+
+
 def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = langid.fit(docs.where(~langid.held_out(F.col("doc_id"))))
@@ -68,6 +92,10 @@ SELECT * FROM r WHERE rank <= 5
 """
 
 
+def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.near_duplicates(table(spark, sf_dir, "documents"), shingle=4, distance=4)
+
+
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contamination_digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -76,12 +104,24 @@ def op8_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digest(table(spark, sf_dir, "documents"), os.path.join(TOKENIZERS, "word_bpe_49k.json"))
 
 
+def op9_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixarray.kept_digest(table(spark, sf_dir, "documents"), window=400)
+
+
+def op10_fm_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fmindex.kept_digest(table(spark, sf_dir, "documents"), window=35)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_url_filter": op1_url_filter,
     "op2_secret_scan": op2_secret_scan,
+    "op3_line_dedup": op3_line_dedup,
     "op4_language_id": op4_language_id,
     "op5_exact_topk": op5_exact_topk,
+    "op6_simhash": op6_simhash,
     "op7_decontamination": op7_decontamination,
     "op8_bpe": op8_bpe,
+    "op9_suffix_array": op9_suffix_array,
+    "op10_fm_index": op10_fm_index,
 }
-ORACLES: dict[str, str] = {"op1_url_filter": OP1_SQL, "op5_exact_topk": OP5_SQL}
+ORACLES: dict[str, str] = {"op1_url_filter": OP1_SQL, "op3_line_dedup": OP3_SQL, "op5_exact_topk": OP5_SQL}
