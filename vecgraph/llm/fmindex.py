@@ -24,7 +24,7 @@ from .common import column, raw
 from .windows import list_spans, merged, removed_spans
 
 #: Words whose hash is the key of a window.
-GRAM = 18
+GRAM = 15
 
 
 class Wavelet:
