@@ -30,10 +30,14 @@ def adc(lut: Column, code: Column) -> Column:
     return total(F.zip_with(lut, code, lambda row, k: F.get(row, k)))
 
 
+def let(value: Column, f) -> Column:
+    """f of a value that is computed once, however often f names it."""
+    return F.get(F.transform(F.array(value), f), F.lit(0))
+
+
 def softmax(xs: Column) -> Column:
-    top = F.array_max(xs)
-    e = F.transform(xs, lambda x: F.exp(x - top))
-    return F.transform(e, lambda x: x / total(e))
+    shifted = lambda v: let(F.array_max(v), lambda top: F.transform(v, lambda x: F.exp(x - top)))
+    return let(let(xs, shifted), lambda e: let(total(e), lambda t: F.transform(e, lambda x: x / t)))
 
 
 def unit_uniform(*parts: Column) -> Column:

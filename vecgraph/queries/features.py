@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from vecgraph.functions.columns import d2
+from vecgraph.functions.columns import d2, softmax
 from vecgraph.measures import recall
 from vecgraph.operators import exact, quantize
 from vecgraph.operators import features as X
@@ -178,11 +178,10 @@ HOP = f"hp AS MATERIALIZED (SELECT qid, step, vid, e / sum(e) OVER (PARTITION BY
 
 
 def _hop(t):
-    cand = F.filter("cands", lambda c: ~c["seen"])
-    low = F.array_min(F.transform(cand, lambda c: c["d2"]))
-    e = F.transform(cand, lambda c: F.struct(c["vid"].alias("vid"), F.exp(-(c["d2"] - low) / TAU).alias("e")))
-    total = F.aggregate(e, F.lit(0.0), lambda a, x: a + x["e"])
-    return t.where("next_vid is not null").select("qid", "step", F.explode(F.transform(e, lambda x: F.struct(x["vid"].alias("vid"), (x["e"] / total).alias("p")))).alias("h")).select("qid", "step", "h.vid", "h.p")
+    cand = t.where("next_vid is not null").select("qid", "step", F.filter("cands", lambda c: ~c["seen"]).alias("c"))
+    p = softmax(F.transform("c", lambda c: -c["d2"] / TAU))
+    both = cand.select("qid", "step", F.explode(F.arrays_zip(F.transform("c", lambda c: c["vid"]).alias("vid"), p.alias("p"))).alias("h"))
+    return both.select("qid", "step", F.col("h.vid").alias("vid"), F.col("h.p").alias("p"))
 
 
 @query(sql(*WALK, TRACES, OPEN, HOP, "SELECT qid, step, vid, round(p, 6) AS p FROM hp"))
