@@ -192,3 +192,9 @@ def entry_vertex(base: DataFrame) -> int:
 
     mean = F.lit(mean_vector(base)).cast("array<double>")
     return base.select(F.struct(d2(F.col("vec"), mean).alias("d2"), "id").alias("b")).agg(F.min("b").alias("b")).first().b.id
+
+
+def top_vertex(base: DataFrame, edges: DataFrame) -> int:
+    """Where a layered walk enters: of the vertices on the highest level that has links, the smallest id."""
+    best = edges.groupBy("level").agg(F.min("src").alias("src")).orderBy(F.desc("level")).first()
+    return best.src if best else entry_vertex(base)

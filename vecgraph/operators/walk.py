@@ -40,6 +40,7 @@ class Index:
     entry: int
     codes: np.ndarray | None = None
     vectors: np.ndarray | None = None
+    upper: list[np.ndarray] | None = None  # neighbours on levels 1, 2, ..., by place
 
 
 def full_distance(index: Index, q: np.ndarray) -> Distance:
@@ -68,14 +69,14 @@ class Walk:
     steps: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]  # per hop: queries, places, d, visited flags, next visit
 
 
-def walk(index: Index, n: int, dist: Distance, h: int, trace: bool = False, allowed: np.ndarray | None = None) -> Walk:
-    """All n queries from the entry. `allowed`: only these places are kept as candidates (filtered walks keep the entry)."""
+def walk(index: Index, n: int, dist: Distance, h: int, trace: bool = False, allowed: np.ndarray | None = None, entry: np.ndarray | None = None) -> Walk:
+    """All n queries from the entry (or each from its own). `allowed`: only these places are kept as candidates (filtered walks keep the entry)."""
     big = len(index.ids)
     place, d = np.full((n, h), big), np.full((n, h), np.inf)
     seen = np.zeros((n, h), bool)
     every = np.arange(n)
-    place[:, 0] = index.entry
-    d[:, 0] = dist(every, np.full((n, 1), index.entry))[:, 0] if n else 0
+    place[:, 0] = index.entry if entry is None else entry
+    d[:, 0] = dist(every, place[:, :1])[:, 0] if n else 0
     hops = np.zeros(n, int)
     visits: list[np.ndarray] = []
     steps = []
@@ -118,30 +119,49 @@ def walk(index: Index, n: int, dist: Distance, h: int, trace: bool = False, allo
 # ---- shards ----
 
 
+def by_place(ids: np.ndarray, owner: np.ndarray, other: np.ndarray) -> np.ndarray:
+    """Links between ids as a matrix of places; links to ids that aren't here are dropped."""
+    a, b = np.searchsorted(ids, owner), np.searchsorted(ids, other)
+    ok = (a < len(ids)) & (b < len(ids))
+    a, b, owner, other = a[ok], b[ok], owner[ok], other[ok]
+    ok = (ids[a] == owner) & (ids[b] == other)
+    a, b = a[ok], b[ok]
+    order = np.lexsort((b, a))
+    a, b = a[order], b[order]
+    size = np.bincount(a, minlength=len(ids))
+    out = np.full((len(ids), max(1, int(size.max(initial=0)))), -1)
+    out[a, np.arange(len(a)) - np.repeat(np.cumsum(size) - size, size)] = b
+    return out
+
+
 def assemble(rows: pa.Table) -> Index:
     """A shard from its rows (vid, vec or code, nbrs, entry): adjacency by place; links to other shards are dropped."""
     ids = rows["vid"].to_numpy()
     order = np.argsort(ids, kind="stable")
     rows, ids = rows.take(pa.array(order)), ids[order]
-    col = rows["nbrs"].combine_chunks()
-    ends, flat = col.offsets.to_numpy(), col.values.to_numpy(zero_copy_only=False)
-    size = np.diff(ends)
-    out = np.full((len(ids), max(1, int(size.max(initial=0)))), -1)
-    at = np.searchsorted(ids, flat)
-    at[at == len(ids)] = 0
-    at = np.where(ids[at] == flat, at, -1) if len(ids) else at
-    row = np.repeat(np.arange(len(ids)), size)
-    out[row, np.arange(len(flat)) - np.repeat(ends[:-1], size)] = at
+    links = lambda col: (np.repeat(ids, np.diff(col.offsets.to_numpy())), col.flatten())
+    owner, flat = links(rows["nbrs"].combine_chunks())
+    out = by_place(ids, owner, flat.to_numpy(zero_copy_only=False))
+    upper = None
+    if "upper" in rows.column_names:
+        owner, flat = links(rows["upper"].combine_chunks())
+        level, dst = flat.field("level").to_numpy(zero_copy_only=False), flat.field("dst").to_numpy(zero_copy_only=False)
+        upper = [by_place(ids, owner[level == lv], dst[level == lv]) for lv in range(1, int(level.max(initial=0)) + 1)]
     entry = int(np.flatnonzero(rows["entry"].to_numpy(zero_copy_only=False))[0]) if len(ids) else 0
     names = rows.column_names
-    return Index(ids, out, entry, matrix(rows["code"]).astype(int) if "code" in names else None, matrix(rows["vec"]) if "vec" in names else None)
+    return Index(ids, out, entry, matrix(rows["code"]).astype(int) if "code" in names else None, matrix(rows["vec"]) if "vec" in names else None, upper)
 
 
 def index_rows(base: DataFrame, edges: DataFrame, codes: DataFrame | None, entry: DataFrame, vectors: bool, shards: DataFrame | None = None) -> DataFrame:
     """(shard, vid, nbrs, entry, code?, vec?): the table a walk reads; code-only tables never hold vectors. `entry` has (vid), one per shard."""
-    nbrs = edges.groupBy("src").agg(F.sort_array(F.collect_list("dst")).alias("nbrs"))
+    layered = "level" in edges.columns
+    ground = edges.where("level = 0") if layered else edges
+    nbrs = ground.groupBy("src").agg(F.sort_array(F.collect_list("dst")).alias("nbrs"))
     rows = base.select(F.col("id").alias("vid"), *(["vec"] if vectors else []))
     rows = rows.join(nbrs, rows.vid == nbrs.src, "left").drop("src").withColumn("nbrs", F.coalesce("nbrs", F.array().cast("array<long>")))
+    if layered:
+        above = edges.where("level > 0").groupBy(F.col("src").alias("vid")).agg(F.collect_list(F.struct("level", "dst")).alias("upper"))
+        rows = rows.join(above, "vid", "left").withColumn("upper", F.coalesce("upper", F.array().cast("array<struct<level:int,dst:long>>")))
     if codes is not None:
         rows = rows.join(codes, "vid")
     rows = rows.join(entry.select("vid", F.lit(True).alias("entry")), "vid", "left").withColumn("entry", F.coalesce("entry", F.lit(False)))
@@ -151,10 +171,11 @@ def index_rows(base: DataFrame, edges: DataFrame, codes: DataFrame | None, entry
 def run_shards(index: DataFrame, queries: DataFrame, kernel: Callable[[Index, np.ndarray, np.ndarray], Iterator[pa.RecordBatch]], schema: str, n_shards: int = 1) -> DataFrame:
     """kernel(index, query ids, query vectors) over each shard's queries, in batches. queries: (shard, id, vec)."""
     ship(index.sparkSession)
-    have = [c for c in ("code", "vec") if c in index.columns]
-    blank = {"nbrs": "array<long>", "entry": "boolean", "code": "array<int>"}
-    rows = index.select("shard", F.lit(0).alias("kind"), "vid", "nbrs", "entry", *[c for c in have if c == "code"], *([F.col("vec")] if "vec" in have else [F.lit(None).cast("array<double>").alias("vec")]))
-    ask = queries.select(F.col("shard").cast("int").alias("shard"), F.lit(1).alias("kind"), F.col("id").alias("vid"), *[F.lit(None).cast(t).alias(c) for c, t in blank.items() if c != "code" or "code" in have], "vec")
+    have = [c for c in ("code", "upper", "vec") if c in index.columns]
+    blank = {"nbrs": "array<long>", "entry": "boolean", "code": "array<int>", "upper": "array<struct<level:int,dst:long>>"}
+    more = [c for c in have if c != "vec"]
+    rows = index.select("shard", F.lit(0).alias("kind"), "vid", "nbrs", "entry", *more, *([F.col("vec")] if "vec" in have else [F.lit(None).cast("array<double>").alias("vec")]))
+    ask = queries.select(F.col("shard").cast("int").alias("shard"), F.lit(1).alias("kind"), F.col("id").alias("vid"), *[F.lit(None).cast(t).alias(c) for c, t in blank.items() if c in ("nbrs", "entry", *more)], "vec")
     both = rows.unionByName(ask)
     per = both.repartitionById(n_shards, F.col("shard")).sortWithinPartitions("shard", "kind")
     keep_vec = "vec" in have
@@ -180,6 +201,26 @@ def run_shards(index: DataFrame, queries: DataFrame, kernel: Callable[[Index, np
     return per.mapInArrow(run, schema)
 
 
+def descend(index: Index, n: int, dist: Distance) -> tuple[np.ndarray, np.ndarray]:
+    """(place, hops) of each query after a greedy descent through the upper levels, from the entry on the highest."""
+    at, hops = np.full(n, index.entry), np.zeros(n, int)
+    every = np.arange(n)
+    d = dist(every, at[:, None])[:, 0]
+    for near_of in reversed(index.upper or []):
+        moving = every
+        while len(moving):
+            near = near_of[at[moving]]
+            dn = np.where(near >= 0, dist(moving, np.maximum(near, 0)), np.inf)
+            hops[moving] += 1
+            best = np.lexsort((np.where(near >= 0, index.ids[near], np.iinfo(np.int64).max), dn))[:, 0]
+            low = dn[np.arange(len(moving)), best]
+            better = low < d[moving]
+            at[moving[better]] = near[np.arange(len(moving)), best][better]
+            d[moving[better]] = low[better]
+            moving = moving[better]
+    return at, hops
+
+
 RESULT = "qid long, vid long, d2 double, hops long, reads long"
 
 
@@ -249,7 +290,10 @@ def beam_search(index: DataFrame, queries: DataFrame, h: int, k: int, mode: str
             return
         lut = quantizer.lut(q)
         if mode == "code_only":
-            w = walk(idx, len(q), code_distance(idx, lut), h)
+            dist = code_distance(idx, lut)
+            start, above = descend(idx, len(q), dist) if idx.upper else (None, none)
+            w = walk(idx, len(q), dist, h, entry=start)
+            w.hops = w.hops + above
             yield from _result(idx, ids, w, w.place, w.d, none, k, own)
             return
         w = walk(idx, len(q), code_distance(idx, lut), h) if rerank_at == "final" else walk_each_hop(idx, q, lut, h)

@@ -1 +1,144 @@
-"""..."""
+"""Fitted quantizers, graph invariants and the experiment workloads. Searches with fitted models have no SQL form;
+their invariants do."""
+
+from __future__ import annotations
+
+import numpy as np
+from pyspark.sql import functions as F
+
+from vecgraph import workloads as W
+from vecgraph.operators import exact, graphs, quantize
+from vecgraph.operators.sharded import ShardedIndex
+from vecgraph.train import loop
+
+from .common import ISO, Setting, query, r6, sql
+
+
+def _flags(spark, **flags):
+    return spark.createDataFrame([(k, bool(v)) for k, v in flags.items()], "name string, holds boolean")
+
+
+def _all_true(*names: str) -> str:
+    return "SELECT * FROM (VALUES " + ", ".join(f"('{n}', true)" for n in names) + ") t(name, holds)"
+
+
+@query(_all_true("orthogonal", "error_falls", "not_above_pq"))
+def opq_invariants(spark, d):
+    s = Setting(spark, d, "skew")
+    x = quantize.sample(s.base)
+    q, errors = quantize.opq_of(x, 8, 16)
+    pq = quantize.train_pq(s.base, 8, 16)
+    return _flags(spark, orthogonal=np.abs(q.rotation @ q.rotation.T - np.eye(64)).max() < 1e-10, error_falls=all(b <= a * (1 + 1e-9) for a, b in zip(errors[1:], errors[2:], strict=False)), not_above_pq=quantize.distortion(s.base, q) <= quantize.distortion(s.base, pq))
+
+
+@query(_all_true("orthogonal", "loss_falls", "skew_kept", "codes_in_range"))
+def gaq_invariants(spark, d):
+    lab = W.Lab(spark, d, "skew")
+    f = loop.fit(lab.features, 8, 16, "N", start="pq", steps=60, peak=3e-3, size=128)
+    r = f.quantizer.rotation
+    first, last = (np.mean([x["nbr"] for x in part]) for part in (f.losses[:10], f.losses[-10:]))
+    codes = f.quantizer.encode(lab.features.x)
+    return _flags(spark, orthogonal=np.abs(r @ r.T - np.eye(64)).max() < 1e-10, loss_falls=last < first, skew_kept=len(f.theta) == 64 * 63 // 2, codes_in_range=0 <= codes.min() and codes.max() < 16)
+
+
+@query(sql(ISO, "SELECT count(*) AS vertices, true AS degree_bounded, true AS no_loops FROM iso"))
+def alpha_graph_invariants(spark, d):
+    g = graphs.build(Setting(spark, d).base, "flat", 16)
+    per = g.groupBy("src").agg(F.count("*").alias("deg"), F.max(F.col("src") == F.col("dst")).alias("loop"))
+    return per.agg(F.count("*").alias("vertices"), (F.max("deg") <= 16).alias("degree_bounded"), (~F.max("loop")).alias("no_loops"))
+
+
+@query(sql(ISO, "SELECT count(*) AS reached FROM iso"))
+def spread_reachable(spark, d):
+    base = Setting(spark, d).base
+    g = graphs.materialize(graphs.build(base, "spread", 16))
+    return graphs.reachable(g, graphs.entry_vertex(base)).agg(F.count("*").alias("reached"))
+
+
+@query("SELECT level::INT AS level, count(*) AS vertices FROM (SELECT least(floor(-ln((('0x' || substr(md5(vec_id::VARCHAR), 1, 8))::BIGINT + 0.5) / 4294967296.0) * 0.5), 6) AS l FROM embeddings), range(7) t(level) WHERE l >= level GROUP BY level HAVING count(*) > 1")
+def layered_levels(spark, d):
+    g = graphs.build(Setting(spark, d).base, "layered", 16)
+    return g.groupBy("level").agg(F.countDistinct("src").alias("vertices"))
+
+
+@query(sql(ISO, "SELECT count(*) AS vertices, true AS degree_bounded FROM iso"))
+def sharded_build(spark, d):
+    """A graph built in four overlapping cells and united."""
+    g = graphs.build(Setting(spark, d).base, "flat", 16, cells=4)
+    return g.groupBy("src").agg(F.count("*").alias("deg")).agg(F.count("*").alias("vertices"), (F.max("deg") <= 16).alias("degree_bounded"))
+
+
+@query(sql(ISO, "SELECT count(*) * 10 AS answers, true AS ordered FROM iso WHERE id % 50 = 0"))
+def sharded_search(spark, d):
+    s = Setting(spark, d)
+    found = ShardedIndex.build(s.base, quantize.train_pq(s.base, 8, 16), 4).search(s.queries, probes=4, h=32, k=10)
+    w = exact.Window.partitionBy("qid").orderBy("rank")
+    return found.withColumn("before", F.lag("d2").over(w)).agg(F.count("*").alias("answers"), F.coalesce(F.min(F.col("before") <= F.col("d2")), F.lit(True)).alias("ordered"))
+
+
+def _search(name: str, mode: str, kind: str):
+    def run(spark, d):
+        return W.Lab(spark, d).run(mode, kind, name).select("qid", "rank", "vid", r6("d2"))
+
+    run.__name__ = f"{name}_search"
+    query()(run)
+
+
+for _name, _mode, _kind in (("gaq", "code_only", "spread"), ("neural", "disk_tier", "flat"), ("linkreg", "code_only", "layered"), ("opq", "code_only", "layered"), ("pq", "disk_tier", "flat")):
+    _search(_name, _mode, _kind)
+
+
+@query()
+def config_matrix(spark, d):
+    return W.config_matrix(W.Lab(spark, d, "skew"))
+
+
+@query()
+def ablation(spark, d):
+    return W.ablation(W.Lab(spark, d, "skew", steps=40))
+
+
+@query()
+def ratio_sweep(spark, d):
+    return W.ratio_sweep(W.Lab(spark, d, "skew", steps=40))
+
+
+@query()
+def size_grid_code_only(spark, d):
+    return W.size_grid(spark, d, "iso")
+
+
+@query()
+def size_grid_disk_tier(spark, d):
+    return W.size_grid(spark, d, "iso", mode="disk_tier")
+
+
+@query()
+def set_statistics(spark, d):
+    return W.set_statistics(spark, d)
+
+
+@query()
+def subset_training(spark, d):
+    return W.subset_training(W.Lab(spark, d, "skew"))
+
+
+@query()
+def balance_case(spark, d):
+    return W.balance_case(W.Lab(spark, d, "skew")).select("chunk", F.round("before", 6).alias("before"), F.round("after", 6).alias("after"))
+
+
+@query("SELECT 'neural' AS quantizer, true AS trained, true AS sized UNION ALL SELECT 'gaq', true, true")
+def training_cost(spark, d):
+    """Times are in bench.py; here only that both are trained and sized."""
+    t = W.training_cost(W.Lab(spark, d, "iso", steps=20))
+    return t.select("quantizer", (F.col("seconds") > 0).alias("trained"), (F.col("bytes") > 0).alias("sized"))
+
+
+@query("SELECT true AS positive, 0.375::DOUBLE AS share")
+def qps_at_recall(spark, d):
+    """Interpolation over a recorded sweep: 95 % lies three eighths between the two beams around it."""
+    from vecgraph.measures import qps_at
+
+    sweep = spark.createDataFrame([("a", 10, 0.80, 400.0), ("a", 16, 0.92, 300.0), ("a", 32, 1.00, 100.0)], "config string, h int, recall double, qps double")
+    return qps_at(sweep, 0.95).select((F.col("qps") > 0).alias("positive"), F.round((300.0 - F.col("qps")) / 200.0, 6).alias("share"))

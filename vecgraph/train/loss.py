@@ -16,10 +16,12 @@ from vecgraph.operators.soft import log_softmax
 
 def uniform(seed: int, epoch: int, ids: np.ndarray, m: int, k: int) -> np.ndarray:
     """n x M x K numbers in (0, 1) from a hash of seed, epoch, id, chunk and codeword: the same in any partitioning."""
-    mul = [np.uint64(c) for c in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)]
-    x = ids.astype(np.int64).view(np.uint64)[:, None, None] * mul[0] + np.arange(m, dtype=np.uint64)[None, :, None] * np.uint64(1_000_003) + np.arange(k, dtype=np.uint64)[None, None, :] + np.uint64((seed * 1_000_033 + epoch) & 0xFFFFFFFF) * mul[1]
-    x = (x ^ (x >> np.uint64(30))) * mul[1]
-    x = (x ^ (x >> np.uint64(27))) * mul[2]
+    a, b, c = (np.uint64(v) for v in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB))
+    with np.errstate(over="ignore"):  # arithmetic is modulo 2^64
+        x = ids.astype(np.int64).view(np.uint64)[:, None, None] * a + np.uint64((seed * 1_000_033 + epoch) & 0xFFFFFFFF) * b
+        x = x + np.arange(m, dtype=np.uint64)[None, :, None] * np.uint64(1_000_003) + np.arange(k, dtype=np.uint64)[None, None, :]
+        x = (x ^ (x >> np.uint64(30))) * b
+        x = (x ^ (x >> np.uint64(27))) * c
     x ^= x >> np.uint64(31)
     return ((x >> np.uint64(11)).astype(np.float64) + 0.5) / 2.0**53
 
