@@ -7,7 +7,7 @@ every window holds one: its rarest term in this shard. Anchor postings, shifted
 are intersected with the postings of the window's other terms from the rarest outward; what is left are
 exact phrases. Near matches take an item's rarest terms and keep places where all of them lie within
 `slop` words. Nothing is shuffled; each document's answer comes from its own shard. Test sets larger than
-BLOCK_TERMS tokens are refused a broadcast and run block by block, hits being merged per document.
+BLOCK_TERMS tokens run block by block, in passes that each add to the rows' lists.
 
 Defined cases: null texts have no words; items without words match nothing; an item shorter than the
 window is one window; repeated items each count; a null item_id is left out; empty tables give no hits.
@@ -180,17 +180,21 @@ def _ramp(n: np.ndarray) -> np.ndarray:
     return np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
 
 
-def _shards(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, list]]:
+def _shards(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        ids, texts = column(b, "doc_id").to_pylist(), raw(b)
-        lo, held = 0, 0
-        for i, x in enumerate(texts):
-            held += len(x or b"")
-            if held >= SHARD_BYTES:
-                yield ids[lo : i + 1], texts[lo : i + 1]
-                lo, held = i + 1, 0
-        if lo < len(texts):
-            yield ids[lo:], texts[lo:]
+        size = np.fromiter((len(x or b"") for x in raw(b)), np.int64, b.num_rows)
+        for lo, hi in slices(size, SHARD_BYTES):
+            yield b.slice(lo, hi - lo)
+
+
+def _merged(spans: list[dict]) -> list[dict]:
+    out: list[dict] = []
+    for s in sorted(spans, key=lambda s: (s["start"], s["end"])):
+        if out and s["start"] <= out[-1]["end"]:
+            out[-1]["end"] = max(out[-1]["end"], s["end"])
+        else:
+            out.append(dict(s))
+    return out
 
 
 def test_blocks(items: DataFrame, window: int, id_col: str = "item_id", text_col: str = "text") -> list[TestSet]:
@@ -210,49 +214,33 @@ def contamination(docs: DataFrame, items: DataFrame, window: int = 10, slop: int
     """(doc_id, n_words, hits array<struct<start,end>>, items array<string>, near array<string>): hit words as maximal spans."""
     ship(docs.sparkSession)
     blocks = test_blocks(items, window)
-    schema = "doc_id long, n_words long, hits array<struct<start:long,end:long>>, items array<string>, near array<string>"
+    found = "hits array<struct<start:long,end:long>>, items array<string>, near array<string>"
+    kinds = (pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])), pa.list_(pa.string()), pa.list_(pa.string()))
 
-    def over(test: TestSet):
+    def over(test: TestSet, first: bool):
         def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             numbers = _Numbers(test.terms)
-            for ids, texts in _shards(batches):
-                shard = Shard(texts, test, numbers)
+            for b in _shards(batches):
+                shard = Shard(raw(b), test, numbers)
                 item, lo, hi = shard.phrases()
                 doc = np.searchsorted(shard.begin, lo, "right") - 1
-                spans: list[list] = [[] for _ in ids]
-                named: list[list] = [[] for _ in ids]
-                close: list[list] = [[] for _ in ids]
-                order = np.lexsort((hi, lo))
-                for d, s, e in zip(doc[order].tolist(), (lo - shard.begin[doc])[order].tolist(), (hi - shard.begin[doc])[order].tolist(), strict=True):
-                    if spans[d] and s <= spans[d][-1]["end"]:
-                        spans[d][-1]["end"] = max(spans[d][-1]["end"], e)
-                    else:
-                        spans[d].append({"start": s, "end": e})
+                spans, named, close = ([[] for _ in range(b.num_rows)] if first else column(b, c).to_pylist() for c in ("hits", "items", "near"))
+                for d, s, e in zip(doc.tolist(), (lo - shard.begin[doc]).tolist(), (hi - shard.begin[doc]).tolist(), strict=True):
+                    spans[d].append({"start": s, "end": e})
                 for d, i in np.unique(np.stack([doc, item], 1), axis=0).tolist() if len(doc) else []:
                     named[d].append(test.ids[i])
                 if slop is not None:
                     for i, d in np.unique(np.stack(shard.near(slop), 1), axis=0).tolist():
                         close[d].append(test.ids[i])
-                kinds = (pa.int64(), pa.int64(), pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])), pa.list_(pa.string()), pa.list_(pa.string()))
-                yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip((ids, shard.count, spans, named, close), kinds, strict=True)], ["doc_id", "n_words", "hits", "items", "near"])
+                lists = [pa.array(v, t) for v, t in zip(([_merged(s) for s in spans], named, close), kinds, strict=True)]
+                yield pa.RecordBatch.from_arrays([column(b, "doc_id"), column(b, "text"), pa.array(shard.count), *lists], ["doc_id", "text", "n_words", "hits", "items", "near"])
 
         return scan
 
-    parts = [id_text(docs, id_col, text_col).mapInArrow(over(t), schema) for t in blocks]
-    if len(parts) == 1:
-        return parts[0]
-    whole = parts[0]
-    for p in parts[1:]:
-        whole = whole.unionByName(p)
-    joined = whole.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.array_sort(F.flatten(F.collect_list("hits"))).alias("hits"), F.flatten(F.collect_list("items")).alias("items"), F.flatten(F.collect_list("near")).alias("near"))
-    start = F.lit([]).cast("array<struct<start:long,end:long>>")
-
-    def merge(done, x):
-        last = F.element_at(done, -1)
-        grown = F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.struct(last["start"].alias("start"), F.greatest(last["end"], x["end"]).alias("end"))))
-        return F.when((F.size(done) > 0) & (x["start"] <= F.get(done, F.size(done) - 1)["end"]), grown).otherwise(F.concat(done, F.array(x)))
-
-    return joined.withColumn("hits", F.aggregate("hits", start, merge))
+    rows = id_text(docs, id_col, text_col)
+    for i, t in enumerate(blocks):  # narrow passes: rows keep their places, each block adds to their lists
+        rows = rows.mapInArrow(over(t, not i), f"doc_id long, text string, n_words long, {found}")
+    return rows.drop("text")
 
 
 def contamination_digest(docs: DataFrame, items: DataFrame, window: int = 10) -> DataFrame:
