@@ -198,10 +198,12 @@ def _pq_books(x: np.ndarray, m: int, k: int) -> np.ndarray:
 
 
 def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds: str = "NR", n: int = 2, k_pos: int = 4, k_neg: int = 12, h: int = 16, teacher: str = "exact", queries: DataFrame | None = None, **options) -> Fitted:
-    """The whole loop: scopes once, traces with the current quantizer and again at each refresh, then the fit."""
+    """The whole loop: scopes once, traces with the current quantizer and again at each refresh, then the fit. The model kept is
+    the best by `check` (code_recall on the sample, unless given), the start included."""
     f = collect_neighbourhood(base, edges, n, k_pos, k_neg)
     if not len(f.anchors):
         f = Features(*_all(base))
+    options.setdefault("check", code_recall(f))
     if "R" in kinds:
         asked = queries if queries is not None else base.orderBy(F.md5(F.col("id").cast("string")), "id").limit(min(TRACE_QUERIES, 200))
         start = opq_of(f.x, m, k)[0] if options.get("start", "opq") == "opq" else Quantizer("pq", _pq_books(f.x, m, k))
@@ -211,6 +213,23 @@ def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds:
     return fit(f, m, k, kinds, **options)
 
 
+def code_recall(f: Features, k: int = 10, rows: int = 256, seed: int = 11) -> Callable[[Quantizer], float]:
+    """A validation score on the training sample: recall@k of a scan by codes against exact neighbours, for some of its rows."""
+    from vecgraph.functions.kernels import d2_blas
+    from vecgraph.operators.quantize import adc
+
+    pick = np.sort(np.random.default_rng(seed).permutation(len(f.x))[:rows])
+    x, q = f.x.copy(), f.x[pick]
+    k = min(k, len(x) - 1)
+
+    def nearest(d: np.ndarray) -> np.ndarray:
+        d[np.arange(len(pick)), pick] = np.inf
+        return np.argsort(d, 1, kind="stable")[:, :k]
+
+    true = nearest(d2_blas(q, x))
+    return lambda model: float((nearest(adc(model.lut(q), model.encode(x)))[:, :, None] == true[:, None, :]).any(2).mean())
+
+
 def _all(base: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     x = sample(base, TRAIN_ROWS)
     return np.arange(len(x)), x
