@@ -79,7 +79,7 @@ class Nearest:
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(self.ids, ok.sum(1))), pa.array(self.best[ok]), pa.array(self.d[ok])], ["qid", "vid", "d2"])
 
 
-class _Within:
+class Within:
     def __init__(self, ids: np.ndarray, x: np.ndarray, theta: float) -> None:
         self.ids, self.x, self.theta, self.found = ids, x, theta, []
 
@@ -124,7 +124,7 @@ def sym_knn_graph(base: DataFrame, k: int) -> DataFrame:
 
 def threshold_graph(base: DataFrame, theta: float) -> DataFrame:
     """(src, dst, d2) for all ordered pairs within squared distance theta."""
-    return in_cells(base, base, lambda i, x: _Within(i, x, theta), "src long, dst long, d2 double")
+    return in_cells(base, base, lambda i, x: Within(i, x, theta), "src long, dst long, d2 double")
 
 
 def pivots(base: DataFrame, n: int) -> np.ndarray:
@@ -169,7 +169,7 @@ def threshold_graph_cells(base: DataFrame, theta: float, n_pivots: int = 16) ->
                     ids.append(num[h])
                     vecs.append(x[h])
                 if r.any() and ids:
-                    got = _Within(np.concatenate(ids), np.concatenate(vecs), theta)
+                    got = Within(np.concatenate(ids), np.concatenate(vecs), theta)
                     got.add(num[r], x[r])
                     yield from got.out()
 

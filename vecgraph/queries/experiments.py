@@ -123,6 +123,12 @@ def subset_training(spark, d):
     return W.subset_training(W.Lab(spark, d, "skew"))
 
 
+@query()
+def scale_series(spark, d):
+    """One step of the scale series: row vectors of the whole lineitem table, sharded graphs, disk-tier walks."""
+    return W.scale_series(spark, [d]).select("base", "recall")
+
+
 @query()
 def balance_case(spark, d):
     return W.balance_case(W.Lab(spark, d, "skew")).select("chunk", F.round("before", 6).alias("before"), F.round("after", 6).alias("after"))

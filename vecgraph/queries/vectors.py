@@ -26,6 +26,13 @@ def vec_split(spark, d):
     return v.select("id", parts.alias("chunk", "total")).select("id", "chunk", r6("total"))
 
 
+@query(sql(ISO, Q, FULL, "SELECT qid, vid, round(d, 6) AS d2 FROM dist WHERE vid <> qid"))
+def vec_d2_pairs(spark, d):
+    base = sets.iso(spark, d)
+    got = exact.in_cells(base, sets.queries_of(base), lambda i, x: exact.Within(i, x, float("inf")), "src long, dst long, d2 double")
+    return got.select(F.col("src").alias("qid"), F.col("dst").alias("vid"), r6("d2"))
+
+
 @query(sql(ISO, ENTRY, "SELECT vid, round(d2, 6) AS d2 FROM entry"))
 def vec_mean_medoid(spark, d):
     return exact.medoid(sets.iso(spark, d)).select("vid", r6("d2"))

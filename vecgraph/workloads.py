@@ -29,6 +29,10 @@ CONFIGS = [
 ]
 
 
+#: Rows that one task builds a graph over.
+CELL_ROWS = 20_000
+
+
 @dataclass
 class Lab:
     """One set with its graphs and quantizers, made when first asked for."""
@@ -62,7 +66,8 @@ class Lab:
         return self.get("truth", lambda: materialize(exact.exact_knn(self.base, self.queries, 10)))
 
     def graph(self, kind: str) -> DataFrame:
-        return self.get(f"graph:{kind}", lambda: materialize(graphs.build(self.base, kind, self.degree)))
+        """Built in cells of about CELL_ROWS rows, each row in its two nearest ones."""
+        return self.get(f"graph:{kind}", lambda: materialize(graphs.build(self.base, kind, self.degree, cells=max(1, self.base.count() // CELL_ROWS))))
 
     def entry(self, kind: str) -> int:
         return self.get(f"entry:{kind}", lambda: graphs.top_vertex(self.base, self.graph(kind)) if kind == "layered" else graphs.entry_vertex(self.base))
@@ -212,7 +217,7 @@ def balance_case(lab: Lab) -> DataFrame:
     return lab.spark.createDataFrame(rows, "chunk int, before double, after double")
 
 
-def scale_series(spark: SparkSession, dirs: list[str], name: str = "rowvec", cells_of=lambda n: max(1, n // 20_000), quantizer: str = "opq", h: int = 32) -> DataFrame:
+def scale_series(spark: SparkSession, dirs: list[str], name: str = "rowvec", cells_of=lambda n: max(1, n // CELL_ROWS), quantizer: str = "opq", h: int = 32) -> DataFrame:
     """The same searches on growing bases: graphs built in cells, walked shard by shard, answers merged."""
     from vecgraph.operators.sharded import ShardedIndex
 
