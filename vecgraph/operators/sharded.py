@@ -11,7 +11,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecgraph.functions.kernels import d2_blas, matrix
@@ -48,10 +48,20 @@ class ShardedIndex:
             n = -(-size[c] // most)
             parts[c] = list(range(at, at + n))
             at += n
-        first = F.create_map(*[F.lit(x) for c, p in parts.items() for x in (c, p[0])])
-        many = F.create_map(*[F.lit(x) for c, p in parts.items() for x in (c, len(p))])
-        shard = (first[F.col("cell")] + F.pmod(F.xxhash64("id"), many[F.col("cell")])).cast("int")
-        placed = materialize(placed.withColumn("shard", shard))
+        first, many = (np.zeros(len(centres), np.int64) for _ in range(2))
+        for c, p in parts.items():
+            first[c], many[c] = p[0], len(p)
+
+        def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if b.num_rows:
+                    cell, num, x = b.column(2).to_numpy(), b.column(0).to_numpy(), matrix(b.column(1))
+                    mixed = (num.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(33)
+                    shard = first[cell] + (mixed % many[cell].astype(np.uint64)).astype(np.int64)
+                    far = ((x - centres[cell]) ** 2).sum(1)
+                    yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(shard.astype(np.int32)), pa.array(far)], ["id", "vec", "shard", "far"])
+
+        placed = materialize(placed.mapInArrow(assign, "id long, vec array<double>, shard int, far double"))
 
         def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             at, held = None, []
@@ -75,10 +85,7 @@ class ShardedIndex:
         edges = placed.select("shard", "id", "vec").repartitionById(max(1, at), F.col("shard")).sortWithinPartitions("shard", "id").mapInArrow(links, graphs.EDGES)
         edges = edges.where("level = 0").drop("level") if kind != "layered" else edges
         # each shard is entered at the row nearest to its cell's centre
-        from vecgraph.functions.columns import d2
-
-        middle = F.get(F.lit(centres.tolist()).cast("array<array<double>>"), F.col("cell"))
-        entry = placed.groupBy("shard").agg(F.min(F.struct(d2(F.col("vec"), middle).alias("d2"), "id")).alias("b")).select(F.col("b.id").alias("vid"))
+        entry = placed.groupBy("shard").agg(F.min(F.struct("far", "id")).alias("b")).select(F.col("b.id").alias("vid"))
         rows = index_rows(placed.select("id", "vec"), edges, encode(placed, q), entry, True, placed.select(F.col("id").alias("vid"), "shard"))
         return cls(materialize(rows), centres, parts, q, max(1, at))
 
@@ -101,8 +108,3 @@ class ShardedIndex:
     def search(self, queries: DataFrame, probes: int, h: int, k: int, mode: str = "disk_tier") -> DataFrame:
         return beam_search(self.rows, self.route(queries, probes), h, k, mode, self.quantizer, n_shards=self.n_shards)
 
-
-def balance(index: ShardedIndex) -> DataFrame:
-    """Rows per shard, and how far the largest is from the mean."""
-    per = index.rows.groupBy("shard").agg(F.count("*").alias("rows"))
-    return per.withColumn("share_of_mean", F.col("rows") / F.avg("rows").over(Window.partitionBy()))
