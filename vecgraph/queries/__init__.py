@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import experiments, features, quantizers, search, streams, surroundings, vectors
+from . import experiments, features, functions, quantizers, search, streams, surroundings, vectors
 from .common import ORACLES, QUERIES
 
-__all__ = ["ORACLES", "QUERIES", "experiments", "features", "quantizers", "search", "streams", "surroundings", "vectors"]
+__all__ = ["ORACLES", "QUERIES", "experiments", "features", "functions", "quantizers", "search", "streams", "surroundings", "vectors"]
