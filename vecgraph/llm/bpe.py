@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 
 from vecgraph.session import ship
 
-from .common import column, id_text, strings
+from .common import column, id_text, small, strings
 
 #: Parts up to which a scan of the rank array is used.
 SHORT = 256
@@ -182,7 +182,7 @@ def _map(docs: DataFrame, vocab_path: str, schema: str, row, id_col: str, text_c
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         v = vocabulary(vocab_path)
-        for b in batches:
+        for b in small(batches):
             cols: list[list] = [[] for _ in names]
             for doc, text in zip(column(b, "doc_id").to_pylist(), strings(b), strict=True):
                 for c, x in zip(cols, (doc, *row(*v.encode(text or ""))), strict=True):

@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -43,3 +44,11 @@ def slices(n: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
         hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + most, "right")))
         yield lo, hi
         lo = hi
+
+
+def small(batches: Iterator[pa.RecordBatch], name: str = "text", most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """Batches cut so that their texts hold `most` bytes (or are one row): what a worker decodes at once is bounded."""
+    for b in batches:
+        size = pc.fill_null(pc.binary_length(column(b, name)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        for lo, hi in slices(size, most):
+            yield b.slice(lo, hi - lo)

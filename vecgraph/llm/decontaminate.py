@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import ship
 
-from .common import column, id_text, raw, slices
+from .common import column, id_text, raw, slices, small
 
 #: Tokens of test items held by each task at once.
 BLOCK_TERMS = 2_000_000
@@ -180,13 +180,6 @@ def _ramp(n: np.ndarray) -> np.ndarray:
     return np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
 
 
-def _shards(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        size = np.fromiter((len(x or b"") for x in raw(b)), np.int64, b.num_rows)
-        for lo, hi in slices(size, SHARD_BYTES):
-            yield b.slice(lo, hi - lo)
-
-
 def _merged(spans: list[dict]) -> list[dict]:
     out: list[dict] = []
     for s in sorted(spans, key=lambda s: (s["start"], s["end"])):
@@ -220,7 +213,7 @@ def contamination(docs: DataFrame, items: DataFrame, window: int = 10, slop: int
     def over(test: TestSet, first: bool):
         def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             numbers = _Numbers(test.terms)
-            for b in _shards(batches):
+            for b in small(batches, "text", SHARD_BYTES):
                 shard = Shard(raw(b), test, numbers)
                 item, lo, hi = shard.phrases()
                 doc = np.searchsorted(shard.begin, lo, "right") - 1

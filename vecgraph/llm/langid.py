@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import ship
 
-from .common import column, strings
+from .common import column, small, strings
 
 #: Components of a hypervector.
 DIMS = 1024
@@ -63,7 +63,7 @@ class Space:
     def clear(self) -> None:
         self.known = np.empty(0, np.int64)
         self.row = np.empty(0, np.int64)
-        self.vectors = np.empty((0, self.dims), np.int8)
+        self.vectors = np.empty((1024, self.dims), np.int8)  # the first len(known) rows are in use
 
     def letter(self, code: int) -> np.ndarray:
         if (v := self.letters.get(code)) is None:
@@ -86,9 +86,12 @@ class Space:
             if len(self.known) + len(new) > TABLE:
                 self.clear()
                 new = grams
-            fresh = np.stack([self.bind(int(g)) for g in new])
-            self.row = np.concatenate([self.row, np.arange(len(new)) + len(self.vectors)])
-            self.vectors = np.concatenate([self.vectors, fresh])
+            used = len(self.known)
+            if used + len(new) > len(self.vectors):
+                self.vectors = np.concatenate([self.vectors, np.empty((max(len(new), len(self.vectors)), self.dims), np.int8)])
+            for i, g in enumerate(new.tolist()):
+                self.vectors[used + i] = self.bind(g)
+            self.row = np.concatenate([self.row, np.arange(len(new)) + used])
             self.known = np.concatenate([self.known, new])
             order = np.argsort(self.known, kind="stable")
             self.known, self.row = self.known[order], self.row[order]
@@ -125,7 +128,7 @@ def fit(labelled: DataFrame, dims: int = DIMS, lang_col: str = "lang", text_col:
                 bundles[lang] = bundles.get(lang, 0) + v.astype(np.float64)
             weight.clear()
 
-        for b in batches:
+        for b in small(batches):
             held: dict[str, list] = {}
             for lang, text in zip(column(b, "lang").to_pylist(), strings(b), strict=True):
                 grams, n = trigrams(text or "")
@@ -158,7 +161,7 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], id_col: str = "d
     matrix = np.stack([prototypes[n] / (np.linalg.norm(prototypes[n]) or 1) for n in names]).astype(np.float32) if names else None
 
     def label(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches, text_col):
             langs, scores = [], []
             for text in strings(b, text_col):
                 grams, n = trigrams(text or "")

@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import materialize, ship
 
-from .common import column
+from .common import column, small
 
 #: Sites from which on a line is boilerplate; least length of a line that can be.
 MIN_SITES, MIN_CHARS = 10, 16
@@ -82,7 +82,7 @@ def dedup_lines(docs: DataFrame, min_sites: int = MIN_SITES, min_chars: int = MI
 
         def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             table, digest = first.value, xxhash.xxh64_intdigest
-            for b in batches:
+            for b in small(batches):
                 texts, counts, cuts = [], [], []
                 for doc, text in zip(column(b, id_col).to_pylist(), column(b, "text").to_pylist(), strict=True):
                     each = text.split("\n") if text is not None else []
@@ -111,7 +111,7 @@ def dedup_lines(docs: DataFrame, min_sites: int = MIN_SITES, min_chars: int = MI
     joined = rows.join(gone, F.col(id_col).eqNullSafe(F.col("_cut_id")), "left").drop("_cut_id")
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             at, texts = column(b, "_cut_at").to_pylist(), column(b, "text").to_pylist()
             counts = [t.count("\n") + 1 if t is not None else 0 for t in texts]
             cut = [set(a or ()) for a in at]

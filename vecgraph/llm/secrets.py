@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 
 from vecgraph.session import ship
 
-from .common import column, id_text, strings
+from .common import column, id_text, small, strings
 
 KINDS = ("assign", "access", "hex", "crf")
 # fixed values: the three base patterns and their least lengths
@@ -333,7 +333,7 @@ def secret_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     span = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())]))
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             found = [all_spans(t or "", model) for t in strings(b)]
             as_rows = [[[{"kind": k, "start": s, "end": e} for s, k, e in f[i]] for f in found] for i in (0, 1)]
             yield pa.RecordBatch.from_arrays([column(b, "doc_id"), pa.array(as_rows[0], span), pa.array(as_rows[1], span)], ["doc_id", "base", "spans"])

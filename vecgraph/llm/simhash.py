@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import materialize, ship, shuffle_partitions
 
-from .common import column, id_text, raw, slices
+from .common import column, id_text, raw, slices, small
 
 FAN = 16
 #: Members that a cell should have on average, at most.
@@ -58,7 +58,7 @@ def fingerprints(docs: DataFrame, shingle: int = 4, id_col: str = "doc_id", text
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             fp = np.fromiter((fingerprint(t, shingle) for t in raw(b)), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([column(b, "doc_id"), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
 
