@@ -361,8 +361,9 @@ def _kept(split, texts, window):
     return out
 
 
-@pytest.mark.parametrize("window,gram", [(400, 256), (30, 8), (7, 7)])
-def test_suffix_array_dedup(spark, monkeypatch, window, gram):
+@pytest.mark.parametrize("window,gram,hot", [(400, 256, 512), (30, 8, 512), (7, 7, 512), (400, 256, 1), (30, 8, 2), (12, 5, 1)])
+def test_suffix_array_dedup(spark, monkeypatch, window, gram, hot):
+    monkeypatch.setattr(windows, "HOT", hot)
     monkeypatch.setattr(suffixarray, "GRAM", gram)
     monkeypatch.setattr(windows, "CHUNK", 20_000)
     monkeypatch.setattr(windows, "TOGETHER", 3000)
@@ -373,8 +374,9 @@ def test_suffix_array_dedup(spark, monkeypatch, window, gram):
     assert suffixarray.kept_digest(df.limit(0), window).count() == 0
 
 
-@pytest.mark.parametrize("window,gram", [(35, 15), (5, 2), (3, 3)])
-def test_fm_index_dedup(spark, monkeypatch, window, gram):
+@pytest.mark.parametrize("window,gram,hot", [(35, 15, 512), (5, 2, 512), (3, 3, 512), (35, 15, 1), (5, 2, 1)])
+def test_fm_index_dedup(spark, monkeypatch, window, gram, hot):
+    monkeypatch.setattr(windows, "HOT", hot)
     monkeypatch.setattr(fmindex, "GRAM", gram)
     monkeypatch.setattr(windows, "CHUNK", 20_000)
     monkeypatch.setattr(windows, "TOGETHER", 500)

@@ -10,6 +10,10 @@ be equal meet under their key, wherever their documents lie.
  - Other keys are mixed: one copy of each different piece is sent to the key's task, and an engine (suffix
    array or FM-index) over whole keys finds the windows that occur twice. Its answers go back to every
    document that holds the piece.
+ - A mixed key with more than HOT different pieces (a passage of very many documents, each with its own
+   surroundings) is first cut finer: pieces become blocks of up to BLOCKS[0] windows that lie alike around the
+   key's gram, keyed by all the units these windows share; what still is hot is cut again, down to single
+   windows, which are equal under their key. So no task gets a hot key's pieces, and no pair is looked at.
 
 Rows are told apart by a hash of id and text, so equal rows count as two places and share their answer.
 Counts are by aggregation, so a key held by a third of all documents is pre-aggregated before it is dealt.
@@ -22,7 +26,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from vecgraph.session import materialize, ship, shuffle_partitions
@@ -34,6 +38,9 @@ TOGETHER, CHUNK = 1 << 18, 4 << 20
 # fixed values: odd multipliers of the two rolling hashes, and of the mixer
 BASE1, BASE2, MIX = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xFF51AFD7ED558CCD
 
+#: Different pieces of one key that an engine takes at once; windows in a block, from cut to cut.
+HOT, BLOCKS = 1024, (64, 16, 4, 1)
+
 Engine = Callable[[list[bytes], np.ndarray, np.ndarray, int], list[np.ndarray]]
 
 
@@ -140,7 +147,7 @@ class Units:
 
 
 def repeated_windows(docs: DataFrame, kind: str, window: int, gram: int, engine: Engine) -> DataFrame:
-    """docs(doc_id, text) -> (row_id of docs, lo, hi): starts of windows that also start anywhere else, as runs."""
+    """docs(doc_id, text) -> (doc_id, runs array<struct<lo,hi>>): starts of windows that also start anywhere else, as runs; a document may have several rows."""
     spark = docs.sparkSession
     ship(spark)
 
@@ -166,10 +173,10 @@ def repeated_windows(docs: DataFrame, kind: str, window: int, gram: int, engine:
     stats = cuts.groupBy("m").agg(F.count("*").alias("pieces"), F.min("c").alias("c0"), F.max("c").alias("c1"), F.max("again").alias("twice"))
     stats = stats.where("pieces > 1 or twice").select("m", (F.col("twice") | (F.col("c0") != F.col("c1"))).alias("mixed"))
     shared = materialize(cuts.drop("again").join(stats, "m"))
-    same = shared.where("not mixed").select("doc_id", F.col("start").alias("lo"), (F.col("start") + F.col("n")).alias("hi"))
+    same = shared.where("not mixed").select("doc_id", F.array(F.struct(F.col("start").alias("lo"), (F.col("start") + F.col("n")).alias("hi"))).alias("runs"))
 
     mixed = shared.where("mixed")
-    one = mixed.groupBy("m", "c").agg(F.min(F.struct("doc_id", "start", "n")).alias("at"), (F.count("*") > 1).alias("many"))
+    one = materialize(mixed.groupBy("m", "c").agg(F.min(F.struct("doc_id", "start", "n")).alias("at"), (F.count("*") > 1).alias("many")))
     asked = one.groupBy(F.col("at.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("m", "c", "at.start", "at.n", "many")).alias("asked"))
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -186,18 +193,22 @@ def repeated_windows(docs: DataFrame, kind: str, window: int, gram: int, engine:
                     out.append(units.piece(split, start[j], start[j] + n[j] - 1 + window))
             yield pa.RecordBatch.from_arrays([flat.field("m"), flat.field("c"), flat.field("n"), flat.field("many"), pa.array(out, pa.binary())], ["m", "c", "n", "many", "piece"])
 
+    def engine_runs(pieces_: DataFrame) -> DataFrame:
+        """(m, c, n, many, piece) -> (m, c, runs): the engine over whole keys."""
+        dealt = pieces_.repartition(shuffle_partitions(spark), "m").sortWithinPartitions("m")
+        return dealt.mapInArrow(index, f"m long, c long, {_RUNS_SQL}")
+
     def index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def out(rows: list[tuple]) -> pa.RecordBatch:
             texts, n, many = [r[4] for r in rows], np.array([r[2] for r in rows]), np.array([r[3] for r in rows])
-            m, c, lo, hi = [], [], [], []
+            m, c, runs = [], [], []
             for r, twice in zip(rows, engine(texts, n, many, window), strict=True):
                 edge = np.flatnonzero(np.diff(np.concatenate([[0], twice.astype(np.int8), [0]])))
-                for a, z in edge.reshape(-1, 2).tolist():
+                if len(edge):
                     m.append(r[0])
                     c.append(r[1])
-                    lo.append(a)
-                    hi.append(z)
-            return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (m, c, lo, hi)], ["m", "c", "lo", "hi"])
+                    runs.append([{"lo": a, "hi": z} for a, z in edge.reshape(-1, 2).tolist()])
+            return pa.RecordBatch.from_arrays([pa.array(m, pa.int64()), pa.array(c, pa.int64()), pa.array(runs, _RUNS)], ["m", "c", "runs"])
 
         held, size = [], 0
         for b in batches:
@@ -211,17 +222,112 @@ def repeated_windows(docs: DataFrame, kind: str, window: int, gram: int, engine:
             yield out(held)
 
     texts = docs.join(asked, "doc_id").select("asked", "text").mapInArrow(fetch, "m long, c long, n long, many boolean, piece binary")
-    dealt = texts.repartition(shuffle_partitions(spark), "m").sortWithinPartitions("m")
-    runs = dealt.mapInArrow(index, "m long, c long, lo long, hi long")
-    back = mixed.join(runs, ["m", "c"]).select("doc_id", (F.col("start") + F.col("lo")).alias("lo"), (F.col("start") + F.col("hi")).alias("hi"))
+    hot = one.groupBy("m").agg(F.count("*").alias("pieces")).where(F.col("pieces") > HOT).select("m")
+    if hot.isEmpty():
+        runs = engine_runs(texts)
+    else:
+        texts = materialize(texts)
+        hot = materialize(hot)
+        runs = engine_runs(texts.join(hot, "m", "left_anti")).unionByName(cut_hot(texts.join(hot, "m"), engine_runs, kind, window, gram))
+    back = mixed.join(runs, ["m", "c"]).select("doc_id", _moved("runs", F.col("start")))
     return same.unionByName(back)
 
 
+_RUNS = pa.list_(pa.struct([("lo", pa.int64()), ("hi", pa.int64())]))
+_RUNS_SQL = "runs array<struct<lo:long,hi:long>>"
+
+
+def _moved(runs: str, by) -> Column:
+    return F.transform(runs, lambda r: F.struct((r["lo"] + by).alias("lo"), (r["hi"] + by).alias("hi"))).alias("runs")
+
+
+def _joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Lists of runs with runs that touch made one."""
+    for b in batches:
+        runs = [[{"lo": a, "hi": z} for a, z in merged(sorted((r["lo"], r["hi"]) for r in x))] for x in column(b, "runs").to_pylist()]
+        yield pa.RecordBatch.from_arrays([column(b, "m"), column(b, "c"), pa.array(runs, _RUNS)], ["m", "c", "runs"])
+
+
+def cut_hot(texts: DataFrame, engine_runs: Callable[[DataFrame], DataFrame], kind: str, window: int, gram: int) -> DataFrame:
+    """Pieces of hot keys (m, c, n, many, piece) -> (m, c, runs) by finer keys.
+
+    A block holds the consecutive windows of a piece whose distance to the key's gram, in units, falls in one range of
+    `width`; its key hashes what all of them share, so equal windows have equal keys at every width.
+    """
+
+    def blocks(width: int):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            units = Units(kind)
+            for b in batches:
+                rows, out = zip(*(column(b, x).to_pylist() for x in ("m", "c", "many", "lo", "hi", "piece")), strict=True), []
+                for m, c, many, lo, hi, piece in rows:
+                    split = units.split(piece)
+                    u = units.hashes([split])
+                    (up1, down1), (up2, down2) = (p.get(len(u) + 1) for p in _POWERS)
+                    h1, h2 = _sums(u * up1[: len(u)]), _sums(u * up2[: len(u)])
+                    g = _mixed((h1[gram:] - h1[: len(u) - gram + 1]) * down1[: len(u) - gram + 1])
+                    place = np.flatnonzero(g.view(np.int64) == m)
+                    s = np.arange(lo, hi)
+                    first = place[np.searchsorted(place, s)]
+                    block = (first - s) // width
+                    edge = np.flatnonzero(np.concatenate([[True], (first[1:] != first[:-1]) | (block[1:] != block[:-1])]))
+                    a, z = s[edge], np.append(s[edge][1:], hi)
+                    # units that every window of the block's range covers, whether or not the piece holds them all
+                    left = first[edge] - block[edge] * width
+                    right = np.maximum(left - width + 1 + window, left)
+                    key = _mixed((h2[np.minimum(right, len(u))] - h2[left]) * down2[left] + block[edge].astype(np.uint64) * np.uint64(MIX)) ^ np.int64(m).view(np.uint64)
+                    whole = _mixed((h1[z - 1 + window] - h1[a]) * down1[a] + (z - a).astype(np.uint64) * np.uint64(MIX))
+                    out += zip([m] * len(a), [c] * len(a), [many] * len(a), a.tolist(), z.tolist(), key.view(np.int64).tolist(), whole.view(np.int64).tolist(), strict=True)
+                cols = list(zip(*out, strict=True)) or [[]] * 7
+                kinds = (pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(cols, kinds, strict=True)], ["m", "c", "many", "lo", "hi", "k", "w"])
+
+        return run
+
+    found = None
+    todo = texts.select("m", "c", "many", F.lit(0).cast("long").alias("lo"), F.col("n").alias("hi"), "piece")
+    for width in (b for b in BLOCKS if b <= max(1, window // 2)):
+        cut = materialize(todo.mapInArrow(blocks(width), "m long, c long, many boolean, lo long, hi long, k long, w long"))
+        each = cut.groupBy("k", "w").agg(F.count("*").alias("places"), F.max("many").alias("many"), F.min(F.struct("m", "c", "lo", "hi")).alias("at"))
+        size = each.groupBy("k").agg(F.sum("places").alias("places"), F.max("many").alias("some"), F.count("*").alias("kinds")).where("places > 1 or some")
+        held = materialize(cut.join(size, "k"))
+        even = held.where("kinds = 1" if width > 1 else "true").select("m", "c", F.array(F.struct("lo", "hi")).alias("runs"))
+        found = even if found is None else found.unionByName(even)
+        if width == 1:
+            break
+        text = texts.select("m", "c", "piece")
+        few = each.join(size.where(F.col("kinds").between(2, HOT)).select("k"), "k")
+        sub = few.select("k", "w", (F.col("places") > 1).alias("twice"), F.col("many"), "at.*").join(text, ["m", "c"])
+        asked = sub.select(F.col("k").alias("m"), F.col("w").alias("c"), (F.col("hi") - F.col("lo")).alias("n"), (F.col("twice") | F.col("many")).alias("many"), "lo", "hi", "piece")
+        small = engine_runs(asked.mapInArrow(_narrowed(kind, window), "m long, c long, n long, many boolean, piece binary"))
+        placed = held.where(F.col("kinds").between(2, HOT)).join(small.select(F.col("m").alias("k"), F.col("c").alias("w"), "runs"), ["k", "w"])
+        found = found.unionByName(placed.select("m", "c", _moved("runs", F.col("lo"))))
+        rest = held.where(F.col("kinds") > HOT)
+        if rest.isEmpty():
+            break
+        todo = rest.select("m", "c", "many", "lo", "hi").join(text, ["m", "c"]).select("m", "c", "many", "lo", "hi", "piece")
+    whole = found.groupBy("m", "c").agg(F.flatten(F.collect_list("runs")).alias("runs"))
+    return whole.mapInArrow(_joined, f"m long, c long, {_RUNS_SQL}")
+
+
+def _narrowed(kind: str, window: int):
+    """Texts of blocks from their pieces' texts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        units = Units(kind)
+        for b in batches:
+            lo, hi = column(b, "lo").to_pylist(), column(b, "hi").to_pylist()
+            out = [units.piece(units.split(t), a, z - 1 + window) for a, z, t in zip(lo, hi, raw(b, "piece"), strict=True)]
+            yield pa.RecordBatch.from_arrays([*(column(b, c) for c in ("m", "c", "n", "many")), pa.array(out, pa.binary())], ["m", "c", "n", "many", "piece"])
+
+    return run
+
+
 def removed_spans(docs: DataFrame, kind: str, window: int, gram: int, engine: Engine, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text, spans array<struct<lo,hi>>): of every row, the units covered by repeated windows, as ordered runs that may touch."""
     rows = id_text(docs, id_col, text_col).select(F.col("doc_id").alias("id"), "text", F.xxhash64("doc_id", "text").alias("doc_id"))
     found = repeated_windows(rows.select("doc_id", "text"), kind, window, gram, engine)
-    spans = found.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("lo", (F.col("hi") - 1 + window).alias("hi")))).alias("spans"))
+    spans = found.groupBy("doc_id").agg(F.array_sort(F.flatten(F.collect_list(F.transform("runs", lambda r: F.struct(r["lo"].alias("lo"), (r["hi"] - 1 + window).alias("hi")))))).alias("spans"))
     return rows.join(spans, "doc_id", "left").select(F.col("id").alias("doc_id"), "text", "spans")
 
 
