@@ -219,3 +219,11 @@ def test_result_does_not_depend_on_partitions(spark):
         got.append(sorted(map(tuple, exact.exact_knn(base.repartition(int(n)), base.where("id % 50 = 0"), 5).collect())))
     spark.conf.set("spark.sql.shuffle.partitions", "4")
     assert got[0] == got[1] == got[2]
+
+
+def test_scratch_tables_can_be_cleared(spark):
+    from vecgraph import session
+
+    session.clear_scratch(spark)
+    assert session.materialize(spark.range(5)).count() == 5
+    assert session.clear_scratch(spark) == 1 and session.clear_scratch(spark) == 0

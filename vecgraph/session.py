@@ -10,6 +10,7 @@ import zipfile
 from pyspark.sql import DataFrame, SparkSession
 
 _SHIPPED: set[str] = set()
+_MADE: list[str] = []
 
 
 def ship(spark: SparkSession) -> None:
@@ -42,8 +43,19 @@ def materialize(df: DataFrame) -> DataFrame:
     """Write a table into the shared scratch folder and read it back: cuts lineage, survives lost executors."""
     path = f"{scratch_dir(df.sparkSession)}/tables/{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _MADE.append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def clear_scratch(spark: SparkSession) -> int:
+    """Delete the tables that `materialize` has written in this process; call it when no result that reads them is needed any more."""
+    jvm, n = spark._jvm, 0
+    for path in _MADE:
+        p = jvm.org.apache.hadoop.fs.Path(path)
+        n += bool(p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True))
+    _MADE.clear()
+    return n
