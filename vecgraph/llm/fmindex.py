@@ -4,8 +4,8 @@ The texts of a shard (windows.py) are numbered word by word and indexed: suffixe
 before them (the Burrows-Wheeler transform) go into a wavelet matrix whose bit levels have rank counts in
 blocks. Documents' pieces are streamed against it: backward search from every place at once, one word at a
 time, while the words read still occur at two places or more. That length is the place's matching
-statistic; places where it reaches the window are repeats. Suffixes are sorted to twice the window or more,
-which is all that counts of strings up to the window need.
+statistic; places where it reaches the window are repeats, and so are the windows inside a longer match.
+Suffixes are sorted to twice the longest string searched, which is all that its counts need.
 
 Defined cases: a null text has no words; texts shorter than the window keep every word; repeated rows
 remove each other's words; matches never cross documents. Kept words are joined by one space.
@@ -69,22 +69,26 @@ class FMIndex:
         self.first = np.searchsorted(np.sort(seq), np.arange(int(seq.max(initial=1)) + 2))
         self.n = len(seq)
 
-    def matching(self, seq: np.ndarray, ends: np.ndarray, most: int, least: int = 2) -> np.ndarray:
+    def matching(self, seq: np.ndarray, ends: np.ndarray, most: np.ndarray | int, least: int = 2) -> np.ndarray:
         """For each end: the longest string of up to `most` words ending there that occurs at `least` places."""
+        most = np.broadcast_to(most, len(ends))
         length = np.zeros(len(ends), np.int64)
+        x = seq[ends]
+        lo, hi = self.first[x], self.first[x + 1]
         alive = np.arange(len(ends))
-        lo, hi = np.zeros(len(ends), np.int64), np.full(len(ends), self.n, np.int64)
-        for step in range(most):
-            at = ends[alive] - step
-            x = seq[at]
-            lo = self.first[x] + self.tree.rank(x, lo)
-            hi = self.first[x] + self.tree.rank(x, hi)
+        step = 0
+        while True:
             keep = (hi - lo >= least) & (x > 0)
             alive, lo, hi = alive[keep], lo[keep], hi[keep]
+            step += 1
+            length[alive] = step
+            on = most[alive] > step
+            alive, lo, hi = alive[on], lo[on], hi[on]
             if not len(alive):
-                break
-            length[alive] = step + 1
-        return length
+                return length
+            x = seq[ends[alive] - step]
+            both = self.tree.rank(np.concatenate([x, x]), np.concatenate([lo, hi]))
+            lo, hi = self.first[x] + both[: len(x)], self.first[x] + both[len(x) :]
 
 
 def sorted_suffixes(seq: np.ndarray, depth: int) -> np.ndarray:
@@ -118,9 +122,21 @@ def repeats(texts: list[bytes], n: np.ndarray, many: np.ndarray, window: int) ->
         parts.append(w)
         at += len(w)
     seq = np.fromiter((x for w in parts for x in w), np.int64, at)
-    start = np.repeat(np.array(begin, np.int64), n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-    index = FMIndex(seq, 2 * window)
-    twice = (index.matching(seq, start + window - 1, window) >= window) | np.repeat(many, n)
+    index = FMIndex(seq, 2 * max(window, int(n.max(initial=1)) - 1 + window))
+    begin, first = np.array(begin, np.int64), np.cumsum(n) - n
+    twice = np.repeat(many, n)
+    # a text is searched from its last window's end; a match of more words than the window settles those before as well
+    todo = np.flatnonzero(~many & (n > 0))
+    last = n - 1
+    while len(todo):
+        at = last[todo]
+        got = index.matching(seq, begin[todo] + at + window - 1, at + window)
+        hit = got >= window
+        done = np.where(hit, got - window + 1, 0)
+        place = np.repeat(first[todo] + at, done) - (np.arange(done.sum()) - np.repeat(np.cumsum(done) - done, done))
+        twice[place] = True
+        last[todo] = at - np.maximum(done, 1)
+        todo = todo[last[todo] >= 0]
     return np.split(twice, np.cumsum(n)[:-1])
 
 
