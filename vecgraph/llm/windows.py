@@ -169,7 +169,7 @@ def repeated_windows(docs: DataFrame, kind: str, window: int, gram: int, engine:
                 cols = [np.concatenate(c) for c in zip(*found, strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["doc_id", "start", "n", "m", "c", "again"])
 
-    cuts = docs.mapInArrow(cut, "doc_id long, start long, n long, m long, c long, again boolean")
+    cuts = materialize(docs.mapInArrow(cut, "doc_id long, start long, n long, m long, c long, again boolean"))
     stats = cuts.groupBy("m").agg(F.count("*").alias("pieces"), F.min("c").alias("c0"), F.max("c").alias("c1"), F.max("again").alias("twice"))
     stats = stats.where("pieces > 1 or twice").select("m", (F.col("twice") | (F.col("c0") != F.col("c1"))).alias("mixed"))
     shared = materialize(cuts.drop("again").join(stats, "m"))
