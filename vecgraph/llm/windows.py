@@ -291,7 +291,9 @@ def cut_hot(texts: DataFrame, engine_runs: Callable[[DataFrame], DataFrame], kin
         each = cut.groupBy("k", "w").agg(F.count("*").alias("places"), F.max("many").alias("many"), F.min(F.struct("m", "c", "lo", "hi")).alias("at"))
         size = each.groupBy("k").agg(F.sum("places").alias("places"), F.max("many").alias("some"), F.count("*").alias("kinds")).where("places > 1 or some")
         held = materialize(cut.join(size, "k"))
-        even = held.where("kinds = 1" if width > 1 else "true").select("m", "c", F.array(F.struct("lo", "hi")).alias("runs"))
+        # single windows are equal only if both hashes agree
+        even = held.where("kinds = 1") if width > 1 else held.join(each.where("places > 1 or many").select("k", "w"), ["k", "w"])
+        even = even.select("m", "c", F.array(F.struct("lo", "hi")).alias("runs"))
         found = even if found is None else found.unionByName(even)
         if width == 1:
             break
