@@ -25,8 +25,8 @@ from vecgraph.session import ship
 
 from . import loss as L
 
-#: Anchors and searches that a fit uses, at most.
-TRAIN_ROWS, TRACE_QUERIES = 500_000, 100_000
+#: Anchors and searches that a fit uses, at most; searches it uses unless told otherwise.
+TRAIN_ROWS, TRACE_QUERIES, SEARCHES = 500_000, 100_000, 200
 
 
 class Adam:
@@ -197,15 +197,16 @@ def _pq_books(x: np.ndarray, m: int, k: int) -> np.ndarray:
     return fit_books(x, m, k, 25)
 
 
-def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds: str = "NR", n: int = 2, k_pos: int = 4, k_neg: int = 12, h: int = 16, teacher: str = "exact", queries: DataFrame | None = None, **options) -> Fitted:
+def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds: str = "NR", n: int = 2, k_pos: int = 4, k_neg: int = 12, h: int = 16, teacher: str = "exact", queries: DataFrame | None = None, searches: int = SEARCHES, **options) -> Fitted:
     """The whole loop: scopes once, traces with the current quantizer and again at each refresh, then the fit. The model kept is
-    the best by `check` (code_recall on the sample, unless given), the start included."""
+    the best by `check` (code_recall on the sample, unless given), the start included. Without `queries`, `searches` rows in hash order,
+    at most TRACE_QUERIES, are searched for traces."""
     f = collect_neighbourhood(base, edges, n, k_pos, k_neg)
     if not len(f.anchors):
         f = Features(*_all(base))
     options.setdefault("check", code_recall(f))
     if "R" in kinds:
-        asked = queries if queries is not None else base.orderBy(F.md5(F.col("id").cast("string")), "id").limit(min(TRACE_QUERIES, 200))
+        asked = queries if queries is not None else base.orderBy(F.md5(F.col("id").cast("string")), "id").limit(min(TRACE_QUERIES, searches))
         start = opq_of(f.x, m, k)[0] if options.get("start", "opq") == "opq" else Quantizer("pq", _pq_books(f.x, m, k))
         collect_routing(f, base, edges, entry, start, asked, h, teacher)
         options["start"] = start
