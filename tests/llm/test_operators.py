@@ -146,6 +146,25 @@ def test_line_dedup_cases(spark, monkeypatch, broadcast):
     assert linededup.dedup_lines(spark.createDataFrame([], "doc_id long, text string, source string")).count() == 0
 
 
+@pytest.mark.parametrize("broadcast", [1_000_000, -1])
+def test_line_dedup_judges_each_row_by_itself(spark, monkeypatch, broadcast):
+    """Null ids, and one id over different texts: no row is cut where another one has boilerplate."""
+    monkeypatch.setattr(linededup, "BROADCAST", broadcast)
+    boiler = "All rights reserved by nobody."
+    texts = [f"{boiler}\nclean line number {i} of this text" if i % 2 else f"clean line number {i} of this text\n{boiler}" for i in range(30)]
+    ids = [i if i < 12 else None if i < 21 else 100 for i in range(30)]
+    more = [(0, f"another text with the first id\n{boiler}\n{boiler}", "s0"), (None, None, "s1"), (100, None, "s1"), (None, texts[12], "s0"), (100, "no boilerplate here\nnor in this line", "s2")]
+    rows = [(d, t, f"s{i % 12}") for i, (d, t) in enumerate(zip(ids, texts, strict=True))] + more
+
+    def expected(doc, text):
+        kept = [x for i, x in enumerate(text.split("\n")) if x != boiler or doc == 0 and boiler not in text.split("\n")[:i]] if text is not None else []
+        n = text.count("\n") + 1 if text is not None else 0
+        return str((doc, "\n".join(kept) if text is not None else None, n, n - len(kept)))
+
+    got = linededup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3), min_sites=10)
+    assert sorted(str((r.doc_id, r.text, r.n_lines, r.n_cut)) for r in got.collect()) == sorted(expected(d, t) for d, t, _ in rows)
+
+
 # ---- op4 ----
 
 

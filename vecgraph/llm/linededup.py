@@ -6,7 +6,8 @@ stay, those surely over it are boilerplate; for lines within BAND standard error
 are counted exactly. A boilerplate line stays in its first place (smallest doc_id, first there) and goes
 everywhere else, so no text is lost from the corpus as a whole.
 
-The boilerplate list is broadcast only up to BROADCAST lines; beyond that places to cut are found by a join.
+The boilerplate list is broadcast only up to BROADCAST lines; beyond that places to cut are found by a join
+on the row itself (doc_id and a SHA-256 of its text), so both ways cut the same lines of the same rows.
 
 Defined cases: a null site counts as one site of its own; a null text stays null and has no lines; short and
 blank lines always stay; a document may end up empty but is never dropped; of repeated rows with one doc_id
@@ -39,11 +40,16 @@ def line_key(line: Column) -> Column:
     return F.xxhash64(F.trim(line))
 
 
-def lines(docs: DataFrame, min_chars: int) -> DataFrame:
-    """(doc_id, pos, h, site) of every line that can be boilerplate."""
-    d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("")).alias("site"), F.col("text").cast("string").alias("text"))
-    each = d.select("doc_id", "site", F.posexplode(F.split("text", "\n", -1)).alias("pos", "line")).where(F.length(F.trim("line")) >= min_chars)
-    return each.select("doc_id", "pos", line_key(F.col("line")).alias("h"), "site")
+def row_key(text: Column) -> Column:
+    """What tells rows with one doc_id (or none) apart; equal rows have the same lines cut."""
+    return F.unhex(F.sha2(text.cast("string"), 256))
+
+
+def lines(docs: DataFrame, min_chars: int, *more: str) -> DataFrame:
+    """(doc_id, pos, h, site) of every line that can be boilerplate, and further columns of its row."""
+    d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("")).alias("site"), F.col("text").cast("string").alias("text"), *more)
+    each = d.select("doc_id", "site", *more, F.posexplode(F.split("text", "\n", -1)).alias("pos", "line")).where(F.length(F.trim("line")) >= min_chars)
+    return each.select("doc_id", "pos", line_key(F.col("line")).alias("h"), "site", *more)
 
 
 def boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, min_chars: int = MIN_CHARS) -> DataFrame:
@@ -104,11 +110,12 @@ def dedup_lines(docs: DataFrame, min_sites: int = MIN_SITES, min_chars: int = MI
 
         return rows.mapInArrow(scan, schema)
 
-    where = lines(docs.select(F.col(id_col).alias("doc_id"), "text", "source"), min_chars).join(known, "h")
-    ahead = where.groupBy("doc_id", "h", "first").agg(F.collect_set("pos").alias("at"))
-    gone = ahead.select("doc_id", F.when(F.col("first").eqNullSafe(F.col("doc_id")), F.array_except("at", F.array(F.array_min("at")))).otherwise(F.col("at")).alias("at"))
-    gone = gone.groupBy(F.col("doc_id").alias("_cut_id")).agg(F.flatten(F.collect_list("at")).alias("_cut_at"))
-    joined = rows.join(gone, F.col(id_col).eqNullSafe(F.col("_cut_id")), "left").drop("_cut_id")
+    keyed = docs.select(F.col(id_col).alias("doc_id"), "text", "source", row_key(F.col("text")).alias("row"))
+    where = lines(keyed, min_chars, "row").join(known, "h")
+    ahead = where.groupBy("doc_id", "row", "h", "first").agg(F.collect_set("pos").alias("at"))
+    gone = ahead.select("doc_id", "row", F.when(F.col("first").eqNullSafe(F.col("doc_id")), F.array_except("at", F.array(F.array_min("at")))).otherwise(F.col("at")).alias("at"))
+    gone = gone.groupBy(F.col("doc_id").alias("_cut_id"), F.col("row").alias("_cut_row")).agg(F.flatten(F.collect_list("at")).alias("_cut_at"))
+    joined = rows.join(gone, F.col(id_col).eqNullSafe(F.col("_cut_id")) & (row_key(F.col("text")) == F.col("_cut_row")), "left").drop("_cut_id", "_cut_row")
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
