@@ -164,6 +164,41 @@ def test_unreached_vertices_are_attached():
     assert len(seen) == 20
 
 
+@pytest.mark.parametrize("kind", ["flat", "spread", "layered"])
+def test_graph_in_cells_keeps_rule_and_reach(spark, kind):
+    """With far groups and many copies of one row: links beyond the degree obey the rule, and all is reachable."""
+    r = np.random.default_rng(5)
+    x = np.concatenate([r.normal(size=(60, 4)), r.normal(size=(60, 4)) + 30, np.tile(r.normal(size=4) + 9, (60, 1))])
+    base = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>")
+    rows = graphs.materialize(graphs.build(base, kind, 4, 12, cells=3)).collect()
+    for lv in {e.level for e in rows}:
+        out = {}
+        for e in rows:
+            if e.level == lv:
+                assert e.src != e.dst and abs(e.d2 - ((x[e.src] - x[e.dst]) ** 2).sum()) < 1e-9
+                out.setdefault(e.src, []).append(e.dst)
+        assert all(len(set(v)) == len(v) for v in out.values())
+        members = np.flatnonzero(graphs.levels_of(np.arange(len(x)), 0.5) >= lv) if kind == "layered" else np.arange(len(x))
+        if kind == "flat":
+            assert set(out) == set(members.tolist()) and max(map(len, out.values())) <= 4
+            continue
+        todo = [int(members[((x[members] - x.mean(0)) ** 2).sum(1).argmin()])]
+        seen = set(todo)
+        while todo:
+            new = set(out.get(todo.pop(), ())) - seen
+            seen |= new
+            todo += new
+        assert seen == set(members.tolist())
+
+
+def test_united_links_are_pruned_by_the_rule(spark):
+    """The nearest links all lie behind one another; the rule keeps one of them and the one on the other side."""
+    x = np.array([0.0, 1, 1.1, 1.2, 1.3, -3])[:, None]
+    placed = spark.createDataFrame([(i, v.tolist(), int(i > 3), True, 0) for i, v in enumerate(x)], "id long, vec array<double>, cell int, home boolean, level int")
+    united = spark.createDataFrame([(0, i, 0) for i in range(1, 6)], "src long, dst long, level int")
+    assert sorted(r.dst for r in graphs.prune_united(placed, united, 2, 2, 1.0).collect()) == [1, 5]
+
+
 def test_link_regression_lowers_the_error():
     x = R.normal(size=(60, 8))
     q = quantize.Quantizer("t", quantize.fit_books(x, 4, 4, 10))

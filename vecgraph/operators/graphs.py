@@ -2,7 +2,8 @@
 
 A shard (at most SHARD_ROWS vectors) is built in one task: a candidate pool of near rows, then pruning by
 one of two rules, then reverse links, pruned again to the degree. Larger sets are cut into cells, each row in
-its two nearest ones; the cells' links are united and pruned once more.
+its two nearest ones; the cells' links are united and pruned once more by the same rule. Where all vertices have
+to be reachable, those not reached are attached after that, and no link made for it is cut.
 """
 
 from __future__ import annotations
@@ -11,6 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -20,6 +22,8 @@ from vecgraph.session import materialize, ship
 from .exact import mean_vector
 from .quantize import kmeans, sample
 
+#: Distances that pool_of holds at once.
+POOL_CELLS = 1 << 23
 EDGES = "src long, dst long, d2 double, level int"
 
 
@@ -28,13 +32,14 @@ def pool_of(x: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     n = len(x)
     k = min(k, n - 1)
     place, dist = np.empty((n, k), int), np.empty((n, k))
-    for i in range(0, n, 1024):
-        d = d2_blas(x[i : i + 1024], x)
+    step = max(1, min(1024, POOL_CELLS // max(n, 1)))
+    for i in range(0, n, step):
+        d = d2_blas(x[i : i + step], x)
         d[np.arange(len(d)), np.arange(i, i + len(d))] = np.inf
         part = np.argpartition(d, min(k, n - 1) - 1, 1)[:, :k] if k < n - 1 else np.argsort(d, 1)[:, :k]
         pd = np.take_along_axis(d, part, 1)
         order = np.lexsort((part, pd))
-        place[i : i + 1024], dist[i : i + 1024] = np.take_along_axis(part, order, 1), np.take_along_axis(pd, order, 1)
+        place[i : i + step], dist[i : i + step] = np.take_along_axis(part, order, 1), np.take_along_axis(pd, order, 1)
     return place, dist
 
 
@@ -72,8 +77,8 @@ def alpha_links(x: np.ndarray, degree: int, pool: int, alpha: float) -> list[np.
     return links
 
 
-def attach_unreached(x: np.ndarray, links: list[np.ndarray], entry: int) -> list[np.ndarray]:
-    """Breadth first from the entry; each vertex not reached gets a link from the nearest one reached."""
+def attach_unreached(x: np.ndarray, links: list[np.ndarray], entry: int | np.ndarray) -> list[np.ndarray]:
+    """Breadth first from the entry (or several); each vertex not reached gets a link from the nearest one reached."""
     n = len(x)
     reached = np.zeros(n, bool)
 
@@ -83,7 +88,7 @@ def attach_unreached(x: np.ndarray, links: list[np.ndarray], entry: int) -> list
             front = np.unique(np.concatenate([links[v] for v in front])).astype(int)
             front = front[~reached[front]]
 
-    spread(np.array([entry]))
+    spread(np.atleast_1d(entry))
     while not reached.all():
         v = int(np.flatnonzero(~reached)[0])
         have = np.flatnonzero(reached)
@@ -101,7 +106,7 @@ def levels_of(ids: np.ndarray, ml: float, most: int = 6) -> np.ndarray:
     return np.minimum(np.floor(-np.log(u) * ml), most).astype(int)
 
 
-def shard_links(kind: str, ids: np.ndarray, x: np.ndarray, degree: int, pool: int, alpha: float, ml: float) -> tuple[np.ndarray, ...]:
+def shard_links(kind: str, ids: np.ndarray, x: np.ndarray, degree: int, pool: int, alpha: float, ml: float, attach: bool = True) -> tuple[np.ndarray, ...]:
     """(src, dst, d2, level) of one shard."""
     level = levels_of(ids, ml) if kind == "layered" else np.zeros(len(ids), int)
     out = []
@@ -112,7 +117,7 @@ def shard_links(kind: str, ids: np.ndarray, x: np.ndarray, degree: int, pool: in
         y = x[here]
         links = alpha_links(y, degree, pool, alpha if kind == "flat" else 1.0)
         entry = int(np.argmin(((y - x.mean(0)) ** 2).sum(1)))
-        if kind != "flat":
+        if kind != "flat" and attach:
             links = attach_unreached(y, links, entry)
         src = np.repeat(here, [len(r) for r in links])
         dst = here[np.concatenate(links)] if links else np.empty(0, int)
@@ -120,10 +125,39 @@ def shard_links(kind: str, ids: np.ndarray, x: np.ndarray, degree: int, pool: in
     return tuple(np.concatenate(c) for c in zip(*out, strict=True)) if out else (np.empty(0, np.int64),) * 4
 
 
+def cell_tables(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """One table per cell, from batches sorted by cell."""
+    at, held = None, []
+    for b in batches:
+        t = pa.Table.from_batches([b])
+        cell = t["cell"].to_numpy()
+        for c in np.unique(cell):
+            if c != at and held:
+                yield pa.concat_tables(held).combine_chunks()
+                held = []
+            at = c
+            held.append(t.filter(pa.array(cell == c)))
+    if held:
+        yield pa.concat_tables(held).combine_chunks()
+
+
+def edge_batch(src: list, dst: list, d2: list, level: list) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(src, pa.int64()), pa.array(dst, pa.int64()), pa.array(d2, pa.float64()), pa.array(level, pa.int32())], ["src", "dst", "d2", "level"])
+
+
+def links_of(t: pa.Table, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Places of both ends and the levels of the links kept in a cell's table (ids ascending); ends elsewhere are left out."""
+    src = np.repeat(np.arange(len(ids)), pc.fill_null(pc.list_value_length(t["dsts"]), 0).to_numpy())
+    dst, lv = pc.list_flatten(t["dsts"]).to_numpy(), pc.list_flatten(t["levels"]).to_numpy()
+    to = np.minimum(np.searchsorted(ids, dst), len(ids) - 1)
+    here = ids[to] == dst
+    return src[here], to[here], lv[here]
+
+
 def build(base: DataFrame, kind: str, degree: int = 16, pool: int = 48, alpha: float = 1.2, ml: float = 0.5, cells: int = 1) -> DataFrame:
     """(src, dst, d2, level). kind: "flat" (rule relaxed by alpha), "spread" (alpha one, all reachable), "layered" (spread per level).
 
-    cells > 1: every row goes to its two nearest cells; links of both are united, the nearest `degree` by the rule kept.
+    cells > 1: every row goes to its two nearest cells; links of both are united and, beyond `degree`, pruned by the rule.
     """
     ship(base.sparkSession)
     centres = None if cells == 1 else kmeans(sample(base, 100_000), cells, 8)[0]
@@ -134,36 +168,134 @@ def build(base: DataFrame, kind: str, degree: int = 16, pool: int = 48, alpha: f
                 continue
             x = matrix(b.column(1))
             near = np.argsort(d2_blas(x, centres), 1, kind="stable")[:, :2] if centres is not None else np.zeros((len(x), 1), int)
+            level = levels_of(b.column(0).to_numpy(), ml) if kind == "layered" else np.zeros(len(x), int)
             take = pa.table(b).take(pa.array(np.repeat(np.arange(len(x)), near.shape[1])))
-            yield from take.append_column("cell", pa.array(near.ravel().astype(np.int32))).combine_chunks().to_batches()
+            take = take.append_column("cell", pa.array(near.ravel().astype(np.int32)))
+            take = take.append_column("home", pa.array(np.arange(near.size) % near.shape[1] == 0))
+            yield from take.append_column("level", pa.array(np.repeat(level, near.shape[1]).astype(np.int32))).combine_chunks().to_batches()
 
     def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, ids, vecs = None, [], []
+        for t in cell_tables(batches):
+            yield edge_batch(*shard_links(kind, t["id"].to_numpy(), matrix(t["vec"]), degree, pool, alpha, ml, attach=cells == 1))
 
-        def out() -> Iterator[pa.RecordBatch]:
-            if ids:
-                num = np.concatenate(ids)
-                s, t, d, lv = shard_links(kind, num, np.concatenate(vecs), degree, pool, alpha, ml)
-                yield pa.RecordBatch.from_arrays([pa.array(s), pa.array(t), pa.array(d.astype(float)), pa.array(lv.astype(np.int32))], ["src", "dst", "d2", "level"])
-
-        for b in batches:
-            t = pa.table(b)
-            cell, num, x = t["cell"].to_numpy(), t["id"].to_numpy(), matrix(t["vec"])
-            for c in np.unique(cell):
-                if c != at:
-                    yield from out()
-                    at, ids, vecs = c, [], []
-                ids.append(num[cell == c])
-                vecs.append(x[cell == c])
-        yield from out()
-
-    placed = base.select("id", "vec").mapInArrow(place, "id long, vec array<double>, cell int")
+    placed = base.select("id", "vec").mapInArrow(place, "id long, vec array<double>, cell int, home boolean, level int")
+    if cells > 1:
+        placed = materialize(placed)
     found = placed.repartitionById(max(1, cells), F.col("cell")).sortWithinPartitions("cell", "id").mapInArrow(links, EDGES)
     if cells == 1:
         return found
-    united = found.groupBy("src", "dst", "level").agg(F.min("d2").alias("d2"))
-    rank = F.row_number().over(Window.partitionBy("src", "level").orderBy("d2", "dst"))
-    return united.withColumn("r", rank).where(F.col("r") <= degree).select("src", "dst", "d2", "level")
+    united = prune_united(placed, materialize(found.select("src", "dst", "level").distinct()), cells, degree, alpha if kind == "flat" else 1.0)
+    return united if kind == "flat" else attach_across(base, placed, united, cells)
+
+
+def _in_cells(rows: DataFrame, edges: DataFrame, cells: int) -> DataFrame:
+    """rows (cell, id, vec, own, ...) with the links of own rows, each cell in one task, ids ascending."""
+    out = edges.groupBy("src").agg(F.collect_list(F.struct("dst", "level")).alias("l")).select("src", F.lit(True).alias("own"), F.col("l.dst").alias("dsts"), F.col("l.level").alias("levels"))
+    joined = rows.join(out.withColumnRenamed("src", "id"), ["id", "own"], "left")
+    return joined.repartitionById(cells, F.col("cell")).sortWithinPartitions("cell", "id")
+
+
+def prune_united(placed: DataFrame, united: DataFrame, cells: int, degree: int, alpha: float) -> DataFrame:
+    """Prune each vertex's links in its home cell; vectors of links' ends that live elsewhere are sent there once."""
+
+    def pruned(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in cell_tables(batches):
+            ids, x = t["id"].to_numpy(), matrix(t["vec"])
+            src, dst, level = links_of(t, ids)
+            order = np.lexsort((dst, src, level))
+            src, dst, level = src[order], dst[order], level[order]
+            ends = np.flatnonzero(np.diff(src, append=-1) | np.diff(level, append=-1)) + 1
+            keep = []
+            for lo, hi in zip([0, *ends], ends, strict=False):
+                keep.append(np.arange(lo, hi))
+                if hi - lo > degree:
+                    keep[-1] = lo + np.searchsorted(dst[lo:hi], prune(x, int(src[lo]), dst[lo:hi], degree, alpha))
+            if keep:
+                at = np.concatenate(keep)
+                s, d = src[at], dst[at]
+                yield edge_batch(ids[s], ids[d], ((x[s] - x[d]) ** 2).sum(1), level[at])
+
+    home = placed.where("home").select("id", "vec", "cell")
+    ends = united.join(home.select(F.col("id").alias("src"), "cell"), "src").select("cell", F.col("dst").alias("id")).distinct()
+    away = ends.join(home.select("id", "cell"), ["id", "cell"], "left_anti").join(home.select("id", "vec"), "id")
+    rows = home.withColumn("own", F.lit(True)).unionByName(away.select("id", "vec", "cell", F.lit(False).alias("own")))
+    return materialize(_in_cells(rows, united, cells).mapInArrow(pruned, EDGES))
+
+
+def spread_from(edges: DataFrame, entries: DataFrame) -> DataFrame:
+    """(level, vid) of all that is reachable on each level from its entry."""
+    seen = front = materialize(entries.select("level", "vid"))
+    step = edges.select("level", F.col("src").alias("vid"), "dst")
+    while not front.isEmpty():
+        ring = front.join(step, ["level", "vid"]).select("level", F.col("dst").alias("vid")).distinct()
+        front = materialize(ring.join(seen, ["level", "vid"], "left_anti"))
+        seen = seen.unionByName(front)
+    return seen
+
+
+def level_entries(base: DataFrame, members: DataFrame) -> DataFrame:
+    """(level, vid): of the vertices on each level that has several, the one nearest to the mean of the base."""
+    from vecgraph.functions.columns import d2
+
+    mean = F.lit(mean_vector(base)).cast("array<double>")
+    each = members.select("id", d2(F.col("vec"), mean).alias("d2"), F.explode(F.sequence(F.lit(0), "level")).alias("level"))
+    return each.groupBy("level").agg(F.min(F.struct("d2", "id")).alias("b"), F.count("*").alias("n")).where("n > 1").select("level", F.col("b.id").alias("vid"))
+
+
+def attach_across(base: DataFrame, placed: DataFrame, edges: DataFrame, cells: int) -> DataFrame:
+    """Add links until each level is reachable from its entry, whatever the degree.
+
+    In each home cell a vertex not reached gets a link from the nearest one reached there. A cell in which none is
+    reached is attached to its first vertex, and that one to the nearest vertex reached anywhere.
+    """
+    home = placed.where("home").select("id", "vec", "cell", "level")
+    seen = materialize(spread_from(edges, level_entries(base, home)))
+
+    def attached(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in cell_tables(batches):
+            ids, x, top = t["id"].to_numpy(), matrix(t["vec"]), t["level"].to_numpy()
+            src, dst, level = links_of(t, ids)
+            reached_on = [set(r or ()) for r in t["reached"].to_pylist()]
+            for lv in range(top.max(initial=0) + 1):
+                here = np.flatnonzero(top >= lv)
+                start = np.flatnonzero([lv in reached_on[v] for v in here])
+                if len(start) == len(here):
+                    continue
+                if not len(start):
+                    start = np.zeros(1, int)
+                    yield edge_batch([None], [ids[here[0]]], [None], [lv])
+                on, y = level == lv, x[here]
+                s, d = np.searchsorted(here, src[on]), np.searchsorted(here, dst[on])
+                order = np.argsort(s, kind="stable")
+                old = np.split(d[order], np.searchsorted(s[order], np.arange(1, len(here))))
+                many = [len(r) for r in old]
+                new = [r[n:] for r, n in zip(attach_unreached(y, old, start), many, strict=True)]
+                a, b = np.repeat(np.arange(len(here)), [len(r) for r in new]), np.concatenate(new).astype(int)
+                yield edge_batch(ids[here[a]], ids[here[b]], ((y[a] - y[b]) ** 2).sum(1), np.full(len(a), lv))
+
+    rows = home.withColumn("own", F.lit(True)).join(seen.groupBy(F.col("vid").alias("id")).agg(F.collect_list("level").alias("reached")), "id", "left")
+    made = materialize(_in_cells(rows, edges, cells).mapInArrow(attached, EDGES))
+    roots = made.where("src is null").select("level", F.col("dst").alias("id")).join(home.select("id", "vec"), "id").collect()  # one per cell and level at most
+    out = edges.unionByName(made.where("src is not null"))
+    if not roots:
+        return out
+    r_id, r_level, r_vec = np.array([r.id for r in roots]), np.array([r.level for r in roots]), np.array([r.vec for r in roots])
+
+    def nearest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if not b.num_rows:
+                continue
+            num, lv = b.column(0).to_numpy(), b.column(2).to_numpy()
+            x = matrix(b.column(1))
+            for i in range(len(r_id)):
+                on = np.flatnonzero(lv == r_level[i])
+                if len(on):
+                    d = ((x[on] - r_vec[i]) ** 2).sum(1)
+                    yield edge_batch([num[on[d.argmin()]]], [r_id[i]], [d.min()], [r_level[i]])
+
+    reached = seen.withColumnRenamed("vid", "id").join(home.select("id", "vec"), "id").select("id", "vec", "level")
+    best = reached.mapInArrow(nearest, EDGES).groupBy("dst", "level").agg(F.min(F.struct("d2", "src")).alias("b"))
+    return out.unionByName(best.select("b.src", "dst", "b.d2", "level"))
 
 
 def graph_stats(edges: DataFrame) -> DataFrame:

@@ -68,6 +68,24 @@ def sharded_build(spark, d):
     return g.groupBy("src").agg(F.count("*").alias("deg")).agg(F.count("*").alias("vertices"), (F.max("deg") <= 16).alias("degree_bounded"))
 
 
+@query(sql(ISO, "SELECT count(*) AS reached FROM iso"))
+def spread_reachable_cells(spark, d):
+    """As spread_reachable, of a graph built in four cells."""
+    base = Setting(spark, d).base
+    g = graphs.materialize(graphs.build(base, "spread", 16, cells=4))
+    return graphs.reachable(g, graphs.entry_vertex(base)).agg(F.count("*").alias("reached"))
+
+
+@query("SELECT level::INT AS level, count(*) AS reached FROM (SELECT least(floor(-ln((('0x' || substr(md5(vec_id::VARCHAR), 1, 8))::BIGINT + 0.5) / 4294967296.0) * 0.5), 6) AS l FROM embeddings), range(7) t(level) WHERE l >= level GROUP BY level HAVING count(*) > 1")
+def layered_reachable_cells(spark, d):
+    """Vertices that are reachable on each level of a graph built in four cells from the one nearest to the mean."""
+    base = Setting(spark, d).base
+    g = graphs.materialize(graphs.build(base, "layered", 16, cells=4))
+    ends = g.select(F.explode(F.array("src", "dst")).alias("id"), "level").groupBy("id").agg(F.max("level").alias("level"))
+    members = base.join(ends, "id")
+    return graphs.spread_from(g, graphs.level_entries(base, members)).groupBy("level").agg(F.count("*").alias("reached"))
+
+
 @query(sql(ISO, "SELECT count(*) * 10 AS answers, true AS ordered FROM iso WHERE id % 50 = 0"))
 def sharded_search(spark, d):
     s = Setting(spark, d)
