@@ -199,6 +199,25 @@ def test_united_links_are_pruned_by_the_rule(spark):
     assert sorted(r.dst for r in graphs.prune_united(placed, united, 2, 2, 1.0).collect()) == [1, 5]
 
 
+def test_scale_series_keeps_repeated_rows(spark, sf_dir, tmp_path, monkeypatch):
+    """Equal rows, and rows that differ in their quantity only, stay rows of their own with ids of their own."""
+    from pyspark.sql import functions as F
+
+    from vecgraph import workloads
+    from vecgraph.sources import sets
+
+    monkeypatch.setattr(sets, "BLOCK", 2)
+    li = spark.read.parquet(f"{sf_dir}/lineitem.parquet").orderBy("l_orderkey", "l_linenumber", "l_partkey").limit(200)
+    more = [li.withColumn("l_quantity", F.col("l_quantity") + 1), *[li.limit(20)] * 4]
+    for m in more:
+        li = li.unionByName(m)
+    li.write.parquet(f"{tmp_path}/lineitem.parquet")
+    base = sets.rowvec(spark, str(tmp_path))
+    assert base.count() == base.select("id").distinct().count() == 480
+    assert base.groupBy("vec").count().where("count >= 5").count() >= 20
+    assert workloads.scale_series(spark, [str(tmp_path)]).first().base == 480
+
+
 def test_link_regression_lowers_the_error():
     x = R.normal(size=(60, 8))
     q = quantize.Quantizer("t", quantize.fit_books(x, 4, 4, 10))

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from vecgraph.functions.columns import dot
 from vecgraph.session import ship
 
+BLOCK = 10_000  # equal rows told out in one go
 QUERY_STEP = 50
 BUCKETS = 64
 
@@ -57,10 +58,15 @@ def page(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def rowvec(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Eight scaled measures of every lineitem; the id is a row hash with a counter for equal rows."""
-    li = table(spark, sf_dir, "lineitem")
+    """Eight scaled measures of every lineitem; the id is a row hash with a counter for equal rows.
+
+    Equal rows are counted and told out again in blocks, so a large group of copies is in no single task.
+    """
+    row = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice", "l_shipdate", "l_quantity", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
+    blocks = table(spark, sf_dir, "lineitem").groupBy(*row).agg(F.count("*").alias("n")).withColumn("block", F.explode(F.expr(f"sequence(0L, (n - 1) div {BLOCK})")))
+    li = blocks.repartition(*row, "block").withColumn("copy", F.explode(F.expr(f"sequence(block * {BLOCK}, least(n, (block + 1) * {BLOCK}) - 1)")))
     v = F.array(F.col("l_quantity") / 50, F.col("l_extendedprice") / 1e5, F.col("l_discount") * 10, F.col("l_tax") * 10, F.month("l_shipdate") / F.lit(12.0), F.col("l_linenumber") / F.lit(7.0), F.when(F.col("l_returnflag") == "A", 0.0).when(F.col("l_returnflag") == "N", 0.5).otherwise(1.0), F.when(F.col("l_linestatus") == "O", 0.0).otherwise(1.0))
-    return li.select(F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice", "l_shipdate").alias("id"), v.cast("array<double>").alias("vec"))
+    return li.select(F.xxhash64(*row, "copy").alias("id"), v.cast("array<double>").alias("vec"))
 
 
 def profile(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -223,7 +223,7 @@ def scale_series(spark: SparkSession, dirs: list[str], name: str = "rowvec", cel
 
     rows = []
     for d in dirs:
-        base = materialize(sets.SETS[name](spark, d).dropDuplicates(["id"]))
+        base = materialize(sets.SETS[name](spark, d))
         n = base.count()
         q = quantize.train_opq(base, 4, 16, rows=20_000)
         index = ShardedIndex.build(base, q, cells_of(n))
