@@ -406,6 +406,55 @@ def test_fm_index_dedup(spark, monkeypatch, window, gram, hot):
     assert fmindex.kept_digest(df.limit(0), window).count() == 0
 
 
+@pytest.mark.parametrize("hot", [512, 1])
+def test_clashing_hashes_decide_nothing(spark, monkeypatch, hot):
+    """Half of every content digest is one value, as if all pieces' hashes clashed: the engines see the texts."""
+
+    class Clash(windows.Units):
+        def digests(self, *args):
+            c, e = super().digests(*args)
+            return np.zeros_like(c), e
+
+    monkeypatch.setattr(windows, "Units", Clash)
+    monkeypatch.setattr(windows, "HOT", hot)
+    monkeypatch.setattr(suffixarray, "GRAM", 8)
+    monkeypatch.setattr(fmindex, "GRAM", 2)
+    df, rows = _frame(spark, _texts(10, 25), repeat=(1, 27))
+    for kept, window, split, name in ((suffixarray.kept_digest, 30, lambda b: b, "n_bytes"), (fmindex.kept_digest, 5, bytes.split, "n_words")):
+        want = sorted((r[0], n, g) for r, (n, g, _, _) in zip(rows, _kept(split, [r[1] for r in rows], window), strict=True))
+        assert _by_id(kept(df, window), name, "n_removed") == want
+
+
+@pytest.mark.parametrize("kind", ["bytes", "words"])
+def test_slices_hold_each_window_once(kind):
+    r = random.Random(3)
+    text = " ".join("x" * r.randrange(1, 9) + "\n" * r.randrange(3) for _ in range(400)).encode()
+    whole = windows.Units(kind).split(text)
+    got = [(lo + i, tuple(part[i : i + 7])) for lo, part in windows.Units(kind, 20).slices(text, 7) for i in range(len(part) - 6)]
+    assert got == [(i, tuple(whole[i : i + 7])) for i in range(len(whole) - 6)]
+    assert [list(p) for _, p in windows.Units(kind, 20).slices(b"", 7)] in ([], [[]])
+
+
+def test_long_texts_are_read_as_short_ones(monkeypatch):
+    r = random.Random(4)
+    text = b"\x0b " + b" \n".join(b"w%d" % r.randrange(99) for _ in range(500)) + b"\t"
+    short, n = windows.Units("words").reader(text), len(text.split())
+    want = [short(a, z) for a in range(0, n, 37) for z in (a, a + 1, n)]
+    kept = fmindex.kept_words(text, [[0, 3], [7, 400]])
+    monkeypatch.setattr(windows, "LONG", 0)
+    monkeypatch.setattr(fmindex, "LONG", 11)
+    long = windows.Units("words").reader(text)
+    assert [long(a, z) for a in range(0, n, 37) for z in (a, a + 1, n)] == want
+    assert fmindex.kept_words(text, [[0, 3], [7, 400]]) == kept == (n, 396, hashlib.sha256(b" ".join(text.split()[3:7] + text.split()[400:])).hexdigest())
+
+
+def test_long_runs_of_one_key_are_cut(monkeypatch):
+    """A text of one byte is a single run; no piece may be as long as the text."""
+    data = np.zeros(50_000, np.uint64)
+    _, s, n, m, again = windows.pieces(data, np.array([50_000]), 400, 256)
+    assert n.max() == windows.PIECE and n.sum() == 50_000 - 399 and len(set(m.tolist())) == 1 and again.all()
+
+
 def test_matching_statistics():
     r = random.Random(2)
     seq = np.array([r.randrange(1, 4) for _ in range(300)] + [0])

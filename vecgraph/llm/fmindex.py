@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .common import column, raw
-from .windows import list_spans, merged, removed_spans
+from .windows import LONG, _ramp, list_spans, merged, removed_spans, word_bounds
 
 #: Words whose hash is the key of a window.
 GRAM = 15
@@ -111,8 +111,8 @@ def sorted_suffixes(seq: np.ndarray, depth: int) -> np.ndarray:
     return order
 
 
-def repeats(texts: list[bytes], n: np.ndarray, many: np.ndarray, window: int) -> list[np.ndarray]:
-    """For each text, which of its first n words begin a window that starts elsewhere too."""
+def repeats(texts: list[bytes], n: np.ndarray, judged: np.ndarray, window: int) -> list[np.ndarray]:
+    """For each judged text, which of its first n words begin a window that starts elsewhere too."""
     numbers: dict[bytes, int] = {}
     parts, begin, at = [], [], 0
     for t in texts:
@@ -124,19 +124,27 @@ def repeats(texts: list[bytes], n: np.ndarray, many: np.ndarray, window: int) ->
     seq = np.fromiter((x for w in parts for x in w), np.int64, at)
     index = FMIndex(seq, 2 * max(window, int(n.max(initial=1)) - 1 + window))
     begin, first = np.array(begin, np.int64), np.cumsum(n) - n
-    twice = np.repeat(many, n)
-    # a text is searched from its last window's end; a match of more words than the window settles those before as well
-    todo = np.flatnonzero(~many & (n > 0))
-    last = n - 1
+    twice = np.zeros(int(n.sum()), bool)
+    # windows lo to hi (exclusive) are open: by turns a text is searched from the last one's end, where a match of more
+    # words than the window settles those before as well, and from the first one's, where a match of fewer tells that
+    # no window that holds it and the word before repeats
+    lo, hi = np.zeros(len(n), np.int64), np.where(judged, n, 0)
+    todo = np.flatnonzero(hi > 0)
+    from_end = True
     while len(todo):
-        at = last[todo]
-        got = index.matching(seq, begin[todo] + at + window - 1, at + window)
+        at = hi[todo] - 1 if from_end else lo[todo]
+        got = index.matching(seq, begin[todo] + at + window - 1, at + window if from_end else window)
         hit = got >= window
-        done = np.where(hit, got - window + 1, 0)
-        place = np.repeat(first[todo] + at, done) - (np.arange(done.sum()) - np.repeat(np.cumsum(done) - done, done))
-        twice[place] = True
-        last[todo] = at - np.maximum(done, 1)
-        todo = todo[last[todo] >= 0]
+        if from_end:
+            done = np.minimum(np.where(hit, got - window + 1, 0), hi[todo] - lo[todo])
+            place = np.repeat(first[todo] + at, done) - _ramp(done)
+            twice[place] = True
+            hi[todo] -= np.maximum(done, 1)
+        else:
+            twice[first[todo[hit]] + at[hit]] = True
+            lo[todo] += np.where(hit, 1, window - got)
+        todo = todo[lo[todo] < hi[todo]]
+        from_end = not from_end
     return np.split(twice, np.cumsum(n)[:-1])
 
 
@@ -145,6 +153,25 @@ def word_spans(docs: DataFrame, window: int = 35, id_col: str = "doc_id", text_c
     return removed_spans(docs, "words", window, min(GRAM, window), repeats, id_col, text_col)
 
 
+def kept_words(text: bytes, runs: list[list[int]]) -> tuple[int, int, str]:
+    """(words, words within the runs, digest of the others joined by one space), in bounded memory for long texts."""
+    gone = sum(z - a for a, z in runs)
+    if len(text) < LONG:
+        words = text.split()
+        cuts = [0, *(x for r in runs for x in r), len(words)]
+        kept = [w for a, z in zip(cuts[::2], cuts[1::2], strict=True) for w in words[a:z]]
+        return len(words), gone, hashlib.sha256(b" ".join(kept)).hexdigest()
+    first, last = word_bounds(text)
+    cuts = [0, *(x for r in runs for x in r), len(first)]
+    found, gap = hashlib.sha256(), b""
+    for a, z in zip(cuts[::2], cuts[1::2], strict=True):
+        for lo in range(a, z, LONG):
+            hi = min(lo + LONG, z)
+            found.update(gap + b" ".join(text[first[lo] : last[hi - 1]].split()))
+            gap = b" "
+    return len(first), gone, found.hexdigest()
+
+
 def kept_digest(docs: DataFrame, window: int = 35) -> DataFrame:
     """The contract's columns from the operator's spans."""
 
@@ -152,10 +179,7 @@ def kept_digest(docs: DataFrame, window: int = 35) -> DataFrame:
         for b in batches:
             rows = []
             for doc, text, spans in zip(column(b, "doc_id").to_pylist(), raw(b), list_spans(b), strict=True):
-                words, runs = (text or b"").split(), merged(spans)
-                cuts = [0, *(x for r in runs for x in r), len(words)]
-                kept = [w for a, z in zip(cuts[::2], cuts[1::2], strict=True) for w in words[a:z]]
-                rows.append((doc, len(words), len(words) - len(kept), hashlib.sha256(b" ".join(kept)).hexdigest()))
+                rows.append((doc, *kept_words(text or b"", merged(spans))))
             cols = list(zip(*rows, strict=True)) or [[]] * 4
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, [pa.int64()] * 3 + [pa.string()], strict=True)], ["doc_id", "n_words", "n_removed", "kept_sha256"])
 

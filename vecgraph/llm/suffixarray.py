@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .common import column, raw
-from .windows import list_spans, merged, removed_spans
+from .windows import _ramp, list_spans, merged, removed_spans
 
 #: Bytes whose hash is the key of a window (windows.py): texts that share fewer never meet.
 GRAM = 256
@@ -93,14 +93,13 @@ def suffix_order(data: bytes, end: np.ndarray, wanted: np.ndarray, depth: int) -
     return order[wanted[order]]
 
 
-def repeats(texts: list[bytes], n: np.ndarray, many: np.ndarray, window: int) -> list[np.ndarray]:
-    """For each text, which of its first n starts begin a window that starts elsewhere too (all, if the text stands for many)."""
+def repeats(texts: list[bytes], n: np.ndarray, judged: np.ndarray, window: int) -> list[np.ndarray]:
+    """For each text, which of its first n starts begin a window that starts elsewhere too."""
     data = b"".join(texts)
     end = np.cumsum(np.fromiter(map(len, texts), np.int64, len(texts)))
     begin = end - np.fromiter(map(len, texts), np.int64, len(texts))
     wanted = np.zeros(len(data), bool)
-    at = np.repeat(begin, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-    wanted[at] = True
+    wanted[np.repeat(begin, n) + _ramp(n)] = True
     order = suffix_order(data, end, wanted, window).tolist()
     twice = np.zeros(len(data), bool)
     before, last = None, -1
@@ -109,14 +108,9 @@ def repeats(texts: list[bytes], n: np.ndarray, many: np.ndarray, window: int) ->
         if now == before:
             twice[i] = twice[last] = True
         before, last = now, i
-    twice[np.repeat(begin, n * many) + _ramp(n * many)] = True
     return [twice[b : b + k] for b, k in zip(begin.tolist(), n.tolist(), strict=True)]
 
 
-def _ramp(n: np.ndarray) -> np.ndarray:
-    return np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-
-
 def substring_spans(docs: DataFrame, window: int = 400, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text, spans): bytes covered by strings of `window` bytes that also start anywhere else."""
     return removed_spans(docs, "bytes", window, min(GRAM, window), repeats, id_col, text_col)
