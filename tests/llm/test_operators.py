@@ -10,12 +10,13 @@ import pytest
 
 pytest.importorskip("vecgraph.llm")
 
+import brute  # noqa: E402
 import xxhash  # noqa: E402
 from pyspark.sql import functions as F  # noqa: E402
 
 from vecgraph.llm import bpe, decontaminate, fmindex, langid, linededup, queries, secrets, simhash, suffixarray, topk, urlfilter, windows  # noqa: E402
 
-VOCAB = queries.TOKENIZERS + "/word_bpe_49k.json"
+VOCAB = queries.VOCABULARY
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, id long, h long, key string, hit long"
 WORDS = "alpha beta gamma delta epsilon zeta eta theta iota kappa".split()
 
@@ -186,6 +187,45 @@ def test_language_id_cases(spark):
     assert langid.predict(df.limit(0), model).count() == 0
 
 
+def test_language_id_against_brute_force(spark, sf_dir):
+    rows = [(r.doc_id, r.text, r.lang) for r in spark.read.parquet(f"{sf_dir}/documents.parquet").orderBy("doc_id").limit(40).collect()]
+    rows += [(1000, "Ünïcode ß text\n\nwith  gaps-and 3 numbers", "de"), (1001, None, "en"), (1002, "...", "en"), (1003, "x", None), (1003, "x", None), (1004, "long words " * 4000, "en")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(3)
+    train = [(lang, text) for i, text, lang in rows if i % 3]
+    model = langid.fit(df.where("doc_id % 3 <> 0"))
+    got = sorted((r.doc_id, r.lang_pred, r.score) for r in langid.predict(df, model).collect())
+    want = sorted((r[0], lang, min(1.0, max(0.0, cos))) for r, (lang, cos) in zip(rows, brute.languages(train, [r[1] for r in rows], langid.DIMS), strict=True))
+    assert [g[:2] for g in got] == [w[:2] for w in want] and np.allclose([g[2] for g in got], [w[2] for w in want], atol=1e-5)
+
+
+def test_operators_keep_clashing_columns(spark):
+    """Output names are a parameter: columns of the input with the usual names can stay."""
+    names = ["cut_at", "cut_id", "cut_row", "n_lines", "n_cut", "lang_pred", "score", "row", "h", "first"]
+    rows = [(i, f"All rights reserved by nobody.\nline {i} of this text", f"s{i}", *range(len(names))) for i in range(12)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, " + ", ".join(f"{n} long" for n in names))
+    for most in (1_000_000, -1):
+        old, linededup.BROADCAST = linededup.BROADCAST, most
+        try:
+            cut = linededup.dedup_lines(df, out=("made", "gone")).collect()
+        finally:
+            linededup.BROADCAST = old
+        assert all([r[n] for n in names] == list(range(len(names))) for r in cut) and sum(r.gone for r in cut) == 11
+    told = langid.predict(df, langid.fit(df.withColumn("lang", F.lit("en"))), out=("language", "cosine")).collect()
+    assert all([r[n] for n in names] == list(range(len(names))) and r.language == "en" for r in told)
+    assert linededup.dedup_lines(df).columns == [c for c in df.columns if c not in ("n_lines", "n_cut")] + ["n_lines", "n_cut"]
+
+
+def test_one_of_each(spark):
+    """Repeated rows, equal ids over different texts and rows without ids: one row of each group stays."""
+    text = "some words that stand in this text more than once or twice"
+    rows = [(7, text, "a"), (3, text, "b"), (3, text, "b"), (3, text, "c"), (None, text, "d"), (None, "another text without any id at all here", "e"), (None, "another text without any id at all here", "e"), (3, "third text that differs from all the other ones", "f"), (9, None, "g"), (8, "", "h")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, all string").withColumn("row", F.lit(1)).withColumn("m", F.create_map(F.lit("k"), F.lit("v")))
+    got = simhash.one_of_each(docs.repartition(4))
+    assert got.columns == docs.columns
+    assert sorted((str(r.doc_id), r.text) for r in got.collect()) == sorted([("3", text), ("None", rows[5][1]), ("3", rows[7][1]), ("8", "")])
+    assert simhash.one_of_each(docs.limit(0)).count() == 0
+
+
 def test_binding_is_by_place():
     s = langid.Space(256)
     grams = [(a << 42) | (b << 21) | c for a, b, c in ((97, 98, 99), (99, 98, 97))]
@@ -313,7 +353,7 @@ def test_connected_components(spark):
 @pytest.mark.parametrize("block", [decontaminate.BLOCK_TERMS, 40])
 def test_decontamination(spark, monkeypatch, block):
     monkeypatch.setattr(decontaminate, "BLOCK_TERMS", block)
-    monkeypatch.setattr(decontaminate, "SHARD_BYTES", 2000)
+    monkeypatch.setattr(decontaminate, "SEGMENT_BYTES", 2000)
     r = random.Random(6)
     texts = _texts(6, 40)
     items = [("7", "one TWO three"), ("8", ""), ("9", None), ("10", "alpha")] + [(str(20 + i), " ".join(r.choice(WORDS) for _ in range(r.randrange(5, 25)))) for i in range(12)]
@@ -321,13 +361,29 @@ def test_decontamination(spark, monkeypatch, block):
     texts += [f"x {items[i][1]} y. {items[i][1]}" for i in range(4, 12)] + ["one, two; THREE", " ".join((items[9][1] or "").split()[:9])]
     df, rows = _frame(spark, texts, repeat=(50,))
     got = _by_id(decontaminate.contamination_digest(df, spark.createDataFrame(items, "item_id string, text string")), "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
-    brute = decontaminate.brute_force(texts, [i for i in items if i[0]])
-    want = sorted((row[0], n, h, len(i), decontaminate.digest(i), h > 0) for row in rows for n, h, i in [brute[row[0]]])
+    found = brute.contamination(texts, items)
+    want = sorted((row[0], n, h, len(i), brute.ids_digest(i), h > 0) for row in rows for n, h, i in [found[row[0]]])
     assert got == want
     assert decontaminate.contamination_digest(df.limit(0), spark.createDataFrame(items, "item_id string, text string")).count() == 0
     assert not any(r.contaminated for r in decontaminate.contamination_digest(df, spark.createDataFrame([], "item_id string, text string")).collect())
 
 
+def test_long_texts_are_numbered_in_blocks(monkeypatch):
+    text = " ".join(WORDS * 50).encode()
+    whole = decontaminate.segment([text, None, b"alpha x"])
+    monkeypatch.setattr(decontaminate, "SPLIT_BYTES", 7)
+    for a, b in zip(whole, decontaminate.segment([text, None, b"alpha x"]), strict=True):
+        assert list(a) == list(b)
+
+
+def test_index_serves_several_test_sets(spark):
+    docs = spark.createDataFrame([(None, "alpha beta gamma"), (1, "gamma beta alpha"), (1, "gamma beta alpha")], "doc_id long, text string")
+    index = decontaminate.build_index(docs)
+    for phrase, n in (("alpha beta", 1), ("beta alpha", 1), ("alpha", 2), ("beta gamma delta", 0)):
+        items = spark.createDataFrame([(1, phrase)], "item_id long, text string")
+        assert decontaminate.matches(index, items).count() == n
+
+
 def test_near_matches(spark):
     items = spark.createDataFrame([(1, "zebra quagga okapi"), (2, "zebra unicorn")], "item_id long, text string")
     docs = spark.createDataFrame([(1, "okapi then a quagga near one zebra"), (2, "zebra " + "word " * 50 + "quagga okapi"), (3, "zebra")], "doc_id long, text string")
@@ -351,13 +407,13 @@ def test_bpe_equals_the_library(spark):
         want.append((row[0], len(ids), hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest(), hashlib.sha256(t.decode(ids, skip_special_tokens=False).encode()).hexdigest()))
     assert _by_id(bpe.encode_digest(df, VOCAB), "n_tokens", "ids_sha256", "decoded_sha256") == sorted(want)
     full = {x.doc_id: x for x in bpe.encode(df, VOCAB).collect()}
-    v = bpe.vocabulary(VOCAB)
+    v = bpe.vocabulary(bpe.content_of(VOCAB))
     assert all(v.decode(x.ids) == x.decoded for x in full.values())
     assert bpe.encode_digest(df.limit(0), VOCAB).count() == 0
 
 
 def test_short_and_long_merges_agree():
-    v, r = bpe.vocabulary(VOCAB), random.Random(3)
+    v, r = bpe.vocabulary(bpe.content_of(VOCAB)), random.Random(3)
     for _ in range(300):
         parts = v.parts("".join(r.choice("abcdeinrst") for _ in range(r.randrange(1, 40))))
         assert v.merge(list(parts)) == v.merge_long(list(parts))
@@ -459,7 +515,8 @@ def test_matching_statistics():
     r = random.Random(2)
     seq = np.array([r.randrange(1, 4) for _ in range(300)] + [0])
     index = fmindex.FMIndex(seq, 40)
-    got = index.matching(seq, np.arange(300), 20)
+    got = index.matching(np.arange(300), 20)
+    assert (fmindex.FMIndex(seq, 40, 1).matching(np.arange(300), 20) == got).all() and len(index.seeds) > 3  # wherever searches begin
     for e in range(300):
         n = 0
         while n < 20 and n <= e and sum(seq[i : i + n + 1].tolist() == seq[e - n : e + 1].tolist() for i in range(300 - n)) > 1:

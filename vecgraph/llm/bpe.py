@@ -5,7 +5,8 @@ rank is found by a scan, its pair becomes one part, one boundary goes and the tw
 looked up anew. Words longer than SHORT parts use a heap of pairs over a linked list instead, with the
 same order (smallest rank, then leftmost). Word results are kept in a bounded table in each worker.
 
-The vocabulary file is that of a public tokenizer: NFC, white space as separator, lower case, words by
+The vocabulary's file (some megabytes, whatever the corpus) is read on the driver and broadcast, so workers need no
+copy of it. It is that of a public tokenizer: NFC, white space as separator, lower case, words by
 pattern, byte letters, word-end suffix. Decoding joins the tokens of the ids by spaces, as that file's
 library does where the file names no decoder.
 
@@ -57,9 +58,8 @@ class Recent:
 
 
 class Vocabulary:
-    def __init__(self, path: str) -> None:
-        with open(path, encoding="utf-8") as f:
-            spec = json.load(f)
+    def __init__(self, content: bytes) -> None:
+        spec = json.loads(content)
         model = spec["model"]
         self.ids: dict[str, int] = model["vocab"]
         self.suffix = model["end_of_word_suffix"] or ""
@@ -170,18 +170,24 @@ class Vocabulary:
 
 
 @lru_cache(maxsize=2)
-def vocabulary(path: str) -> Vocabulary:
-    return Vocabulary(path)
+def vocabulary(content: bytes) -> Vocabulary:
+    return Vocabulary(content)
+
+
+def content_of(path: str) -> bytes:
+    with open(path, "rb") as f:
+        return f.read()
 
 
 def _map(docs: DataFrame, vocab_path: str, schema: str, row, id_col: str, text_col: str) -> DataFrame:
     ship(docs.sparkSession)
+    content = docs.sparkSession.sparkContext.broadcast(content_of(vocab_path))
     names = [c.split(" ")[0] for c in schema.split(", ")]
     kinds = {"long": pa.int64(), "string": pa.string(), "array<int>": pa.list_(pa.int32())}
     types = [kinds[c.split(" ")[1]] for c in schema.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        v = vocabulary(vocab_path)
+        v = vocabulary(content.value)
         for b in small(batches):
             cols: list[list] = [[] for _ in names]
             for doc, text in zip(column(b, "doc_id").to_pylist(), strings(b), strict=True):

@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecgraph.session import ship
@@ -23,6 +23,26 @@ def id_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 
+#: What tells rows apart, whatever their ids are: two hashes of id and text.
+ROW = ["row", "row2"]
+
+
+def row_keys(id_col: str = "doc_id", text_col: str = "text", names: list[str] = ROW) -> list[Column]:
+    number, text = F.col(id_col).cast("long"), F.col(text_col).cast("string")
+    return [F.xxhash64(number, text).alias(names[0]), F.xxhash64(F.lit(1), text, number).alias(names[1])]
+
+
+def fresh(taken: list[str], *names: str) -> list[str]:
+    """The names, each with underscores added until no column has it (in any case)."""
+    used, out = {c.lower() for c in taken}, []
+    for n in names:
+        while n.lower() in used:
+            n += "_"
+        used.add(n.lower())
+        out.append(n)
+    return out
+
+
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 

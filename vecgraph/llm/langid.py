@@ -153,8 +153,8 @@ def fit(labelled: DataFrame, dims: int = DIMS, lang_col: str = "lang", text_col:
     return {r["lang"]: np.array([p["x"] for p in r["v"]]) for r in total.orderBy("lang").collect()}
 
 
-def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """All columns of docs and (lang_pred, score): one row per row."""
+def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], text_col: str = "text", out: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """All columns of docs and those named in `out`, which replace columns of docs with these names: one row per row."""
     ship(docs.sparkSession)
     names = sorted(prototypes)
     dims = len(prototypes[names[0]]) if names else DIMS
@@ -174,12 +174,12 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], id_col: str = "d
                 best = int(np.argmax(cos))
                 langs.append(names[best])
                 scores.append(float(min(1.0, max(0.0, cos[best]))))
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(langs, pa.string()), pa.array(scores, pa.float64())], [*b.schema.names, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(langs, pa.string()), pa.array(scores, pa.float64())], [*b.schema.names, *out])
 
     from pyspark.sql.types import DoubleType, StringType, StructField, StructType
 
-    kept = docs.drop("lang_pred", "score")
-    schema = StructType([*kept.schema.fields, StructField("lang_pred", StringType()), StructField("score", DoubleType())])
+    kept = docs.drop(*out)
+    schema = StructType([*kept.schema.fields, StructField(out[0], StringType()), StructField(out[1], DoubleType())])
     return kept.mapInArrow(label, schema)
 
 

@@ -16,7 +16,6 @@ each keeps its first such line; a null doc_id is never a line's first place if a
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -26,7 +25,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import materialize, ship
 
-from .common import column, small
+from .common import column, fresh, small
 
 #: Sites from which on a line is boilerplate; least length of a line that can be.
 MIN_SITES, MIN_CHARS = 10, 16
@@ -68,18 +67,18 @@ def _cut(text: str, where: set[int]) -> str:
     return "\n".join(x for i, x in enumerate(text.split("\n")) if i not in where)
 
 
-def dedup_lines(docs: DataFrame, min_sites: int = MIN_SITES, min_chars: int = MIN_CHARS, id_col: str = "doc_id") -> DataFrame:
-    """All columns of docs with boilerplate cut from text, and (n_lines, n_cut)."""
+def dedup_lines(docs: DataFrame, min_sites: int = MIN_SITES, min_chars: int = MIN_CHARS, id_col: str = "doc_id", out: tuple[str, str] = ("n_lines", "n_cut")) -> DataFrame:
+    """All columns of docs with boilerplate cut from text, and the numbers of lines and of cut lines, named in `out`; these replace columns of docs with their names."""
     from pyspark.sql.types import LongType, StringType, StructField, StructType
 
     spark = docs.sparkSession
     ship(spark)
     known = materialize(boilerplate(docs.select(F.col(id_col).alias("doc_id"), "text", "source"), min_sites, min_chars))
-    rows = docs.withColumn("text", F.col("text").cast("string")).drop("n_lines", "n_cut")
-    schema = StructType([*rows.schema.fields, StructField("n_lines", LongType()), StructField("n_cut", LongType())])
+    rows = docs.withColumn("text", F.col("text").cast("string")).drop(*out)
+    schema = StructType([*rows.schema.fields, *(StructField(c, LongType()) for c in out)])
 
     def rewritten(b: pa.RecordBatch, texts: list, n: list, cut: list, names: list[str]) -> pa.RecordBatch:
-        new = {"text": pa.array(texts, pa.string()), "n_lines": pa.array(n, pa.int64()), "n_cut": pa.array(cut, pa.int64())}
+        new = {"text": pa.array(texts, pa.string()), out[0]: pa.array(n, pa.int64()), out[1]: pa.array(cut, pa.int64())}
         return pa.RecordBatch.from_arrays([new[c] if c in new else column(b, c) for c in names], names)
 
     names = [f.name for f in schema.fields]
@@ -114,12 +113,13 @@ def dedup_lines(docs: DataFrame, min_sites: int = MIN_SITES, min_chars: int = MI
     where = lines(keyed, min_chars, "row").join(known, "h")
     ahead = where.groupBy("doc_id", "row", "h", "first").agg(F.collect_set("pos").alias("at"))
     gone = ahead.select("doc_id", "row", F.when(F.col("first").eqNullSafe(F.col("doc_id")), F.array_except("at", F.array(F.array_min("at")))).otherwise(F.col("at")).alias("at"))
-    gone = gone.groupBy(F.col("doc_id").alias("_cut_id"), F.col("row").alias("_cut_row")).agg(F.flatten(F.collect_list("at")).alias("_cut_at"))
-    joined = rows.join(gone, F.col(id_col).eqNullSafe(F.col("_cut_id")) & (row_key(F.col("text")) == F.col("_cut_row")), "left").drop("_cut_id", "_cut_row")
+    cut_id, cut_row, cut_at = fresh(docs.columns, "cut_id", "cut_row", "cut_at")
+    gone = gone.groupBy(F.col("doc_id").alias(cut_id), F.col("row").alias(cut_row)).agg(F.flatten(F.collect_list("at")).alias(cut_at))
+    joined = rows.join(gone, F.col(id_col).eqNullSafe(F.col(cut_id)) & (row_key(F.col("text")) == F.col(cut_row)), "left").drop(cut_id, cut_row)
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
-            at, texts = column(b, "_cut_at").to_pylist(), column(b, "text").to_pylist()
+            at, texts = column(b, cut_at).to_pylist(), column(b, "text").to_pylist()
             counts = [t.count("\n") + 1 if t is not None else 0 for t in texts]
             cut = [set(a or ()) for a in at]
             yield rewritten(b, [_cut(t, w) if w else t for t, w in zip(texts, cut, strict=True)], counts, list(map(len, cut)), names)
@@ -132,6 +132,3 @@ def dedup_digest(docs: DataFrame) -> DataFrame:
     found = dedup_lines(docs.select("doc_id", "text", "source"))
     return found.select("doc_id", "n_lines", "n_cut", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
-
-def digest(text: str | None) -> str:
-    return hashlib.sha256((text or "").encode()).hexdigest()

@@ -2,17 +2,17 @@
 
 from __future__ import annotations
 
-import os
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import bpe, decontaminate, fmindex, langid, linededup, secrets, simhash, suffixarray, topk, urlfilter
 from .common import table
 
-#: Where the public tokenizers' files lie; a parameter, nothing is copied.
-TOKENIZERS = os.environ.get("PUBLIC_TOKENIZERS", "/opt/tokenizers")
+#: The public tokenizer's file; a parameter, nothing is copied.
+VOCABULARY = public_tokenizers.path("word_bpe_49k.json")
 
 # fixed values: the contract's rules (host, path, verdict)
 URL_RULES = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
@@ -97,11 +97,11 @@ def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.contamination_digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return decontaminate.contamination_digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), slop=10)
 
 
 def op8_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bpe.encode_digest(table(spark, sf_dir, "documents"), os.path.join(TOKENIZERS, "word_bpe_49k.json"))
+    return bpe.encode_digest(table(spark, sf_dir, "documents"), VOCABULARY)
 
 
 def op9_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -350,6 +350,3 @@ def secret_digest(docs: DataFrame) -> DataFrame:
     found = secret_spans(docs)
     return found.select("doc_id", *map(count, KINDS[:3]), F.sha2(as_text("base"), 256).alias("base_sha256"), as_text("spans").alias("spans"))
 
-
-def digest(text: str) -> str:
-    return hashlib.sha256(written(base_spans(text)).encode()).hexdigest()

@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import materialize, ship, shuffle_partitions
 
-from .common import column, id_text, raw, slices, small
+from .common import ROW, column, fresh, id_text, raw, row_keys, slices, small
 
 FAN = 16
 #: Members that a cell should have on average, at most.
@@ -54,15 +54,15 @@ def fingerprint(text: bytes | None, shingle: int = 4, seed: int = 42) -> int:
 
 
 def fingerprints(docs: DataFrame, shingle: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp long) of every whole text."""
+    """(doc_id, row, row2, fp long) of every whole text."""
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
             fp = np.fromiter((fingerprint(t, shingle) for t in raw(b)), np.uint64, b.num_rows)
-            yield pa.RecordBatch.from_arrays([column(b, "doc_id"), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([*(column(b, c) for c in ("doc_id", *ROW)), pa.array(fp.view(np.int64))], ["doc_id", *ROW, "fp"])
 
-    return id_text(docs, id_col, text_col).mapInArrow(run, "doc_id long, fp long")
+    return id_text(docs, id_col, text_col).select("doc_id", *row_keys(), "text").mapInArrow(run, "doc_id long, row long, row2 long, fp long")
 
 
 def gray_rank(x: np.ndarray) -> np.ndarray:
@@ -246,12 +246,29 @@ def connected(edges: DataFrame) -> DataFrame:
     return found if found is not None else edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fingerprint string, component_id): one row per document row."""
-    prints = materialize(fingerprints(docs, shingle, id_col, text_col))
+def classes(prints: DataFrame, distance: int = 4) -> DataFrame:
+    """prints(doc_id, fp, ...) -> (fp, root, component_id): the connected set of every different fingerprint and the smallest id in it."""
     first = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("first")))
     roots = connected(near_links(first.select("fp"), distance))
     member = first.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
     least = member.groupBy("root").agg(F.min("first").alias("component_id"))
-    class_ = materialize(member.join(least, "root").select("fp", "component_id"))
-    return prints.join(class_, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return materialize(member.join(least, "root").select("fp", "root", "component_id"))
+
+
+def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, fingerprint string, component_id): one row per document row."""
+    prints = materialize(fingerprints(docs, shingle, id_col, text_col).select("doc_id", "fp"))
+    return prints.join(classes(prints, distance), "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def one_of_each(docs: DataFrame, shingle: int = 4, distance: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """All columns of docs: of each connected set one row, the one with the smallest id (rows without an id come last, then
+    rows go by the hashes of id and text). Of rows equal in id and text one stays, so repeated rows go as well."""
+    prints = materialize(fingerprints(docs, shingle, id_col, text_col))
+    ranked = prints.join(classes(prints, distance), "fp").groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", *ROW)).alias("b"))
+    keys, all_ = fresh(docs.columns, *ROW), fresh([], "all")[0]
+    chosen = ranked.select(*(F.col(f"b.{r}").alias(k) for r, k in zip(ROW, keys, strict=True)))
+    hashed = [c for c, t in docs.dtypes if "map<" not in t and "variant" not in t]
+    rows = docs.select(*row_keys(id_col, text_col, keys), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(all_), F.xxhash64(*hashed).alias("order"))
+    # repeated rows meet in map tasks first, so no task gets a hot one's copies
+    return rows.groupBy(*keys).agg(F.min_by(all_, "order").alias(all_)).join(chosen, keys, "left_semi").select(f"{all_}.*")

@@ -7,7 +7,7 @@ be equal meet under their key, wherever their documents lie. Hashes only route:
 is judged by an engine (suffix array or FM-index) over the pieces' texts.
 
  - A key with one piece holds no repeat (unless its smallest gram recurs within the piece: "again").
- - Of all other keys each different piece (told apart by a 128-bit digest of its text) is sent to the key's task:
+ - Of all other keys each different piece (told apart by 96 bits of a digest of its text) is sent to the key's task:
    two copies of a piece that stands in several places, one of any other. An engine over whole keys finds the
    windows that occur twice among them. Its answers go back to every document that holds the piece.
  - A key with more than HOT different pieces (a passage of very many documents, each with its own surroundings)
@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import materialize, ship, shuffle_partitions
 
-from .common import column, id_text, raw, small
+from .common import ROW, column, id_text, raw, row_keys, small
 
 #: Units hashed at once, and bytes of pieces that an engine indexes at once (whole keys; one key may exceed it).
 TOGETHER, CHUNK = 1 << 18, 4 << 20
@@ -137,12 +137,20 @@ def word_bounds(text: bytes) -> tuple[np.ndarray, np.ndarray]:
     return edge[::2], edge[1::2]
 
 
+class _Known(dict):
+    """Hashes of words."""
+
+    def __missing__(self, word: bytes) -> int:
+        h = self[word] = xxhash.xxh3_64_intdigest(word)
+        return h
+
+
 class Units:
     """Documents as slices of units, their hashes, and the texts of pieces."""
 
     def __init__(self, kind: str, most: int = TOGETHER) -> None:
         self.kind, self.gap, self.most = kind, int(kind == "words"), most
-        self.known: dict[bytes, int] = {}
+        self.known = _Known()
 
     def split(self, text: bytes | None):
         return (text or b"") if self.kind == "bytes" else (text or b"").split()
@@ -175,23 +183,18 @@ class Units:
             return _BYTE[np.frombuffer(data, np.uint8)], data, np.arange(len(data) + 1)
         if len(self.known) > 300_000:
             self.known.clear()
-        known, digest = self.known, xxhash.xxh3_64_intdigest
         flat = [x for words in slices for x in words]
-        out = []
-        for x in flat:
-            if (h := known.get(x)) is None:
-                h = known[x] = digest(x)
-            out.append(h)
+        h = np.fromiter(map(self.known.__getitem__, flat), np.uint64, len(flat))
         at = np.zeros(len(flat) + 1, np.int64)
         np.cumsum(np.fromiter(map(len, flat), np.int64, len(flat)) + 1, out=at[1:])
-        return np.array(out, np.uint64), b" ".join(flat), at
+        return h, b" ".join(flat), at
 
     def digests(self, data: bytes, at: np.ndarray, first: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Halves of the 128-bit digests of units first to end (exclusive)."""
+        """The first 64 and the next 32 bits of the digests of units first to end (exclusive)."""
         view, digest = memoryview(data), xxhash.xxh3_128_digest
         found = b"".join([digest(view[a:z]) for a, z in zip(at[first].tolist(), (at[end] - self.gap).tolist(), strict=True)])
         both = np.frombuffer(found, np.int64).reshape(-1, 2)
-        return both[:, 0].copy(), both[:, 1].copy()
+        return both[:, 0].copy(), both[:, 1].astype(np.int32)
 
     def reader(self, text: bytes | None) -> Callable[[int, int], bytes]:
         """(start, end) in units -> text, words joined by one space."""
@@ -205,9 +208,9 @@ class Units:
         return lambda a, z: b" ".join(text[first[a] : last[z - 1]].split()) if z > a else b""
 
 
-#: A row of documents; a piece by its key and digest; which copy of it.
-ROW, PIECE_ID = ["row", "row2"], ["m", "c", "e"]
-_IDS_SQL = "m long, c long, e long"
+#: A piece by its key and the digest of its text.
+PIECE_ID = ["m", "c", "e"]
+_IDS, _IDS_SQL = (pa.int64(), pa.int64(), pa.int32()), "m long, c long, e int"
 _RUNS = pa.list_(pa.struct([("lo", pa.int64()), ("hi", pa.int64())]))
 _RUNS_SQL = "runs array<struct<lo:long,hi:long>>"
 _TEXTS_SQL = f"{_IDS_SQL}, copy int, n long, piece binary"
@@ -293,7 +296,7 @@ def repeated_windows(docs: DataFrame, kind: str, window: int, gram: int, engine:
                 if len(edge):
                     who.append(r[:3])
                     answers.append([{"lo": a, "hi": z} for a, z in edge.reshape(-1, 2).tolist()])
-            cols = [pa.array(x, pa.int64()) for x in (zip(*who, strict=True) if who else ([], [], []))]
+            cols = [pa.array(x, t) for x, t in zip(zip(*who, strict=True) if who else ([], [], []), _IDS, strict=True)]
             return pa.RecordBatch.from_arrays([*cols, pa.array(answers, _RUNS)], [*PIECE_ID, "runs"])
 
         held, size = [], 0
@@ -368,14 +371,14 @@ def cut_hot(texts: DataFrame, engine_runs: Callable[[DataFrame], DataFrame], kin
                         held.append(x)
                 cols = [np.concatenate(x) if x else np.empty(0, np.int64) for x in out]
                 names = [*PIECE_ID, "copy", "lo", "hi", "k", "w", "v"]
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int32() if c == "copy" else pa.int64()) for c, x in zip(names, cols, strict=True)], names)
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int32() if c in ("e", "copy", "v") else pa.int64()) for c, x in zip(names, cols, strict=True)], names)
 
         return run
 
     found, own = None, [*PIECE_ID, "copy"]
     todo = texts.select(*own, F.lit(0).cast("long").alias("lo"), F.col("n").alias("hi"), "piece")
     for width in (b for b in BLOCKS if b <= max(1, window // 2)):
-        cut = materialize(todo.mapInArrow(blocks(width), f"{_IDS_SQL}, copy int, lo long, hi long, k long, w long, v long"))
+        cut = materialize(todo.mapInArrow(blocks(width), f"{_IDS_SQL}, copy int, lo long, hi long, k long, w long, v int"))
         at = F.struct(*own, "lo", "hi")
         each = cut.groupBy("k", "w", "v").agg(F.count("*").alias("places"), F.min(at).alias("a"), F.max(at).alias("b"))
         size = each.groupBy("k").agg(F.sum("places").alias("places"), F.count("*").alias("kinds")).where("places > 1").select("k", "kinds")
@@ -414,7 +417,7 @@ def _narrowed(kind: str, window: int):
 
 def removed_spans(docs: DataFrame, kind: str, window: int, gram: int, engine: Engine, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text, spans array<struct<lo,hi>>): of every row, the units covered by repeated windows, as ordered runs that may touch."""
-    rows = id_text(docs, id_col, text_col).select("doc_id", "text", F.xxhash64("doc_id", "text").alias("row"), F.xxhash64(F.lit(1), "text", "doc_id").alias("row2"))
+    rows = id_text(docs, id_col, text_col).select("doc_id", "text", *row_keys())
     found = repeated_windows(rows.select(*ROW, "text"), kind, window, gram, engine)
     reach = F.transform("runs", lambda r: F.struct(r["lo"].alias("lo"), (r["hi"] - 1 + window).alias("hi")))
     # a set: equal rows bring the same runs any number of times
