@@ -2,10 +2,10 @@
 
 The texts of a shard (windows.py) are numbered word by word and indexed: suffixes are sorted, the words
 before them (the Burrows-Wheeler transform) go into a wavelet matrix whose bit levels have rank counts in
-blocks. Documents' pieces are streamed against it: backward search from every place at once, one word at a
-time, while the words read still occur at two places or more. That length is the place's matching
-statistic; places where it reaches the window are repeats, and so are the windows inside a longer match.
-Suffixes are sorted to twice the longest string searched, which is all that its counts need.
+blocks. Documents' pieces are streamed against it: backward search from many places at once, one word at a
+time after a table of short strings, while the words read still occur at two places or more. That length is the
+place's matching statistic; places where it reaches the window are repeats, and so are the windows inside a longer match.
+Suffixes are sorted to one word more than the longest string searched, which is all that its counts need.
 
 Defined cases: a null text has no words; texts shorter than the window keep every word; repeated rows
 remove each other's words; matches never cross documents. Kept words are joined by one space.
@@ -35,6 +35,7 @@ class Wavelet:
         self.words: list[np.ndarray] = []
         self.sums: list[np.ndarray] = []
         self.zeros: list[int] = []
+        self.origin: np.ndarray | None = None
         for level in range(self.bits - 1, -1, -1):
             bit = (seq >> level) & 1
             pad = np.concatenate([bit.astype(np.uint8), np.zeros(64 - len(bit) % 64, np.uint8)])
@@ -49,80 +50,103 @@ class Wavelet:
         low = (np.uint64(1) << (i & 63).astype(np.uint64)) - np.uint64(1)
         return self.sums[level][word] + np.bitwise_count(self.words[level][word] & low)
 
-    def rank(self, x: np.ndarray, i: np.ndarray) -> np.ndarray:
-        """How often each x stands before place i."""
-        start = np.zeros(len(x), np.int64)
+    def follow(self, x: np.ndarray, i: np.ndarray) -> np.ndarray:
+        """Where place i of the sequence is led to by the bits of x."""
         for level in range(self.bits):
             bit = (x >> (self.bits - 1 - level)) & 1 == 1
-            a, b = self.ones(level, start), self.ones(level, i)
-            start = np.where(bit, self.zeros[level] + a, start - a)
-            i = np.where(bit, self.zeros[level] + b, i - b)
-        return i - start
+            one = self.ones(level, i)
+            i = np.where(bit, self.zeros[level] + one, i - one)
+        return i
+
+    def rank(self, x: np.ndarray, i: np.ndarray) -> np.ndarray:
+        """How often each x stands before place i. Where a number's place 0 leads is the same for all its ranks and kept."""
+        if self.origin is None:
+            every = np.arange(1 << self.bits)
+            self.origin = self.follow(every, np.zeros(len(every), np.int64))
+        return self.follow(x, i) - self.origin[x]
 
 
 class FMIndex:
-    def __init__(self, seq: np.ndarray, depth: int) -> None:
+    """Counts of strings by backward search. Strings of 1, 2, 4, ... words that stand at a place of the indexed sequence have
+    their intervals in tables (a by-product of sorting), where a search begins."""
+
+    def __init__(self, seq: np.ndarray, depth: int, longest: int = 64) -> None:
         """seq: numbers from 1; 0 ends each text."""
-        order = sorted_suffixes(seq, depth)
+        self.seq = seq
+        order, self.seeds = sorted_suffixes(seq, depth, longest)
         before = seq[order - 1]  # the last text's end precedes the first
         self.tree = Wavelet(before, int(seq.max(initial=1)))
         self.first = np.searchsorted(np.sort(seq), np.arange(int(seq.max(initial=1)) + 2))
         self.n = len(seq)
 
-    def matching(self, seq: np.ndarray, ends: np.ndarray, most: np.ndarray | int, least: int = 2) -> np.ndarray:
-        """For each end: the longest string of up to `most` words ending there that occurs at `least` places."""
+    def matching(self, ends: np.ndarray, most: np.ndarray | int, least: int = 2) -> np.ndarray:
+        """For each end in the sequence: the longest string of up to `most` words ending there that occurs at `least` places."""
         most = np.broadcast_to(most, len(ends))
-        length = np.zeros(len(ends), np.int64)
-        x = seq[ends]
-        lo, hi = self.first[x], self.first[x + 1]
-        alive = np.arange(len(ends))
-        step = 0
-        while True:
+        length, lo, hi = (np.zeros(len(ends), np.int64) for _ in range(3))
+        for size, start, end in self.seeds:
+            fits = np.flatnonzero(most >= size)
+            at = ends[fits] - size + 1
+            # a longer string occurs no more often than the shorter one that ends it
+            often = (end[at] - start[at] >= least) & (self.seq[ends[fits]] > 0)
+            fits, at = fits[often], at[often]
+            length[fits], lo[fits], hi[fits] = size, start[at], end[at]
+        alive = np.flatnonzero((length > 0) & (length < most))
+        lo, hi = lo[alive], hi[alive]
+        while len(alive):
+            x = self.seq[ends[alive] - length[alive]]
+            both = self.tree.rank(np.concatenate([x, x]), np.concatenate([lo, hi]))
+            lo, hi = self.first[x] + both[: len(x)], self.first[x] + both[len(x) :]
             keep = (hi - lo >= least) & (x > 0)
             alive, lo, hi = alive[keep], lo[keep], hi[keep]
-            step += 1
-            length[alive] = step
-            on = most[alive] > step
+            length[alive] += 1
+            on = length[alive] < most[alive]
             alive, lo, hi = alive[on], lo[on], hi[on]
-            if not len(alive):
-                return length
-            x = seq[ends[alive] - step]
-            both = self.tree.rank(np.concatenate([x, x]), np.concatenate([lo, hi]))
-            lo, hi = self.first[x] + both[: len(x)], self.first[x] + both[len(x) :]
+        return length
 
 
-def sorted_suffixes(seq: np.ndarray, depth: int) -> np.ndarray:
-    """Places in order of the `depth` or more numbers from there on (then by place), by doubling."""
+def sorted_suffixes(seq: np.ndarray, depth: int, longest: int = 0) -> tuple[np.ndarray, list[tuple[int, np.ndarray, np.ndarray]]]:
+    """Places in order of the `depth` or more numbers from there on (then by place), by doubling; and for 1, 2, 4, ... up to
+    `longest` numbers the interval of that order which the string at each place has."""
     n = len(seq)
     rank = seq.astype(np.int64)
-    known = 1
     order = np.argsort(rank, kind="stable")
-    while known < depth:
-        top = int(rank.max(initial=0)) + 2
-        key = rank * top
-        if n > known:
-            key[: n - known] += rank[known:] + 1
-        order = np.argsort(key, kind="stable")
-        rank = np.empty(n, np.int64)
-        rank[order] = np.concatenate([[0], np.cumsum(np.diff(key[order]) != 0)])
+    known, seeds = 1, []
+    while True:
+        sorted_ = rank[order]
+        new = np.concatenate([[True], sorted_[1:] != sorted_[:-1]])[:n]
+        head = np.flatnonzero(new)
+        start, end = np.empty(n, np.int64), np.empty(n, np.int64)
+        size = np.diff(np.append(head, n))
+        start[order], end[order] = np.repeat(head, size), np.repeat(head + size, size)
+        if known <= longest:
+            seeds.append((known, start, end))
+        if known >= depth or len(head) == n:
+            return order, seeds
+        rank = start * (n + 1)
+        rank[: n - known] += start[known:] + 1
+        order = np.argsort(rank, kind="stable")
         known *= 2
-        if n and rank[order[-1]] == n - 1:
-            break
-    return order
+
+
+class _Numbers(dict):
+    """Numbers of words in order of appearance."""
+
+    def __missing__(self, word: bytes) -> int:
+        n = self[word] = len(self)
+        return n
 
 
 def repeats(texts: list[bytes], n: np.ndarray, judged: np.ndarray, window: int) -> list[np.ndarray]:
     """For each judged text, which of its first n words begin a window that starts elsewhere too."""
-    numbers: dict[bytes, int] = {}
-    parts, begin, at = [], [], 0
+    numbers = _Numbers({None: 0})
+    flat: list[bytes | None] = []
+    begin = []
     for t in texts:
-        w = [numbers.setdefault(x, len(numbers) + 1) for x in t.split()]
-        w.append(0)
-        begin.append(at)
-        parts.append(w)
-        at += len(w)
-    seq = np.fromiter((x for w in parts for x in w), np.int64, at)
-    index = FMIndex(seq, 2 * max(window, int(n.max(initial=1)) - 1 + window))
+        begin.append(len(flat))
+        flat += t.split()
+        flat.append(None)
+    seq = np.fromiter(map(numbers.__getitem__, flat), np.int64, len(flat))
+    index = FMIndex(seq, int(n.max(initial=1)) + window)
     begin, first = np.array(begin, np.int64), np.cumsum(n) - n
     twice = np.zeros(int(n.sum()), bool)
     # windows lo to hi (exclusive) are open: by turns a text is searched from the last one's end, where a match of more
@@ -133,7 +157,7 @@ def repeats(texts: list[bytes], n: np.ndarray, judged: np.ndarray, window: int)
     from_end = True
     while len(todo):
         at = hi[todo] - 1 if from_end else lo[todo]
-        got = index.matching(seq, begin[todo] + at + window - 1, at + window if from_end else window)
+        got = index.matching(begin[todo] + at + window - 1, at + window if from_end else window)
         hit = got >= window
         if from_end:
             done = np.minimum(np.where(hit, got - window + 1, 0), hi[todo] - lo[todo])
