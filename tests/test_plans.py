@@ -44,3 +44,22 @@ def test_even_shards_with_many_equal_values(spark):
             want[i] = s + 1
         at += n
     assert got == want
+
+
+def test_searches_read_the_index_where_it_lies(spark, sf_dir):
+    """Only queries and answers are shuffled: between the index's scan and the walk stands no exchange."""
+    from vecgraph.operators.sharded import ShardedIndex
+    from vecgraph.operators.walk import beam_search
+    from vecgraph.queries.common import Setting
+
+    s = Setting(spark, sf_dir)
+    sharded = ShardedIndex.build(s.base, s.model, 3)
+    for found, rows in ((beam_search(s.index(vectors=False), s.queries, 8, 5, "code_only", s.model), 500), (sharded.search(s.queries, 2, 8, 5), None)):
+        plan = found._jdf.queryExecution().executedPlan().toString().splitlines()
+        walk = next(i for i, line in enumerate(plan) if "FlatMapCoGroupsInArrow" in line)
+        depth = lambda line: len(line) - len(line.lstrip(" :+-*()0123456789"))
+        index = plan[walk + 1 :]
+        index = index[: next(i for i, line in enumerate(index) if i and depth(line) <= depth(index[0]))]
+        scan = next(line for line in index if "Bucketed: true" in line)
+        above = index[: index.index(scan)]
+        assert not any("Exchange" in line and "Broadcast" not in line for line in above)

@@ -49,3 +49,8 @@ def unit_uniform(*parts: Column) -> Column:
 def draw_key(*parts: Column) -> Column:
     """A pseudo-random order key: the smallest of a group is a uniform draw."""
     return F.md5(F.concat_ws(":", *[p.cast("string") for p in parts]))
+
+
+def hash_share(c: str | Column) -> Column:
+    """A number in [0, 1) of each value, for samples that don't depend on where rows lie."""
+    return F.pmod(F.xxhash64(c, F.lit(3)), F.lit(1 << 31)) / F.lit(float(1 << 31))

@@ -15,6 +15,14 @@ def matrix(col: pa.Array) -> np.ndarray:
     return flat.reshape(n, -1) if n else np.empty((0, 0))
 
 
+def whole(col: pa.Array) -> np.ndarray:
+    """A list column of equally many whole numbers as an int64 matrix (a float would round ids)."""
+    if isinstance(col, pa.ChunkedArray):
+        col = col.combine_chunks()
+    n = len(col)
+    return col.flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(n, -1) if n else np.empty((0, 0), np.int64)
+
+
 def lists(x: np.ndarray, kind: pa.DataType | None = None) -> pa.Array:
     """A matrix as a list column."""
     n, d = x.shape

@@ -28,6 +28,15 @@ def block_reads(result: DataFrame, vector_bytes: int, block: int = 4096, latency
     return one.select("qid", "reads", (F.col("reads") * per).alias("blocks"), bytes_.alias("bytes"), (F.col("reads") * latency + bytes_ / bandwidth).alias("io_s"))
 
 
+def result_objective(results: DataFrame, codes: DataFrame, lut: DataFrame) -> DataFrame:
+    """(pairs, objective): what the problem statement minimizes, the sum of the distances between queries and the decoded codes of
+    their result sets. Result sets are given: without them the minimum means nothing."""
+    from vecgraph.functions.columns import adc
+
+    both = results.select("qid", "vid").join(codes, "vid").join(lut, "qid")
+    return both.agg(F.count("*").alias("pairs"), F.sum(adc(F.col("lut"), F.col("code"))).alias("objective"))
+
+
 def plan_budget(n: int, d: int, degree: int, f: float, link_bytes: int = 4, k: int = 256) -> tuple[int, int]:
     """(bytes allowed, largest number of one-byte chunks): a fraction f of vectors and graph, for codes and books."""
     allowed = int(f * n * (4 * d + link_bytes * degree))

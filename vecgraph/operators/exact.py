@@ -94,7 +94,7 @@ class Within:
             yield pa.RecordBatch.from_arrays([pa.array(q), pa.array(r), pa.array(d)], ["src", "dst", "d2"])
 
 
-def top(rows: DataFrame, k: int, by: str = "qid", order: tuple[str, ...] = ("d2", "vid")) -> DataFrame:
+def top(rows: DataFrame, k: int, by: str | list[str] = "qid", order: tuple[str, ...] = ("d2", "vid")) -> DataFrame:
     rank = F.row_number().over(Window.partitionBy(by).orderBy(*order))
     return rows.withColumn("rank", rank.cast("int")).where(F.col("rank") <= k)
 

@@ -22,10 +22,13 @@ from .quantize import Quantizer
 from .walk import Index, code_distance, run_shards, walk
 
 
-def n_hop(edges: DataFrame, n: int, expansion: str = "n_hops") -> DataFrame:
-    """(anchor, vid): different vertices within n hops, the anchor left out. "extra_ring" adds one more hop, as the printed loop does."""
+def n_hop(edges: DataFrame, n: int, expansion: str = "n_hops", anchors: DataFrame | None = None) -> DataFrame:
+    """(anchor, vid): different vertices within n hops, the anchor left out; of all vertices, or of `anchors` (anchor).
+    "extra_ring" adds one more hop, as the printed loop does."""
     step = edges.select(F.col("src").alias("vid"), F.col("dst").alias("next")).distinct()
     found = edges.select(F.col("src").alias("anchor"), F.col("dst").alias("vid")).distinct()
+    if anchors is not None:
+        found = found.join(anchors, "anchor", "left_semi")
     for _ in range(n - 1 if expansion == "n_hops" else n):
         grown = found.join(step, "vid").select("anchor", F.col("next").alias("vid"))
         found = found.unionByName(grown).distinct()
@@ -60,7 +63,9 @@ def naive_triplets(base: DataFrame, edges: DataFrame, epoch: int, seed: int, buc
     """(anchor, pos, neg, epoch) of the sampler to compare with: a positive from the neighbours, a negative from all other vertices.
 
     Each epoch draws one vertex per hash bucket; an anchor's tries name buckets, and the first whose vertex is neither
-    the anchor nor its neighbour is the negative. Anchors all of whose tries fail are left out.
+    the anchor nor its neighbour is the negative. Anchors all of whose tries fail take, of all vertices in the order of the
+    epoch's hash, the first that fits: one of the first degree + 2, so no more of them are looked at. Only anchors that are
+    linked with every other vertex are left out.
     """
     pos = edges.groupBy(F.col("src").alias("anchor")).agg(F.min(F.struct(draw_key(F.lit(seed), F.lit(epoch), F.col("src"), F.col("dst")).alias("key"), "dst")).alias("b")).select("anchor", F.col("b.dst").alias("pos"))
     number = lambda key: F.conv(F.substring(key, 1, 8), 16, 10).cast("long") % buckets
@@ -70,7 +75,16 @@ def naive_triplets(base: DataFrame, edges: DataFrame, epoch: int, seed: int, buc
     asked = anchor.withColumn("bucket", number(draw_key(F.lit(seed), F.lit(epoch), F.col("anchor"), F.col("try"))))
     cand = asked.join(F.broadcast(drawn), "bucket").where("neg <> anchor")  # one row per bucket
     free = cand.join(edges.select(F.col("src").alias("anchor"), F.col("dst").alias("neg")), ["anchor", "neg"], "left_anti")
-    neg = free.groupBy("anchor").agg(F.min(F.struct("try", "neg")).alias("b")).select("anchor", F.col("b.neg").alias("neg"))
+    neg = materialize(free.groupBy("anchor").agg(F.min(F.struct("try", "neg")).alias("b")).select("anchor", F.col("b.neg").alias("neg")))
+    links = edges.select(F.col("src").alias("anchor"), F.col("dst").alias("neg")).distinct()
+    left = materialize(pos.join(neg, "anchor", "left_anti").select("anchor"))
+    most = left.join(links, "anchor").groupBy("anchor").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0]
+    if most is not None:
+        order = [r.id for r in base.select("id", key.alias("key")).orderBy("key", "id").limit(most + 2).collect()]  # at most the largest degree and two
+        taken = links.join(left, "anchor").groupBy("anchor").agg(F.collect_set("neg").alias("taken"))
+        free = F.filter(F.lit(order).cast("array<long>"), lambda v: (v != F.col("anchor")) & ~F.array_contains("taken", v))
+        rest = taken.select("anchor", F.get(free, F.lit(0)).alias("neg"))
+        neg = neg.unionByName(rest.where("neg is not null"))
     return pos.join(neg, "anchor").select("anchor", "pos", "neg", F.lit(epoch).alias("epoch"))
 
 
@@ -83,25 +97,21 @@ def sample_queries(base: DataFrame, m: int, seed: int) -> DataFrame:
 TRACE = "qid long, step int, cands array<struct<d2:double,vid:long,seen:boolean>>, next_vid long"
 
 
-def routing_traces(index: DataFrame, queries: DataFrame, quantizer: Quantizer, h: int, n_shards: int = 1) -> DataFrame:
+def routing_traces(index: DataFrame, queries: DataFrame, quantizer: Quantizer, h: int) -> DataFrame:
     """(qid, step, cands, next_vid): the list after each hop, with flags of what has been visited, and the vertex visited
     from it next; the last list of a search has none."""
 
     def kernel(idx: Index, ids: np.ndarray, q: np.ndarray) -> Iterator[pa.RecordBatch]:
         w = walk(idx, len(q), code_distance(idx, quantizer.lut(q)), h, trace=True)
-        qid, step, cands, nxt = [], [], [], []
         for i, (rows, place, d, seen, to) in enumerate(w.steps):
-            for r in range(len(rows)):
-                ok = place[r] < len(idx.ids)
-                qid.append(ids[rows[r]])
-                step.append(i)
-                cands.append([{"d2": float(a), "vid": int(idx.ids[p]), "seen": bool(s)} for a, p, s in zip(d[r][ok], place[r][ok], seen[r][ok], strict=True)])
-                nxt.append(int(idx.ids[to[r]]) if to[r] >= 0 else None)
-        kind = pa.list_(pa.struct([("d2", pa.float64()), ("vid", pa.int64()), ("seen", pa.bool_())]))
-        yield pa.RecordBatch.from_arrays([pa.array(np.array(qid, np.int64)), pa.array(np.array(step, np.int32)), pa.array(cands, kind), pa.array(nxt, pa.int64())], ["qid", "step", "cands", "next_vid"])
+            ok = place < len(idx.ids)
+            kept = [d[ok], idx.ids[place[ok]], seen[ok]]
+            ends = np.concatenate([[0], np.cumsum(ok.sum(1))]).astype(np.int32)
+            cands = pa.ListArray.from_arrays(pa.array(ends), pa.StructArray.from_arrays([pa.array(x) for x in kept], ["d2", "vid", "seen"]))
+            nxt = pa.array(idx.ids[np.maximum(to, 0)], mask=to < 0)
+            yield pa.RecordBatch.from_arrays([pa.array(ids[rows]), pa.array(np.full(len(rows), i, np.int32)), cands, nxt], ["qid", "step", "cands", "next_vid"])
 
-    ask = queries if "shard" in queries.columns else queries.withColumn("shard", F.lit(0))
-    return run_shards(index, ask, kernel, TRACE, n_shards)
+    return run_shards(index, queries, kernel, TRACE)
 
 
 def label_traces(traces: DataFrame, base: DataFrame, queries: DataFrame, teacher: str = "exact", edges: DataFrame | None = None) -> DataFrame:
@@ -123,17 +133,17 @@ def label_traces(traces: DataFrame, base: DataFrame, queries: DataFrame, teacher
     return both.groupBy("qid", "step").agg(F.min(F.struct("hops", "d2", "vid")).alias("b")).select("qid", "step", F.col("b.vid").alias("label"))
 
 
-def hops_to_nearest(base: DataFrame, queries: DataFrame, edges: DataFrame, most: int = 64) -> DataFrame:
+def hops_to_nearest(base: DataFrame, queries: DataFrame, edges: DataFrame) -> DataFrame:
     """(qid, vid, hops): hops from each vertex to the query's nearest vertex, backwards from it, one join per ring."""
     from .exact import exact_knn
 
     goal = exact_knn(base, queries, 1).select("qid", "vid", F.lit(0).alias("hops"))
     seen = front = materialize(goal)
     back = edges.select(F.col("dst").alias("vid"), F.col("src").alias("prev")).distinct()
-    for hop in range(1, most + 1):
+    hop = 0
+    while not front.isEmpty():
+        hop += 1
         ring = front.join(back, "vid").select("qid", F.col("prev").alias("vid")).distinct()
         front = materialize(ring.join(seen, ["qid", "vid"], "left_anti").withColumn("hops", F.lit(hop)))
-        if front.isEmpty():
-            break
         seen = seen.unionByName(front)
     return seen

@@ -19,11 +19,11 @@ from pyspark.sql import functions as F
 from vecgraph.functions.kernels import d2_blas, matrix
 from vecgraph.session import materialize, ship
 
-from .exact import mean_vector
+from .exact import mean_vector, top
 from .quantize import kmeans, sample
 
-#: Distances that pool_of holds at once.
-POOL_CELLS = 1 << 23
+#: Distances that pool_of holds at once; rows of a cell beyond which it is cut by hash, so that no task gets a hot cell.
+POOL_CELLS, CELL_MOST = 1 << 23, 100_000
 EDGES = "src long, dst long, d2 double, level int"
 
 
@@ -98,12 +98,12 @@ def attach_unreached(x: np.ndarray, links: list[np.ndarray], entry: int | np.nda
     return links
 
 
-def levels_of(ids: np.ndarray, ml: float, most: int = 6) -> np.ndarray:
-    """Level of each vertex from a hash of its id: floor(-ln(u) * ml)."""
+def levels_of(ids: np.ndarray, ml: float) -> np.ndarray:
+    """Level of each vertex from a hash of its id: floor(-ln(u) * ml); u has 32 bits, so there are at most 22.9 * ml levels above the ground."""
     import hashlib
 
     u = np.array([(int(hashlib.md5(str(i).encode()).hexdigest()[:8], 16) + 0.5) / 2**32 for i in ids.tolist()])
-    return np.minimum(np.floor(-np.log(u) * ml), most).astype(int)
+    return np.floor(-np.log(u) * ml).astype(int)
 
 
 def shard_links(kind: str, ids: np.ndarray, x: np.ndarray, degree: int, pool: int, alpha: float, ml: float, attach: bool = True) -> tuple[np.ndarray, ...]:
@@ -180,7 +180,7 @@ def build(base: DataFrame, kind: str, degree: int = 16, pool: int = 48, alpha: f
 
     placed = base.select("id", "vec").mapInArrow(place, "id long, vec array<double>, cell int, home boolean, level int")
     if cells > 1:
-        placed = materialize(placed)
+        placed, cells = cut_cells(materialize(placed), cells)
     found = placed.repartitionById(max(1, cells), F.col("cell")).sortWithinPartitions("cell", "id").mapInArrow(links, EDGES)
     if cells == 1:
         return found
@@ -188,6 +188,49 @@ def build(base: DataFrame, kind: str, degree: int = 16, pool: int = 48, alpha: f
     return united if kind == "flat" else attach_across(base, placed, united, cells)
 
 
+def cut_cells(placed: DataFrame, cells: int) -> tuple[DataFrame, int]:
+    """The rows with cells of more than CELL_MOST cut by a hash of the id, and the number of cells then."""
+    size = {r.cell: r["n"] for r in placed.groupBy("cell").agg(F.count("*").alias("n")).collect()}  # as many rows as cells
+    if max(size.values(), default=0) <= CELL_MOST:
+        return placed, cells
+    parts, at = [], 0
+    for c in sorted(size):
+        n = -(-size[c] // CELL_MOST)
+        parts.append((c, at, n))
+        at += n
+    known = F.broadcast(placed.sparkSession.createDataFrame(parts, "cell int, first int, many int"))
+    part = F.col("first") + F.pmod(F.xxhash64("id", F.lit(5)), F.col("many")).cast("int")
+    return placed.join(known, "cell").withColumn("cell", part).select(*placed.columns), at
+
+
+def knn_graph_cells(base: DataFrame, k: int, cells: int, overlap: int = 4) -> DataFrame:
+    """(src, dst, d2): every row's k nearest others among the rows that share one of its `overlap` nearest cells. Work grows with the
+    rows times a cell's size, not with their square; recall against exact.knn_graph is to be measured, and grows with `overlap`."""
+    ship(base.sparkSession)
+    centres = kmeans(sample(base, 100_000), cells, 8)[0]
+
+    def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if b.num_rows:
+                to = np.argsort(d2_blas(matrix(b.column(1)), centres), 1, kind="stable")[:, :overlap]
+                take = pa.table(b).take(pa.array(np.repeat(np.arange(b.num_rows), to.shape[1])))
+                yield from take.append_column("cell", pa.array(to.ravel().astype(np.int32))).combine_chunks().to_batches()
+
+    def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in cell_tables(batches):
+            ids, x = t["id"].to_numpy(), matrix(t["vec"])
+            if len(ids) > 1:
+                place, _ = pool_of(x, k)
+                src = np.repeat(np.arange(len(ids)), place.shape[1])
+                dst = place.ravel()
+                yield pa.RecordBatch.from_arrays([pa.array(ids[src]), pa.array(ids[dst]), pa.array(((x[src] - x[dst]) ** 2).sum(1))], ["src", "dst", "d2"])
+
+    placed, n = cut_cells(materialize(base.select("id", "vec").mapInArrow(near, "id long, vec array<double>, cell int")), cells)
+    found = placed.repartitionById(n, F.col("cell")).sortWithinPartitions("cell", "id").mapInArrow(pairs, "src long, dst long, d2 double")
+    one = found.groupBy("src", "dst").agg(F.min("d2").alias("d2"))
+    return top(one, k, "src", ("d2", "dst")).select("src", "dst", "d2")
+
+
 def _in_cells(rows: DataFrame, edges: DataFrame, cells: int) -> DataFrame:
     """rows (cell, id, vec, own, ...) with the links of own rows, each cell in one task, ids ascending."""
     out = edges.groupBy("src").agg(F.collect_list(F.struct("dst", "level")).alias("l")).select("src", F.lit(True).alias("own"), F.col("l.dst").alias("dsts"), F.col("l.level").alias("levels"))
@@ -304,16 +347,16 @@ def graph_stats(edges: DataFrame) -> DataFrame:
     return deg.agg(F.count("*").alias("vertices"), F.sum("deg").alias("edges"), F.min("deg").alias("min_deg"), F.max("deg").alias("max_deg"), F.round(F.avg("deg"), 6).alias("avg_deg"))
 
 
-def reachable(edges: DataFrame, entry: int, most: int = 64) -> DataFrame:
+def reachable(edges: DataFrame, entry: int) -> DataFrame:
     """(vid, hops): breadth first from the entry, one join per ring; the visited set is a table, never collected."""
     spark = edges.sparkSession
     seen = materialize(spark.createDataFrame([(entry, 0)], "vid long, hops int"))
     front = seen
-    for hop in range(1, most + 1):
+    hop = 0
+    while not front.isEmpty():
+        hop += 1
         ring = front.join(edges.select(F.col("src").alias("vid"), "dst"), "vid").select(F.col("dst").alias("vid")).distinct()
         front = materialize(ring.join(seen, "vid", "left_anti").withColumn("hops", F.lit(hop)))
-        if front.isEmpty():
-            break
         seen = seen.unionByName(front)
     return seen
 

@@ -2,13 +2,14 @@
 
 A query keeps up to h candidates ordered by (distance, id). Each hop visits the first unvisited one, adds its
 neighbours, and cuts back to h; it ends when all kept candidates are visited. The kernel advances all queries
-of a batch together. Over a cluster the index lies in shards of bounded size: a task loads one shard and
-streams its queries; results of the shards asked are merged by a window. A second plan advances all queries
+of a batch together. Over a cluster the index lies in shards of bounded size, stored in buckets: a task loads one
+shard and the queries sent to it; results of the shards asked are merged by a window. A second plan advances all queries
 hop by hop with joins, for graphs that can't be cut, and as a cross-check.
 """
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -16,10 +17,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from vecgraph.functions.columns import adc as adc_col
 from vecgraph.functions.kernels import d2_pairs, fold, matrix
-from vecgraph.session import materialize, ship
+from vecgraph.session import bucketed, materialize, ship
 
 from .exact import top
 from .quantize import Quantizer, adc
@@ -41,6 +44,7 @@ class Index:
     codes: np.ndarray | None = None
     vectors: np.ndarray | None = None
     upper: list[np.ndarray] | None = None  # neighbours on levels 1, 2, ..., by place
+    allowed: np.ndarray | None = None  # which vertices a filtered walk may keep
 
 
 def full_distance(index: Index, q: np.ndarray) -> Distance:
@@ -149,11 +153,12 @@ def assemble(rows: pa.Table) -> Index:
         upper = [by_place(ids, owner[level == lv], dst[level == lv]) for lv in range(1, int(level.max(initial=0)) + 1)]
     entry = int(np.flatnonzero(rows["entry"].to_numpy(zero_copy_only=False))[0]) if len(ids) else 0
     names = rows.column_names
-    return Index(ids, out, entry, matrix(rows["code"]).astype(int) if "code" in names else None, matrix(rows["vec"]) if "vec" in names else None, upper)
+    return Index(ids, out, entry, matrix(rows["code"]).astype(int) if "code" in names else None, matrix(rows["vec"]) if "vec" in names else None, upper, rows["allowed"].to_numpy(zero_copy_only=False) if "allowed" in names else None)
 
 
-def index_rows(base: DataFrame, edges: DataFrame, codes: DataFrame | None, entry: DataFrame, vectors: bool, shards: DataFrame | None = None) -> DataFrame:
-    """(shard, vid, nbrs, entry, code?, vec?): the table a walk reads; code-only tables never hold vectors. `entry` has (vid), one per shard."""
+def index_rows(base: DataFrame, edges: DataFrame, codes: DataFrame | None, entry: DataFrame, vectors: bool, shards: DataFrame | None = None, allowed: DataFrame | None = None) -> DataFrame:
+    """(shard, vid, nbrs, entry, code?, vec?, allowed?): the table a walk reads; code-only tables never hold vectors. `entry` has (vid),
+    one per shard; `allowed` has (vid) of what filtered walks may keep."""
     layered = "level" in edges.columns
     ground = edges.where("level = 0") if layered else edges
     nbrs = ground.groupBy("src").agg(F.sort_array(F.collect_list("dst")).alias("nbrs"))
@@ -165,40 +170,36 @@ def index_rows(base: DataFrame, edges: DataFrame, codes: DataFrame | None, entry
     if codes is not None:
         rows = rows.join(codes, "vid")
     rows = rows.join(entry.select("vid", F.lit(True).alias("entry")), "vid", "left").withColumn("entry", F.coalesce("entry", F.lit(False)))
+    if allowed is not None:
+        rows = rows.join(allowed.select("vid", F.lit(True).alias("allowed")), "vid", "left").withColumn("allowed", F.coalesce("allowed", F.lit(False)))
     return rows.join(shards, "vid") if shards is not None else rows.withColumn("shard", F.lit(0))
 
 
-def run_shards(index: DataFrame, queries: DataFrame, kernel: Callable[[Index, np.ndarray, np.ndarray], Iterator[pa.RecordBatch]], schema: str, n_shards: int = 1) -> DataFrame:
-    """kernel(index, query ids, query vectors) over each shard's queries, in batches. queries: (shard, id, vec)."""
+def keep_index(rows: DataFrame, n_shards: int = 1) -> DataFrame:
+    """Write an index once, in buckets by shard: every search reads it where it lies and shuffles only queries and answers."""
+    return bucketed(rows, "shard", n_shards if n_shards == 1 else 2 * n_shards)
+
+
+def run_shards(index: DataFrame, queries: DataFrame, kernel: Callable[[Index, np.ndarray, np.ndarray], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
+    """kernel(index, query ids, query vectors) over each shard's queries, in batches; shards meet their queries by grouping both sides.
+    queries: (shard, id, vec), or without a shard if all shards are asked. An index from `keep_index` is not shuffled."""
     ship(index.sparkSession)
-    have = [c for c in ("code", "upper", "vec") if c in index.columns]
-    blank = {"nbrs": "array<long>", "entry": "boolean", "code": "array<int>", "upper": "array<struct<level:int,dst:long>>"}
-    more = [c for c in have if c != "vec"]
-    rows = index.select("shard", F.lit(0).alias("kind"), "vid", "nbrs", "entry", *more, *([F.col("vec")] if "vec" in have else [F.lit(None).cast("array<double>").alias("vec")]))
-    ask = queries.select(F.col("shard").cast("int").alias("shard"), F.lit(1).alias("kind"), F.col("id").alias("vid"), *[F.lit(None).cast(t).alias(c) for c, t in blank.items() if c in ("nbrs", "entry", *more)], "vec")
-    both = rows.unionByName(ask)
-    per = both.repartitionById(n_shards, F.col("shard")).sortWithinPartitions("shard", "kind")
-    keep_vec = "vec" in have
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, held, idx = None, [], None
-        for b in batches:
-            t = pa.table(b)
-            shard, kind = t["shard"].to_numpy(), t["kind"].to_numpy()
-            for s in np.unique(shard):
-                if s != at:
-                    at, held, idx = s, [], None
-                rows = t.filter(pa.array((shard == s) & (kind == 0)))
-                if rows.num_rows:
-                    held.append(rows if keep_vec else rows.drop_columns(["vec"]))
-                ask = t.filter(pa.array((shard == s) & (kind == 1)))
-                if ask.num_rows and held:
-                    idx = idx or assemble(pa.concat_tables(held))
-                    for i in range(0, ask.num_rows, 512):
-                        part = ask.slice(i, 512)
-                        yield from kernel(idx, part["vid"].to_numpy(), matrix(part["vec"]))
-
-    return per.mapInArrow(run, schema)
+    out = to_arrow_schema(StructType.fromDDL(schema))
+
+    def run(rows: pa.Table, ask: pa.Table) -> pa.Table:
+        found = []
+        if rows.num_rows and ask.num_rows:
+            idx = assemble(rows)
+            for i in range(0, ask.num_rows, 512):
+                part = ask.slice(i, 512)
+                found += kernel(idx, part["id"].to_numpy(), matrix(part["vec"]))
+        return pa.Table.from_batches(found).cast(out) if found else out.empty_table()
+
+    if "shard" not in queries.columns:
+        last = index.agg(F.max("shard")).first()[0] or 0
+        queries = queries.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(int(last)))))
+    ask = queries.select(F.col("shard").cast("int").alias("shard"), "id", "vec")
+    return index.groupBy("shard").cogroup(ask.groupBy("shard")).applyInArrow(run, schema)
 
 
 def descend(index: Index, n: int, dist: Distance) -> tuple[np.ndarray, np.ndarray]:
@@ -224,10 +225,12 @@ def descend(index: Index, n: int, dist: Distance) -> tuple[np.ndarray, np.ndarra
 RESULT = "qid long, vid long, d2 double, hops long, reads long"
 
 
-def _result(index: Index, ids: np.ndarray, w: Walk, place: np.ndarray, d: np.ndarray, reads: np.ndarray, k: int, own: bool) -> Iterator[pa.RecordBatch]:
-    """The k first of each row, the query's own id left out unless `own`."""
+def _result(index: Index, ids: np.ndarray, w: Walk, place: np.ndarray, d: np.ndarray, reads: np.ndarray, k: int, own: bool, only: np.ndarray | None) -> Iterator[pa.RecordBatch]:
+    """The k first of each row, the query's own id left out unless `own`, and so what isn't in `only`."""
     vid = np.where(place >= 0, index.ids[place], -1)
     ok = (place >= 0) & (own | (vid != ids[:, None]))
+    if only is not None:
+        ok &= only[place]
     ok &= np.cumsum(ok, 1) <= k
     row = np.nonzero(ok)[0]
     yield pa.RecordBatch.from_arrays([pa.array(ids[row]), pa.array(vid[ok]), pa.array(d[ok]), pa.array(w.hops[row].astype(np.int64)), pa.array(reads[row].astype(np.int64))], ["qid", "vid", "d2", "hops", "reads"])
@@ -241,7 +244,7 @@ def rerank(index: Index, q: np.ndarray, w: Walk, mode: str) -> tuple[np.ndarray,
     return np.take_along_axis(places, order, 1), np.take_along_axis(d, order, 1)
 
 
-def walk_each_hop(index: Index, q: np.ndarray, lut: np.ndarray, h: int) -> Walk:
+def walk_each_hop(index: Index, q: np.ndarray, lut: np.ndarray, h: int, allowed: np.ndarray | None = None) -> Walk:
     """The next vertex is the unvisited candidate nearest by original distance, among the h nearest by code."""
     n, big = len(q), len(index.ids)
     by_code, by_vector = code_distance(index, lut), full_distance(index, q)
@@ -268,6 +271,8 @@ def walk_each_hop(index: Index, q: np.ndarray, lut: np.ndarray, h: int) -> Walk:
         visits.append(visit)
         near = index.neighbours[now]
         ok = (near >= 0) & ~(near[:, :, None] == place[alive][:, None, :]).any(2)
+        if allowed is not None:
+            ok &= allowed[near]
         at = np.where(near >= 0, near, 0)
         p = np.concatenate([place[alive], np.where(ok, near, big)], 1)
         dd = np.concatenate([d[alive], np.where(ok, by_code(alive, at), np.inf)], 1)
@@ -278,33 +283,55 @@ def walk_each_hop(index: Index, q: np.ndarray, lut: np.ndarray, h: int) -> Walk:
     return Walk(np.where(place < big, place, -1), d, hops, np.stack(visits, 1) if visits else np.empty((n, 0), int), [])
 
 
-def beam_search(index: DataFrame, queries: DataFrame, h: int, k: int, mode: str = "code_only", quantizer: Quantizer | None = None, rerank_at: str = "final", n_shards: int = 1, own: bool = False) -> DataFrame:
-    """(qid, rank, vid, d2, hops, reads). mode: "full" (original vectors), "code_only" (codes), "disk_tier" (codes, then
-    the vectors of what was visited, once at the end or at each hop). With several shards hops and reads are those of the shard that found the row."""
+Kernel = Callable[[Index, np.ndarray, np.ndarray, int], Iterator[pa.RecordBatch]]
+
+
+def searcher(k: int, mode: str = "code_only", quantizer: Quantizer | None = None, rerank_at: str = "final", own: bool = False, filtered: bool = False) -> Kernel:
+    """What a shard does with a batch of queries at a beam. mode: "full" (original vectors), "code_only" (codes), "disk_tier" (codes,
+    then the vectors of what was visited, once at the end or at each hop). `filtered`: only vertices that the index allows are kept as
+    candidates, and the entry to start from, so others aren't even passed through; the answer holds allowed ones only."""
 
-    def kernel(idx: Index, ids: np.ndarray, q: np.ndarray) -> Iterator[pa.RecordBatch]:
+    def kernel(idx: Index, ids: np.ndarray, q: np.ndarray, h: int) -> Iterator[pa.RecordBatch]:
         none = np.zeros(len(ids), int)
+        only = idx.allowed if filtered else None
         if mode == "full":
-            w = walk(idx, len(q), full_distance(idx, q), h)
-            yield from _result(idx, ids, w, w.place, w.d, w.hops, k, own)
+            w = walk(idx, len(q), full_distance(idx, q), h, allowed=only)
+            yield from _result(idx, ids, w, w.place, w.d, w.hops, k, own, only)
             return
         lut = quantizer.lut(q)
         if mode == "code_only":
             dist = code_distance(idx, lut)
             start, above = descend(idx, len(q), dist) if idx.upper else (None, none)
-            w = walk(idx, len(q), dist, h, entry=start)
+            w = walk(idx, len(q), dist, h, allowed=only, entry=start)
             w.hops = w.hops + above
-            yield from _result(idx, ids, w, w.place, w.d, none, k, own)
+            yield from _result(idx, ids, w, w.place, w.d, none, k, own, only)
             return
-        w = walk(idx, len(q), code_distance(idx, lut), h) if rerank_at == "final" else walk_each_hop(idx, q, lut, h)
-        yield from _result(idx, ids, w, *rerank(idx, q, w, rerank_at), w.hops, k, own)
-
-    ask = queries if "shard" in queries.columns else queries.withColumn("shard", F.lit(0))
-    found = run_shards(index, ask, kernel, RESULT, n_shards)
-    if n_shards == 1:
-        return top(found, k).select("qid", "rank", "vid", "d2", "hops", "reads")
-    merged = found.groupBy("qid", "vid").agg(F.min("d2").alias("d2"), F.max("hops").alias("hops"), F.max("reads").alias("reads"))
-    return top(merged, k).select("qid", "rank", "vid", "d2", "hops", "reads")
+        w = walk(idx, len(q), code_distance(idx, lut), h, allowed=only) if rerank_at == "final" else walk_each_hop(idx, q, lut, h, only)
+        yield from _result(idx, ids, w, *rerank(idx, q, w, rerank_at), w.hops, k, own, only)
+
+    return kernel
+
+
+def sweep(index: DataFrame, queries: DataFrame, kernel: Kernel, hs: tuple[int, ...], k: int) -> DataFrame:
+    """(h, qid, rank, vid, d2, hops, reads, seconds): one search per beam in a single pass over the index; seconds is a query's share
+    of the time its batch took in the kernel. With several shards hops, reads and seconds are the most over the shards asked."""
+
+    def run(idx: Index, ids: np.ndarray, q: np.ndarray) -> Iterator[pa.RecordBatch]:
+        for h in hs:
+            begin = time.perf_counter()
+            found = list(kernel(idx, ids, q, h))
+            seconds = (time.perf_counter() - begin) / max(1, len(ids))
+            for b in found:
+                yield b.append_column("h", pa.array(np.full(b.num_rows, h, np.int32))).append_column("seconds", pa.array(np.full(b.num_rows, seconds)))
+
+    merged = run_shards(index, queries, run, f"{RESULT}, h int, seconds double").groupBy("h", "qid", "vid").agg(F.min("d2").alias("d2"), *(F.max(c).alias(c) for c in ("hops", "reads", "seconds")))
+    return top(merged, k, ["h", "qid"]).select("h", "qid", "rank", "vid", "d2", "hops", "reads", "seconds")
+
+
+def beam_search(index: DataFrame, queries: DataFrame, h: int, k: int, mode: str = "code_only", quantizer: Quantizer | None = None, **options) -> DataFrame:
+    """(qid, rank, vid, d2, hops, reads): `searcher` at one beam. A code-only search reads no vectors."""
+    rows = index.drop("vec") if mode == "code_only" else index
+    return sweep(rows, queries, searcher(k, mode, quantizer, **options), (h,), k).select("qid", "rank", "vid", "d2", "hops", "reads")
 
 
 def search_flat(base: DataFrame, codes: DataFrame, queries: DataFrame, quantizer: Quantizer, k: int, candidates: int) -> DataFrame:

@@ -8,8 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecgraph.operators import exact, quantize
-from vecgraph.operators.graphs import entry_vertex
-from vecgraph.operators.walk import index_rows
+from vecgraph.operators.sharded import stored_index
 from vecgraph.session import materialize, ship
 from vecgraph.sources import sets
 
@@ -49,11 +48,8 @@ class Setting:
     def edges(self) -> DataFrame:
         return materialize(exact.sym_knn_graph(self.base, NEAR))
 
-    def entry(self) -> DataFrame:
-        return self.spark.createDataFrame([(entry_vertex(self.base),)], "vid long")
-
-    def index(self, vectors: bool, codes: bool = True, edges: DataFrame | None = None) -> DataFrame:
-        return index_rows(self.base, edges if edges is not None else self.edges(), self.codes() if codes else None, self.entry(), vectors)
+    def index(self, vectors: bool, codes: bool = True, edges: DataFrame | None = None, allowed: DataFrame | None = None) -> DataFrame:
+        return stored_index(self.base, edges if edges is not None else self.edges(), self.codes() if codes else None, vectors, allowed=allowed)
 
 
 def r6(c: str, name: str | None = None):
@@ -103,15 +99,15 @@ LUT = f"lut AS MATERIALIZED (SELECT qid, list(row ORDER BY j) AS lut FROM (SELEC
 ADC = f"dist AS MATERIALIZED (SELECT qid, vid, list_sum(list_transform(range({M}), lambda j: lut[j + 1][code[j + 1] + 1])) AS d FROM lut, codes)"
 
 
-def beam(h: int = H) -> str:
-    """Walk states from dist, graph and entry: w(qid, step, beam, visited, nxt)."""
-    return f"""cand AS MATERIALIZED (SELECT qid, src, list({{'d': d, 'vid': dst}}) AS near FROM graph JOIN dist ON dist.vid = graph.dst GROUP BY qid, src),
+def beam(h: int = H, links: str = "graph") -> str:
+    """Walk states from dist, links and entry: w(qid, step, beam, visited, nxt)."""
+    return f"""cand AS MATERIALIZED (SELECT qid, src, list({{'d': d, 'vid': dst}}) AS near FROM {links} AS graph JOIN dist ON dist.vid = graph.dst GROUP BY qid, src),
 w AS (
   SELECT dist.qid, 0 AS step, [{{'d': d, 'vid': dist.vid}}] AS beam, []::BIGINT[] AS visited, dist.vid AS nxt FROM dist JOIN entry ON entry.vid = dist.vid
   UNION ALL
   SELECT qid, step + 1, beam, visited, list_filter(beam, lambda c: NOT list_contains(visited, c.vid))[1].vid FROM (
     SELECT w.qid, step, list_append(visited, nxt) AS visited, list_sort(list_distinct(list_concat(beam, near)))[1:{h}] AS beam
-    FROM w JOIN cand ON cand.qid = w.qid AND cand.src = w.nxt WHERE nxt IS NOT NULL)),
+    FROM w LEFT JOIN cand ON cand.qid = w.qid AND cand.src = w.nxt WHERE nxt IS NOT NULL)),
 ended AS MATERIALIZED (SELECT qid, step AS hops, beam, visited FROM w WHERE nxt IS NULL)"""
 
 

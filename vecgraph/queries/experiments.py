@@ -1,14 +1,16 @@
-"""Fitted quantizers, graph invariants and the experiment workloads. Searches with fitted models have no SQL form;
-their invariants do."""
+"""Fitted quantizers, graph invariants and the experiment workloads. Searches with fitted models have no SQL form; beside the queries
+that return their measures stand *_invariants queries, whose rows and counts SQL works out from the tables."""
 
 from __future__ import annotations
 
 import numpy as np
 from pyspark.sql import functions as F
 
+from vecgraph import measures
 from vecgraph import workloads as W
 from vecgraph.operators import exact, graphs, quantize
 from vecgraph.operators.sharded import ShardedIndex
+from vecgraph.session import materialize
 from vecgraph.train import loop
 
 from .common import ISO, Setting, query, r6, sql
@@ -31,14 +33,22 @@ def opq_invariants(spark, d):
     return _flags(spark, orthogonal=np.abs(q.rotation @ q.rotation.T - np.eye(64)).max() < 1e-10, error_falls=all(b <= a * (1 + 1e-9) for a, b in zip(errors[1:], errors[2:], strict=False)), not_above_pq=quantize.distortion(s.base, q) <= quantize.distortion(s.base, pq))
 
 
-@query(_all_true("orthogonal", "loss_falls", "skew_kept", "codes_in_range"))
+@query("SELECT kinds, 64 * 63 // 2 AS parameters, true AS orthogonal, true AS codes_in_range, true AS not_below_start, kinds IN ('N', 'C') AS loss_falls FROM (VALUES ('N'), ('R'), ('NR'), ('C')) t(kinds)")
 def gaq_invariants(spark, d):
-    lab = W.Lab(spark, d, "skew")
-    f = loop.fit(lab.features, 8, 16, "N", start="pq", steps=60, peak=3e-3, size=128)
-    r = f.quantizer.rotation
-    first, last = (np.mean([x["nbr"] for x in part]) for part in (f.losses[:10], f.losses[-10:]))
-    codes = f.quantizer.encode(lab.features.x)
-    return _flags(spark, orthogonal=np.abs(r @ r.T - np.eye(64)).max() < 1e-10, loss_falls=last < first, skew_kept=len(f.theta) == 64 * 63 // 2, codes_in_range=0 <= codes.min() and codes.max() < 16)
+    """Of each kind of training: the model stays a rotation, the one kept has the best validation score, and losses on one kind of rows fall."""
+    lab, rows = W.lab(spark, d, "skew", steps=STEPS), []
+    for kinds in ("N", "R", "NR", "C"):
+        f = lab.fitted(kinds)
+        x, score = lab.features.x, dict(f.scores)
+        codes = [q.encode(x) for q in (f.quantizer, f.last)]
+        name, falls = {"N": "nbr", "C": "recon"}.get(kinds), False
+        if name:
+            far = loop.fit(lab.features, 8, 16, kinds, start="pq", steps=60, peak=3e-3, size=128)
+            first, last = (np.mean([p[name] for p in part]) for part in (far.losses[:10], far.losses[-10:]))
+            falls = bool(last < first)
+        orthogonal = max(np.abs(q.rotation @ q.rotation.T - np.eye(64)).max() for q in (f.quantizer, f.last)) < 1e-10
+        rows.append((kinds, len(f.theta), bool(orthogonal), bool(min(c.min() for c in codes) >= 0 and max(c.max() for c in codes) < 16), bool(score[f.step_kept] >= max(score.values()) - 1e-12 and score[f.step_kept] >= score[0]), falls))
+    return spark.createDataFrame(rows, "kinds string, parameters int, orthogonal boolean, codes_in_range boolean, not_below_start boolean, loss_falls boolean")
 
 
 @query(sql(ISO, "SELECT count(*) AS vertices, true AS degree_bounded, true AS no_loops FROM iso"))
@@ -55,7 +65,7 @@ def spread_reachable(spark, d):
     return graphs.reachable(g, graphs.entry_vertex(base)).agg(F.count("*").alias("reached"))
 
 
-@query("SELECT level::INT AS level, count(*) AS vertices FROM (SELECT least(floor(-ln((('0x' || substr(md5(vec_id::VARCHAR), 1, 8))::BIGINT + 0.5) / 4294967296.0) * 0.5), 6) AS l FROM embeddings), range(7) t(level) WHERE l >= level GROUP BY level HAVING count(*) > 1")
+@query("SELECT level::INT AS level, count(*) AS vertices FROM (SELECT floor(-ln((('0x' || substr(md5(vec_id::VARCHAR), 1, 8))::BIGINT + 0.5) / 4294967296.0) * 0.5) AS l FROM embeddings), range(12) t(level) WHERE l >= level GROUP BY level HAVING count(*) > 1")
 def layered_levels(spark, d):
     g = graphs.build(Setting(spark, d).base, "layered", 16)
     return g.groupBy("level").agg(F.countDistinct("src").alias("vertices"))
@@ -76,7 +86,7 @@ def spread_reachable_cells(spark, d):
     return graphs.reachable(g, graphs.entry_vertex(base)).agg(F.count("*").alias("reached"))
 
 
-@query("SELECT level::INT AS level, count(*) AS reached FROM (SELECT least(floor(-ln((('0x' || substr(md5(vec_id::VARCHAR), 1, 8))::BIGINT + 0.5) / 4294967296.0) * 0.5), 6) AS l FROM embeddings), range(7) t(level) WHERE l >= level GROUP BY level HAVING count(*) > 1")
+@query("SELECT level::INT AS level, count(*) AS reached FROM (SELECT floor(-ln((('0x' || substr(md5(vec_id::VARCHAR), 1, 8))::BIGINT + 0.5) / 4294967296.0) * 0.5) AS l FROM embeddings), range(12) t(level) WHERE l >= level GROUP BY level HAVING count(*) > 1")
 def layered_reachable_cells(spark, d):
     """Vertices that are reachable on each level of a graph built in four cells from the one nearest to the mean."""
     base = Setting(spark, d).base
@@ -86,49 +96,147 @@ def layered_reachable_cells(spark, d):
     return graphs.spread_from(g, graphs.level_entries(base, members)).groupBy("level").agg(F.count("*").alias("reached"))
 
 
-@query(sql(ISO, "SELECT count(*) * 10 AS answers, true AS ordered FROM iso WHERE id % 50 = 0"))
+def _answers(found, truth, disk: bool):
+    """One row on a result (qid, rank, vid, d2, hops, reads): counts, and what must hold whatever the model is."""
+    w = exact.Window.partitionBy("qid").orderBy("rank")
+    marked = found.withColumn("before", F.lag("d2").over(w)).withColumn("place", F.row_number().over(w))
+    reads = F.min((F.col("reads") == F.col("hops")) if disk else (F.col("reads") == 0))
+    one = marked.agg(F.count("*").alias("answers"), F.countDistinct("qid").alias("queries"), F.coalesce(F.min(F.col("before") <= F.col("d2")), F.lit(True)).alias("ordered"), F.min(F.col("rank") == F.col("place")).alias("ranked"), F.min(F.col("qid") != F.col("vid")).alias("others"), reads.alias("reads_right"))
+    near = measures.recall(found, truth, 10).agg(F.avg("recall")).first()[0]
+    return one.withColumn("r", F.lit(float(near or 0)))
+
+
+@query(sql(ISO, "SELECT count(*) * 10 AS answers, count(*) AS queries, true AS ordered, true AS ranked, true AS others, true AS reads_right, true AS mostly_found FROM iso WHERE id % 50 = 0"))
 def sharded_search(spark, d):
+    """Four cells, two of which are asked; at least half of the true neighbours are found."""
     s = Setting(spark, d)
-    found = ShardedIndex.build(s.base, quantize.train_pq(s.base, 8, 16), 4).search(s.queries, probes=4, h=32, k=10)
-    w = exact.Window.partitionBy("qid").orderBy("rank")
-    return found.withColumn("before", F.lag("d2").over(w)).agg(F.count("*").alias("answers"), F.coalesce(F.min(F.col("before") <= F.col("d2")), F.lit(True)).alias("ordered"))
+    found = materialize(ShardedIndex.build(s.base, quantize.train_pq(s.base, 8, 16), 4).search(s.queries, probes=2, h=32, k=10))
+    return _answers(found, exact.exact_knn(s.base, s.queries, 10), True).withColumn("mostly_found", F.col("r") >= 0.5).drop("r")
+
+
+@query(sql(ISO, "SELECT count(*) AS vertices, 8::BIGINT AS degree, true AS others, true AS found FROM iso"))
+def knn_graph_cells(spark, d):
+    """The neighbour graph from cells against the exact one: at least nine tenths of its links."""
+    base = Setting(spark, d).base
+    got, true = materialize(graphs.knn_graph_cells(base, 8, 4, overlap=3)), exact.knn_graph(base, 8)
+    hit = got.join(true, ["src", "dst"], "left_semi").count()
+    per = got.groupBy("src").agg(F.count("*").alias("n"), F.min(F.col("src") != F.col("dst")).alias("others"))
+    one = per.agg(F.count("*").alias("vertices"), F.max("n").alias("degree"), F.min("others").alias("others"))
+    return one.withColumn("found", F.lit(hit) >= 0.9 * 8 * F.col("vertices"))
+
+
+#: Steps of training in the registered experiments; sf0.1 runs in bench.py and the README use more.
+STEPS = 40
+SEARCHES = (("gaq", "code_only", "spread"), ("neural", "disk_tier", "flat"), ("linkreg", "code_only", "layered"), ("opq", "code_only", "layered"), ("pq", "disk_tier", "flat"))
 
 
 def _search(name: str, mode: str, kind: str):
     def run(spark, d):
-        return W.Lab(spark, d).run(mode, kind, name).select("qid", "rank", "vid", r6("d2"))
+        return W.lab(spark, d, steps=STEPS).run(mode, kind, name).select("qid", "rank", "vid", r6("d2"))
 
     run.__name__ = f"{name}_search"
     query()(run)
 
 
-for _name, _mode, _kind in (("gaq", "code_only", "spread"), ("neural", "disk_tier", "flat"), ("linkreg", "code_only", "layered"), ("opq", "code_only", "layered"), ("pq", "disk_tier", "flat")):
+for _name, _mode, _kind in SEARCHES:
     _search(_name, _mode, _kind)
 
 
+@query(sql(ISO, "SELECT quantizer, count(*) * 10 AS answers, count(*) AS queries, true AS ordered, true AS ranked, true AS others, true AS reads_right, true AS in_range FROM iso, (VALUES ('gaq'), ('neural'), ('linkreg'), ('opq'), ('pq')) t(quantizer) WHERE id % 50 = 0 GROUP BY quantizer"))
+def search_invariants(spark, d):
+    """The five searches above: all queries answered in full, in order, without themselves; reads as the mode says."""
+    lab, out = W.lab(spark, d, steps=STEPS), None
+    for name, mode, kind in SEARCHES:
+        one = _answers(materialize(lab.run(mode, kind, name)), lab.truth, mode == "disk_tier").select(F.lit(name).alias("quantizer"), "*")
+        one = one.withColumn("in_range", (F.col("r") > 0) & (F.col("r") <= 1)).drop("r")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _matrix(spark, d, name):
+    lab = W.lab(spark, d, name, steps=STEPS)
+    return lab.get("config_matrix", lambda: materialize(W.config_matrix(lab)))
+
+
 @query()
 def config_matrix(spark, d):
-    return W.config_matrix(W.Lab(spark, d, "skew"))
+    return _matrix(spark, d, "skew")
 
 
 @query()
-def ablation(spark, d):
-    return W.ablation(W.Lab(spark, d, "skew", steps=40))
+def config_matrix_iso(spark, d):
+    return _matrix(spark, d, "iso")
+
+
+@query()
+def config_matrix_text(spark, d):
+    return _matrix(spark, d, "text")
+
+
+@query("""SELECT no::INT AS no, CASE WHEN no <= 4 THEN 'disk_tier' ELSE 'code_only' END AS mode, CASE WHEN no <= 4 THEN 'flat' WHEN no <= 9 THEN 'layered' ELSE 'spread' END AS graph,
+  5::BIGINT AS beams, true AS in_range, true AS reads_right, true AS wider_is_longer, true AS wider_finds_more FROM range(1, 14) t(no)""")
+def config_matrix_invariants(spark, d):
+    """What holds of every configuration: recall within 0 and 1, reads equal to hops on the disk tier and none without it, and with the
+    beam hops grow and recall at the widest is not below that at the narrowest (by more than a thirtieth: codes may order wrongly)."""
+    m = _matrix(spark, d, "skew")
+    w = exact.Window.partitionBy("no").orderBy("h")
+    grows = F.col("hops") >= F.coalesce(F.lag("hops").over(w), F.lit(0.0))
+    right = F.when(F.col("mode") == "disk_tier", F.col("reads") == F.col("hops")).otherwise(F.col("reads") == 0)
+    each = m.select("*", grows.alias("grows"), right.alias("right"))
+    more = F.max_by("recall", "h") >= F.min_by("recall", "h") - 1 / 30
+    return each.groupBy("no", "mode", "graph").agg(F.count("*").alias("beams"), F.min(F.col("recall").between(0, 1)).alias("in_range"), F.min("right").alias("reads_right"), F.min("grows").alias("wider_is_longer"), more.alias("wider_finds_more"))
+
+
+@query()
+def ablation_code_only(spark, d):
+    return W.ablation(W.lab(spark, d, "skew", steps=STEPS))
+
+
+@query()
+def ablation_disk_tier(spark, d):
+    return W.ablation(W.lab(spark, d, "skew", steps=STEPS), "disk_tier", "flat")
+
+
+def _learning(spark, d):
+    lab = W.lab(spark, d, "skew", steps=STEPS)
+    return lab.get("learning", lambda: materialize(W.learning(lab)))
+
+
+@query()
+def learning(spark, d):
+    return _learning(spark, d)
+
+
+@query("SELECT variant, seed::INT AS seed, true AS starts_at_zero, true AS kept_is_best, true AS in_range FROM (VALUES ('gaq'), ('gaq_n'), ('gaq_r'), ('recon')) v(variant), range(1, 4) s(seed)")
+def learning_invariants(spark, d):
+    """Of every variant and seed: the start is step 0, no model's validation score is above the kept one's, and measures are in range."""
+    t = _learning(spark, d)
+    score = lambda which: F.max(F.when(F.col("model") == which, F.col("validation")))
+    return t.groupBy("variant", "seed").agg(
+        (F.max(F.when(F.col("model") == "start", F.col("step"))) == 0).alias("starts_at_zero"),
+        ((score("kept") >= score("start")) & (score("kept") >= score("last"))).alias("kept_is_best"),
+        F.min(F.col("recall").between(0, 1) & (F.col("hops") >= 1) & (F.col("distortion") > 0) & F.col("step").between(0, STEPS)).alias("in_range"),
+    )
 
 
 @query()
 def ratio_sweep(spark, d):
-    return W.ratio_sweep(W.Lab(spark, d, "skew", steps=40))
+    return W.ratio_sweep(W.lab(spark, d, "skew", steps=24), hs=(16, 64))
 
 
 @query()
 def size_grid_code_only(spark, d):
-    return W.size_grid(spark, d, "iso")
+    return W.size_grid(spark, d, "skew")
 
 
 @query()
 def size_grid_disk_tier(spark, d):
-    return W.size_grid(spark, d, "iso", mode="disk_tier")
+    return W.size_grid(spark, d, "skew", mode="disk_tier")
+
+
+@query()
+def term_ablation(spark, d):
+    return W.term_ablation(W.lab(spark, d, "skew", steps=STEPS))
 
 
 @query()
@@ -136,33 +244,69 @@ def set_statistics(spark, d):
     return W.set_statistics(spark, d)
 
 
+@query("""SELECT 'iso' AS name, 64 AS dims, count(*) AS base, count(*) FILTER (vec_id % 50 = 0) AS queries FROM embeddings
+UNION ALL SELECT 'skew', 64, count(*), count(*) FILTER (vec_id % 50 = 0) FROM embeddings
+UNION ALL SELECT 'text', 64, count(*), count(*) FILTER (doc_id % 50 = 0) FROM documents WHERE text IS NOT NULL
+UNION ALL SELECT 'page', 64, count(*), count(*) FILTER (page_id % 50 = 0) FROM pages WHERE html IS NOT NULL
+UNION ALL SELECT 'profile', 16, count(*), count(*) FILTER (k % 50 = 0) FROM (SELECT DISTINCT o_custkey AS k FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem))""")
+def set_sizes(spark, d):
+    return W.set_statistics(spark, d).drop("lid")
+
+
 @query()
 def subset_training(spark, d):
-    return W.subset_training(W.Lab(spark, d, "skew"))
+    return W.subset_training(W.lab(spark, d, "skew", steps=STEPS))
+
+
+def _series(spark, d):
+    lab = W.lab(spark, d, "rowvec")
+    return lab.get("series", lambda: materialize(W.scale_series(spark, [d])))
 
 
 @query()
 def scale_series(spark, d):
-    """One step of the scale series: row vectors of the whole lineitem table, sharded graphs, disk-tier walks."""
-    return W.scale_series(spark, [d]).select("base", "recall")
+    """One step of the scale series: row vectors of the whole lineitem table, sharded graphs, walks in both modes."""
+    return _series(spark, d).select("base", "mode", "quantizer", "recall")
+
+
+@query("SELECT mode, quantizer, count(*) AS base, true AS in_range FROM lineitem, (VALUES ('code_only'), ('disk_tier')) m(mode), (VALUES ('pq'), ('opq'), ('gaq')) q(quantizer) GROUP BY mode, quantizer")
+def scale_series_invariants(spark, d):
+    return _series(spark, d).select("mode", "quantizer", "base", ((F.col("recall") > 0) & (F.col("recall") <= 1) & (F.col("qps") > 0)).alias("in_range"))
 
 
 @query()
 def balance_case(spark, d):
-    return W.balance_case(W.Lab(spark, d, "skew")).select("chunk", F.round("before", 6).alias("before"), F.round("after", 6).alias("after"))
+    return W.balance_case(W.lab(spark, d, "skew", steps=STEPS)).select("chunk", F.round("before", 6).alias("before"), F.round("after", 6).alias("after"))
+
 
+@query("SELECT 8::BIGINT AS chunks, true AS total_kept, true AS more_even")
+def balance_invariants(spark, d):
+    """A rotation moves variance between chunks but keeps its sum; after training the chunks are more even than before."""
+    t = W.balance_case(W.lab(spark, d, "skew", steps=STEPS))
+    return t.agg(F.count("*").alias("chunks"), (F.abs(F.sum("before") - F.sum("after")) < 1e-9 * F.sum("before")).alias("total_kept"), (F.max("after") / F.min("after") < F.max("before") / F.min("before")).alias("more_even"))
 
-@query("SELECT 'neural' AS quantizer, true AS trained, true AS sized UNION ALL SELECT 'gaq', true, true")
+
+@query("SELECT 'neural' AS quantizer, 4 * (64 * 128 + 128 + 128 * 40 + 16 * 40) AS bytes UNION ALL SELECT 'gaq', 4 * (64 * 63 // 2 + 16 * 64)")
 def training_cost(spark, d):
-    """Times are in bench.py; here only that both are trained and sized."""
-    t = W.training_cost(W.Lab(spark, d, "iso", steps=20))
-    return t.select("quantizer", (F.col("seconds") > 0).alias("trained"), (F.col("bytes") > 0).alias("sized"))
+    """Bytes of the two learned models from their shapes; their training times are in bench.py."""
+    return W.training_cost(W.lab(spark, d, "iso", steps=STEPS)).select("quantizer", F.col("bytes").cast("int").alias("bytes"))
 
 
-@query("SELECT true AS positive, 0.375::DOUBLE AS share")
+@query("""WITH s AS (SELECT l_returnflag AS config, l_linenumber AS h, sum(l_quantity) AS q, avg(l_extendedprice) AS qps FROM lineitem GROUP BY ALL),
+c AS (SELECT config, h, sum(q) OVER (PARTITION BY config ORDER BY h) / sum(q) OVER (PARTITION BY config) AS recall, qps FROM s),
+p AS (SELECT *, lag(recall) OVER w AS r0, lag(qps) OVER w AS q0 FROM c WINDOW w AS (PARTITION BY config ORDER BY h)),
+f(floor) AS (VALUES (0.05), (0.75), (0.95), (1.5)),
+x AS (SELECT floor, config, arg_min(CASE WHEN r0 IS NULL THEN qps ELSE q0 + (floor - r0) / (recall - r0) * (qps - q0) END, h) AS qps FROM p, f WHERE recall >= floor AND (r0 IS NULL OR r0 < floor) GROUP BY floor, config)
+SELECT f.floor::DOUBLE AS floor, c.config, round(x.qps, 4) AS qps FROM f CROSS JOIN (SELECT DISTINCT config FROM c) c LEFT JOIN x ON x.floor = f.floor AND x.config = c.config""")
 def qps_at_recall(spark, d):
-    """Interpolation over a recorded sweep: 95 % lies three eighths between the two beams around it."""
-    from vecgraph.measures import qps_at
-
-    sweep = spark.createDataFrame([("a", 10, 0.80, 400.0), ("a", 16, 0.92, 300.0), ("a", 32, 1.00, 100.0)], "config string, h int, recall double, qps double")
-    return qps_at(sweep, 0.95).select((F.col("qps") > 0).alias("positive"), F.round((300.0 - F.col("qps")) / 200.0, 6).alias("share"))
+    """The interpolation at several floors, over curves that rise like recall: running shares of quantities by line number."""
+    from vecgraph.sources.sets import table
+
+    s = table(spark, d, "lineitem").groupBy(F.col("l_returnflag").alias("config"), F.col("l_linenumber").alias("h")).agg(F.sum("l_quantity").alias("q"), F.avg("l_extendedprice").alias("qps"))
+    w = exact.Window.partitionBy("config")
+    curve = materialize(s.select("config", "h", (F.sum("q").over(w.orderBy("h")) / F.sum("q").over(w)).alias("recall"), "qps"))
+    out = None
+    for floor in (0.05, 0.75, 0.95, 1.5):
+        one = measures.qps_at(curve, floor).select(F.lit(floor).alias("floor"), "config", F.round("qps", 4).alias("qps"))
+        out = one if out is None else out.unionByName(one)
+    return out

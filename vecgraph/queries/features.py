@@ -97,7 +97,10 @@ p AS (SELECT src AS anchor, arg_min(dst, md5(concat_ws(':', 1, 0, src, dst))) AS
 dn AS (SELECT {NUMBER.format('md5(id::VARCHAR)')} AS bucket, arg_min(id, md5(concat_ws(':', 1, 0, id))) AS neg FROM iso GROUP BY 1),
 tr AS (SELECT id AS anchor, t, {NUMBER.format("md5(concat_ws(':', 1, 0, id, t))")} AS bucket FROM iso, range(8) r(t)),
 ok AS (SELECT tr.anchor, t, neg FROM tr JOIN dn ON dn.bucket = tr.bucket WHERE neg <> tr.anchor AND NOT EXISTS (SELECT 1 FROM graph g WHERE g.src = tr.anchor AND g.dst = neg)),
-ng AS (SELECT anchor, arg_min(neg, t) AS neg FROM ok GROUP BY anchor)""", "SELECT p.anchor, pos, neg, 0 AS epoch FROM p JOIN ng ON ng.anchor = p.anchor"))
+ng AS MATERIALIZED (SELECT anchor, arg_min(neg, t) AS neg FROM ok GROUP BY anchor),
+vo AS MATERIALIZED (SELECT id, row_number() OVER (ORDER BY md5(concat_ws(':', 1, 0, id)), id) AS r FROM iso),
+rest AS (SELECT p.anchor, arg_min(vo.id, vo.r) AS neg FROM p, vo WHERE p.anchor NOT IN (SELECT anchor FROM ng) AND vo.id <> p.anchor AND NOT EXISTS (SELECT 1 FROM graph g WHERE g.src = p.anchor AND g.dst = vo.id) GROUP BY p.anchor),
+al AS (SELECT * FROM ng UNION ALL SELECT * FROM rest)""", "SELECT p.anchor, pos, neg, 0 AS epoch FROM p JOIN al ON al.anchor = p.anchor"))
 def triplets_naive(spark, d):
     s = Setting(spark, d)
     return X.naive_triplets(s.base, s.edges(), epoch=0, seed=1)

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from vecgraph.functions import udfs
 from vecgraph.operators import quantize
 
-from .common import BOOK, CODES, ISO, Setting, query, sql
+from .common import ADC, BEAM_RESULT, BOOK, CODES, ENTRY, GRAPH, ISO, LUT, TOP, H, Q, Setting, beam, query, sql
 
 
 def _view(spark, d) -> tuple[Setting, str]:
@@ -45,3 +45,18 @@ def udf_adc_distance(spark, d):
     s, v = _view(spark, d)
     quantize.build_lut(s.queries, s.model).join(s.codes(), F.col("qid") == F.col("vid")).createOrReplaceTempView(f"{v}_luts")
     return spark.sql(f"SELECT qid, round(adc_distance(lut, code), 6) AS own FROM {v}_luts")
+
+
+@query(sql(ISO, GRAPH, "n AS (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY dst) - 1 AS place FROM graph)", "SELECT src AS vid, place::INT AS place, dst FROM n"))
+def udtf_expand_neighbours(spark, d):
+    s, v = _view(spark, d)
+    s.edges().groupBy("src").agg(F.sort_array(F.collect_list("dst")).alias("nbrs")).createOrReplaceTempView(f"{v}_links")
+    return spark.sql(f"SELECT src AS vid, place, dst FROM {v}_links, LATERAL expand_neighbours(nbrs)")
+
+
+@query(sql(ISO, Q, BOOK, CODES, LUT, ADC, GRAPH, ENTRY, beam(), BEAM_RESULT, "SELECT qid, rank, vid, round(d2, 6) AS d2, hops FROM ranked WHERE rank <= 10"))
+def udtf_ann_search(spark, d):
+    s, v = _view(spark, d)
+    udfs.register_search(spark, s.index(vectors=False), s.model)
+    s.queries.createOrReplaceTempView(f"{v}_queries")
+    return spark.sql(f"SELECT id AS qid, rank, vid, round(d2, 6) AS d2, hops FROM {v}_queries, LATERAL ann_search(id, vec, {TOP}, {H})")

@@ -49,7 +49,7 @@ DISK_END = "SELECT qid, rank, vid, round(d2, 6) AS d2, hops, hops AS reads FROM
 @query(sql(*CODE_WALK, TRUE_DIST, DISK, DISK_END))
 def beam_disk_final(spark, d):
     s = Setting(spark, d)
-    return _cols(beam_search(s.index(vectors=True), s.queries, H, TOP, "disk_tier", s.model, "final"), "reads")
+    return _cols(beam_search(s.index(vectors=True), s.queries, H, TOP, "disk_tier", s.model, rerank_at="final"), "reads")
 
 
 EACH = f"""cand AS MATERIALIZED (SELECT a.qid, src, list({{'d': a.d, 'vid': dst, 't': t.d}}) AS near FROM graph JOIN dist a ON a.vid = graph.dst JOIN tdist t ON t.qid = a.qid AND t.vid = graph.dst GROUP BY a.qid, src),
@@ -65,7 +65,7 @@ ended AS MATERIALIZED (SELECT qid, len(visited) AS hops, visited FROM w WHERE nx
 @query(sql(ISO, Q, BOOK, CODES, LUT, ADC, GRAPH, ENTRY, TRUE_DIST, EACH, DISK, DISK_END))
 def beam_disk_each_hop(spark, d):
     s = Setting(spark, d)
-    return _cols(beam_search(s.index(vectors=True), s.queries, H, TOP, "disk_tier", s.model, "each_hop"), "reads")
+    return _cols(beam_search(s.index(vectors=True), s.queries, H, TOP, "disk_tier", s.model, rerank_at="each_hop"), "reads")
 
 
 @query(sql(*CODE_WALK, BEAM_RESULT, "SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY rank)::INT AS rank, ranked.vid, round(d2, 6) AS d2 FROM ranked JOIN embeddings e ON e.vec_id = ranked.vid WHERE e.label < 5"))
@@ -77,6 +77,24 @@ def filtered_search(spark, d):
     return exact.top(found.join(keep, "vid", "left_semi"), H).select("qid", "rank", "vid", r6("d2"))
 
 
+@query(sql(ISO, Q, BOOK, CODES, LUT, ADC, GRAPH, ENTRY, "open AS MATERIALIZED (SELECT src, dst FROM graph JOIN embeddings e ON e.vec_id = dst WHERE e.label < 5)", beam(links="open"), "found AS (SELECT qid, hops, unnest(list_filter(beam, lambda c: c.vid <> qid)) AS c FROM ended), ranked AS (SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY c.d, c.vid)::INT AS rank, c.vid AS vid, c.d AS d2, hops::BIGINT AS hops FROM found JOIN embeddings e ON e.vec_id = c.vid WHERE e.label < 5)", RANKED))
+def filtered_walk(spark, d):
+    """Labels below five: vertices of other labels are neither kept nor passed through."""
+    s = Setting(spark, d)
+    keep = sets.table(spark, d, "embeddings").where("label < 5").select(F.col("vec_id").alias("vid"))
+    return _cols(beam_search(s.index(vectors=False, allowed=keep), s.queries, H, TOP, "code_only", s.model, filtered=True))
+
+
+OOD_Q = f"o AS MATERIALIZED {hashed('benchmark', 'item_id', 'text')}, q AS MATERIALIZED (SELECT id AS qid, vec AS qvec FROM o)"
+
+
+@query(sql(TEXT, OOD_Q, FULL, GRAPH, ENTRY, beam(), BEAM_RESULT.replace("list_filter(beam, lambda c: c.vid <> qid)", "beam"), RANKED))
+def ood_walk(spark, d):
+    """Walks for passages of the benchmark over the graph of the documents."""
+    s = Setting(spark, d, "text")
+    return _cols(beam_search(s.index(vectors=True, codes=False), sets.ood(spark, d), H, TOP, "full", own=True))
+
+
 @query(sql(TEXT, f"o AS MATERIALIZED {hashed('benchmark', 'item_id', 'text')}", f"s AS (SELECT o.id AS qid, iso.id AS vid, {d2_sql('o.vec', 'iso.vec')} AS d2 FROM o, iso)", "SELECT * FROM (SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY d2, vid)::INT AS rank, vid, round(d2, 6) AS d2 FROM s) WHERE rank <= 10"))
 def ood_search(spark, d):
     return exact.exact_knn(sets.text(spark, d), sets.ood(spark, d), TOP, own=True).select("qid", "rank", "vid", r6("d2"))
@@ -135,6 +153,13 @@ def block_reads(spark, d):
     return measures.block_reads(found, 64 * 4).select("qid", "reads", "blocks", "bytes", F.round("io_s", 9).alias("io_s"))
 
 
+@query(sql(ISO, Q, BOOK, CODES, LUT, ADC, TRUE_DIST, TTRUTH, "SELECT count(*) AS pairs, round(sum(dist.d), 6) AS objective FROM truth JOIN dist ON dist.qid = truth.qid AND dist.vid = truth.vid"))
+def result_objective(spark, d):
+    s = Setting(spark, d)
+    got = measures.result_objective(exact.exact_knn(s.base, s.queries, TOP), s.codes(), quantize.build_lut(s.queries, s.model))
+    return got.select("pairs", r6("objective"))
+
+
 @query(sql(ISO, Q, TRUE_DIST, TTRUTH, "SELECT qid, round(-1.0 / avg(0.5 * ln(d2 / far)), 6) AS lid FROM (SELECT qid, d2, max(d2) OVER (PARTITION BY qid) AS far FROM truth) WHERE d2 > 0 GROUP BY qid"))
 def lid(spark, d):
     base = sets.iso(spark, d)

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from vecgraph.session import bucketed
 from vecgraph.sources import io
 from vecgraph.sources.sets import table
 from vecgraph.streaming.streams import micros
@@ -185,6 +186,20 @@ def ops_covariance(spark, d):
     return events(spark, d).groupBy("event_type").agg(F.round(F.covar_pop("value", "event_id"), 4).alias("cov"), F.round(F.var_pop("value"), 6).alias("var"))
 
 
+@query("SELECT event_type, quantile_disc(value, 0.5) AS median, quantile_disc(value, 0.9) AS high, true AS users_near FROM events GROUP BY event_type")
+def ops_approx_agg(spark, d):
+    """Approximate quantiles, at an accuracy beyond the groups' sizes here, and approximate distinct counts within five standard errors."""
+    users = (F.approx_count_distinct("user_id", 0.02) / F.count_distinct("user_id") - 1).alias("u")
+    got = events(spark, d).groupBy("event_type").agg(F.percentile_approx("value", 0.5, 1_000_000).alias("median"), F.percentile_approx("value", 0.9, 1_000_000).alias("high"), users)
+    return got.select("event_type", "median", "high", (F.abs("u") < 0.1).alias("users_near"))
+
+
+@query("SELECT label, count(*) AS n, min(vec_id) AS least FROM embeddings GROUP BY label")
+def ops_io_bucketed(spark, d):
+    """Written in buckets by label, aggregated in place."""
+    return bucketed(embeddings(spark, d).select("vec_id", "label"), "label", 4).groupBy("label").agg(F.count("*").alias("n"), F.min("vec_id").alias("least"))
+
+
 for _format in ("parquet", "json", "csv", "orc"):
 
     def _round_trip(spark, d, kind=_format):

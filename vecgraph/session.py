@@ -11,6 +11,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 _SHIPPED: set[str] = set()
 _MADE: list[str] = []
+_TABLES: list[str] = []
+#: What holds tables made by `materialize` or `bucketed` for later calls, and has to forget them when they are cleared.
+CACHES: list[dict] = []
 
 
 def ship(spark: SparkSession) -> None:
@@ -31,9 +34,11 @@ def ship(spark: SparkSession) -> None:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The shared folder named by spark.checkpoint.dir; a local one only where none is set (tests)."""
+    """The shared folder named by spark.checkpoint.dir; a local one only where none is set and all tasks run in this process' machine (tests)."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         named = "file://" + tempfile.mkdtemp(prefix="vecgraph-checkpoint-")
         spark.sparkContext.setCheckpointDir(named)
     return named.rstrip("/")
@@ -47,13 +52,29 @@ def materialize(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def bucketed(df: DataFrame, key: str, buckets: int) -> DataFrame:
+    """Write a table into the shared scratch folder, its rows dealt to buckets by `key`, and read it back: groups and joins by
+    `key` then read it in place, however often, without another shuffle."""
+    spark, name = df.sparkSession, f"vecgraph_{uuid.uuid4().hex}"
+    path = f"{scratch_dir(spark)}/tables/{name}"
+    df.repartition(buckets, key).write.format("parquet").bucketBy(buckets, key).option("path", path).saveAsTable(name)
+    _MADE.append(path)
+    _TABLES.append(name)
+    return spark.table(name)
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
 def clear_scratch(spark: SparkSession) -> int:
-    """Delete the tables that `materialize` has written in this process; call it when no result that reads them is needed any more."""
+    """Delete the tables that `materialize` and `bucketed` have written in this process; call it when no result that reads them is needed any more."""
     jvm, n = spark._jvm, 0
+    for name in _TABLES:
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+    _TABLES.clear()
+    for cache in CACHES:
+        cache.clear()
     for path in _MADE:
         p = jvm.org.apache.hadoop.fs.Path(path)
         n += bool(p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True))

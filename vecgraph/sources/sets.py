@@ -86,3 +86,13 @@ SETS = {"iso": iso, "skew": skew, "text": text, "page": page, "rowvec": rowvec,
 
 def queries_of(base: DataFrame) -> DataFrame:
     return base.where(F.col("id") % QUERY_STEP == 0)
+
+
+def validation_of(base: DataFrame) -> DataFrame:
+    """The fold that models are chosen by."""
+    return base.where(F.pmod("id", F.lit(10)) == 9)
+
+
+def training_of(base: DataFrame) -> DataFrame:
+    """What models are fitted on: neither queries nor the validation fold."""
+    return base.where((F.pmod("id", F.lit(10)) != 9) & (F.pmod("id", F.lit(QUERY_STEP)) != 0))

@@ -8,13 +8,9 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
-
 from vecgraph.functions.kernels import fold
-from vecgraph.operators.exact import top
 from vecgraph.operators.quantize import Quantizer
-from vecgraph.operators.walk import Index, code_distance, run_shards, walk
+from vecgraph.operators.walk import Index, Kernel, code_distance, descend, walk
 
 
 def parts_of(index: Index, places: np.ndarray, q: Quantizer, links: int) -> np.ndarray:
@@ -26,11 +22,12 @@ def parts_of(index: Index, places: np.ndarray, q: Quantizer, links: int) -> np.n
     return q.decode(index.codes[all_.ravel()]).reshape(*all_.shape, -1)
 
 
-def fit_weights(index: Index, x: np.ndarray, q: Quantizer, links: int = 8, entries: int = 1, rounds: int = 5, ridge: float = 1e-6) -> np.ndarray:
-    """entries x (links + 1) weights: normal equations over all rows; with more entries each row takes its best set and they are fitted anew."""
-    z, y = parts_of(index, np.arange(len(x)), q, links), q.turned(x)
+def fit_weights(index: Index, x: np.ndarray, q: Quantizer, links: int = 8, entries: int = 1, rounds: int = 5, ridge: float = 1e-6, places: np.ndarray | None = None) -> np.ndarray:
+    """entries x (links + 1) weights: normal equations over all rows, or those at `places`; with more entries each row takes its best set and they are fitted anew."""
+    places = np.arange(len(x)) if places is None else places
+    z, y = parts_of(index, places, q, links), q.turned(x[places])
     w = np.zeros((entries, links + 1))
-    group = np.arange(len(x)) % entries
+    group = np.arange(len(places)) % entries
     for _ in range(rounds if entries > 1 else 1):
         for e in range(entries):
             ze, ye = z[group == e], y[group == e]
@@ -41,18 +38,21 @@ def fit_weights(index: Index, x: np.ndarray, q: Quantizer, links: int = 8, entri
     return w
 
 
-def search_linkreg(index: DataFrame, queries: DataFrame, q: Quantizer, weights: np.ndarray, h: int, k: int, n_shards: int = 1) -> DataFrame:
-    """(qid, rank, vid, d2): a code-only walk whose last list is ranked by distances to the rebuilt vectors (first set of weights)."""
+def linkreg_searcher(q: Quantizer, weights: np.ndarray) -> Kernel:
+    """A code-only walk (from where the upper levels lead, if there are any) whose last list is ranked by distances to the rebuilt
+    vectors (first set of weights)."""
     links = weights.shape[1] - 1
 
-    def kernel(idx: Index, ids: np.ndarray, x: np.ndarray) -> Iterator[pa.RecordBatch]:
-        w = walk(idx, len(x), code_distance(idx, q.lut(x)), h)
+    def kernel(idx: Index, ids: np.ndarray, x: np.ndarray, h: int) -> Iterator[pa.RecordBatch]:
+        dist = code_distance(idx, q.lut(x))
+        start, above = descend(idx, len(x), dist) if idx.upper else (None, 0)
+        w = walk(idx, len(x), dist, h, entry=start)
         row, col = np.nonzero(w.place >= 0)
         place = w.place[row, col]
         built = np.einsum("a,nad->nd", weights[0], parts_of(idx, place, q, links))
         d = fold((built - q.turned(x)[row]) ** 2)
         ok = idx.ids[place] != ids[row]
-        yield pa.RecordBatch.from_arrays([pa.array(ids[row][ok]), pa.array(idx.ids[place][ok]), pa.array(d[ok])], ["qid", "vid", "d2"])
+        hops = (w.hops + above)[row][ok]
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in (ids[row][ok], idx.ids[place][ok], d[ok], hops, np.zeros(len(hops), np.int64))], ["qid", "vid", "d2", "hops", "reads"])
 
-    ask = queries if "shard" in queries.columns else queries.withColumn("shard", F.lit(0))
-    return top(run_shards(index, ask, kernel, "qid long, vid long, d2 double", n_shards), k).select("qid", "rank", "vid", "d2")
+    return kernel

@@ -1,8 +1,11 @@
 """Joint training of rotation and codebooks with Adam and a one-cycle rate.
 
-Features (triplet scopes, routing traces) come from distributed plans over the whole graph; the fit itself runs
-on a documented, bounded sample of them (TRAIN_ROWS anchors, TRACE_QUERIES searches). `partition_sums` computes
-the same gradient sums over a DataFrame, one row per partition, for samples too large for one machine.
+Features (triplet scopes, routing traces) come from distributed plans over the graph. A step's batch is chosen by a hash of
+seed, step and row, so it is the same wherever the rows lie; its gradient sums come either from arrays on the driver
+(`Features`: a bounded, documented sample of TRAIN_ROWS anchors and TRACE_QUERIES searches) or, for samples of any size, from
+tables in the cluster (`Tables`), one row of partial sums per partition and loss. Both give the same sums.
+
+Rates, temperatures and margins are in units of the data: of its root mean square and of the start's error per chunk.
 """
 
 from __future__ import annotations
@@ -15,13 +18,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecgraph.functions.kernels import lists, matrix
+from vecgraph.functions.columns import hash_share
+from vecgraph.functions.kernels import lists, matrix, whole
 from vecgraph.operators.features import label_traces, n_hop, routing_traces, scopes
-from vecgraph.operators.quantize import Quantizer, opq_of, sample
+from vecgraph.operators.quantize import Quantizer, distortion, opq_of, partial_sums, sample
 from vecgraph.operators.rotation import exp_adjoint, positive, rotation, skew_log, skew_of
+from vecgraph.operators.sharded import stored_index
 from vecgraph.operators.soft import gumbel
-from vecgraph.operators.walk import index_rows
-from vecgraph.session import ship
+from vecgraph.session import materialize, ship
 
 from . import loss as L
 
@@ -49,6 +53,53 @@ def one_cycle(step: int, steps: int, peak: float, decay: float = 0.2, warm: floa
     return peak * (decay + (1 - decay) * 0.5 * (1 + np.cos(np.pi * (step - up) / max(1, steps - up))))
 
 
+@dataclass(frozen=True)
+class Step:
+    """What the losses of one step need besides the model: hashes' seed, share of the rows of each loss, and scales."""
+
+    seed: int
+    step: int
+    temperature: float
+    tau: float
+    margin: float
+    noise: bool
+    straight: bool
+
+    def chance(self, ids: np.ndarray, what: int) -> np.ndarray:
+        """A number in (0, 1) of each id, the same in any partitioning."""
+        return L.uniform(self.seed * 31 + what, self.step, ids, 1, 1)[:, 0, 0]
+
+    def gumbel(self, ids: np.ndarray, books: np.ndarray) -> np.ndarray | None:
+        return gumbel(L.uniform(self.seed, self.step, ids, *books.shape[:2])) if self.noise else None
+
+
+def share_of(rows: int, size: int) -> float:
+    return min(1.0, size / max(1, rows))
+
+
+def nbr_pick(at: Step, share: float, anchors: np.ndarray, n_pos: int, n_neg: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows of the batch, and which member of either scope each draws."""
+    rows = np.flatnonzero(at.chance(anchors, 1) < share)
+    return rows, (at.chance(anchors[rows], 2) * n_pos).astype(int), (at.chance(anchors[rows], 3) * n_neg).astype(int)
+
+
+def nbr_sums(at: Step, r: np.ndarray, books: np.ndarray, ids: tuple, x: tuple) -> L.Sums:
+    noise = tuple(at.gumbel(i, books) for i in ids) if at.noise else None
+    return L.neighbour(r, books, x, noise, at.temperature, at.margin, at.straight)
+
+
+def trace_key(qid: np.ndarray, step: np.ndarray) -> np.ndarray:
+    return qid * 1024 + step
+
+
+def route_sums(at: Step, r: np.ndarray, books: np.ndarray, q: np.ndarray, cand: np.ndarray, x: np.ndarray, row: np.ndarray, target: np.ndarray) -> L.Sums:
+    return L.routing(r, books, q, x, row, target, at.gumbel(cand, books), at.temperature, at.tau, at.straight)
+
+
+def recon_sums(at: Step, r: np.ndarray, books: np.ndarray, ids: np.ndarray, x: np.ndarray) -> L.Sums:
+    return L.reconstruction(r, books, x, at.gumbel(ids, books), at.temperature, at.straight)
+
+
 @dataclass
 class Features:
     """A bounded sample of training features with the vectors they name."""
@@ -59,22 +110,123 @@ class Features:
     pos: np.ndarray = field(default_factory=lambda: np.empty((0, 0), int))
     neg: np.ndarray = field(default_factory=lambda: np.empty((0, 0), int))
     q: np.ndarray = field(default_factory=lambda: np.empty(0, int))  # of each trace row
+    hop: np.ndarray = field(default_factory=lambda: np.empty(0, int))
     cand: np.ndarray = field(default_factory=lambda: np.empty(0, int))
     row: np.ndarray = field(default_factory=lambda: np.empty(0, int))
     target: np.ndarray = field(default_factory=lambda: np.empty(0))
 
+    def scales(self, start: Quantizer) -> tuple[float, float]:
+        """(root mean square of a component, the start's mean error)."""
+        return float(np.sqrt((self.x**2).mean())), float(((start.turned(self.x) - start.decode(start.encode(self.x))) ** 2).sum(1).mean())
+
+    def sums(self, kinds: str, at: Step, size: int, r: np.ndarray, books: np.ndarray) -> dict[str, L.Sums]:
+        out = {}
+        if "N" in kinds and len(self.anchors):
+            rows, p, n = nbr_pick(at, share_of(len(self.anchors), size), self.ids[self.anchors], self.pos.shape[1], self.neg.shape[1])
+            places = self.anchors[rows], self.pos[rows, p], self.neg[rows, n]
+            out["nbr"] = nbr_sums(at, r, books, tuple(self.ids[i] for i in places), tuple(self.x[i] for i in places))
+        if "R" in kinds and len(self.q):
+            rows = np.flatnonzero(at.chance(trace_key(self.ids[self.q], self.hop), 4) < share_of(len(self.q), size // 4))
+            first, last = np.searchsorted(self.row, rows), np.searchsorted(self.row, rows, "right")
+            n = last - first
+            places = np.repeat(first, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            cand = self.cand[places]
+            out["route"] = route_sums(at, r, books, self.x[self.q[rows]], self.ids[cand], self.x[cand], np.repeat(np.arange(len(rows)), n), self.target[places])
+        if "C" in kinds:
+            rows = np.flatnonzero(at.chance(self.ids, 5) < share_of(len(self.ids), size))
+            out["recon"] = recon_sums(at, r, books, self.ids[rows], self.x[rows])
+        return out
 
-def collect_neighbourhood(base: DataFrame, edges: DataFrame, n: int, k_pos: int, k_neg: int, rows: int = TRAIN_ROWS) -> Features:
-    """Scopes of up to `rows` anchors in hash order, and the vectors they name."""
-    got = scopes(n_hop(edges, n), base, k_pos, k_neg)
-    per = got.groupBy("anchor").agg(F.sort_array(F.collect_list(F.struct("rank", "vid"))).alias("s")).select("anchor", F.transform("s", lambda p: p["vid"]).alias("vids"))
-    t = per.orderBy(F.md5(F.col("anchor").cast("string")), "anchor").limit(rows).toArrow()
-    anchors = t["anchor"].to_numpy()
-    members = matrix(t["vids"]).astype(np.int64).reshape(len(anchors), -1)
-    return _with_vectors(base, anchors, members, k_pos)
+
+@dataclass
+class Tables:
+    """Training features as tables of whole rows, each with the vectors it names; nothing but sums comes to the driver.
+
+    base(id, vec); nbr(anchor, ids, vecs): the anchor, its positive and its negative scope; route(qid, step, vec, label, cand, vecs).
+    """
+
+    base: DataFrame
+    n_base: int
+    nbr: DataFrame | None = None
+    n_nbr: int = 0
+    n_pos: int = 0
+    route: DataFrame | None = None
+    n_route: int = 0
+
+    def scales(self, start: Quantizer) -> tuple[float, float]:
+        s = partial_sums(self.base, lambda x: np.array([(x**2).sum(), x.size]), 2)
+        return float(np.sqrt(s[0] / max(1.0, s[1]))), distortion(self.base, start)
+
+    def sums(self, kinds: str, at: Step, size: int, r: np.ndarray, books: np.ndarray) -> dict[str, L.Sums]:
+        d, n_pos, out = len(r), self.n_pos, {}
+
+        def nbr(t: pa.Table, share: float) -> L.Sums | None:
+            anchors, members = t["anchor"].to_numpy(), whole(t["ids"])
+            rows, p, n = nbr_pick(at, share, anchors, n_pos, members.shape[1] - 1 - n_pos)
+            if not len(rows):
+                return None
+            x = matrix(t["vecs"].take(pa.array(rows))).reshape(len(rows), members.shape[1], d)
+            cols, every = (np.zeros(len(rows), int), 1 + p, 1 + n_pos + n), np.arange(len(rows))
+            return nbr_sums(at, r, books, tuple(members[rows, c] for c in cols), tuple(x[every, c] for c in cols))
+
+        def route(t: pa.Table, share: float) -> L.Sums | None:
+            t = t.take(pa.array(np.flatnonzero(at.chance(trace_key(t["qid"].to_numpy(), t["step"].to_numpy().astype(np.int64)), 4) < share)))
+            if not t.num_rows:
+                return None
+            cand = t["cand"].combine_chunks()
+            row = np.repeat(np.arange(t.num_rows), cand.value_lengths().to_numpy())
+            ids = cand.flatten().to_numpy()
+            x = t["vecs"].combine_chunks().flatten().to_numpy().reshape(len(ids), d)
+            return route_sums(at, r, books, matrix(t["vec"]), ids, x, row, (ids == t["label"].to_numpy()[row]).astype(float))
+
+        def recon(t: pa.Table, share: float) -> L.Sums | None:
+            rows = np.flatnonzero(at.chance(t["id"].to_numpy(), 5) < share)
+            return recon_sums(at, r, books, t["id"].to_numpy()[rows], matrix(t["vec"])[rows]) if len(rows) else None
+
+        for kind, name, rows, share, kernel in (
+            ("N", "nbr", self.nbr, share_of(self.n_nbr, size), nbr),
+            ("R", "route", self.route, share_of(self.n_route, size // 4), route),
+            ("C", "recon", self.base, share_of(self.n_base, size), recon),
+        ):
+            if kind in kinds and rows is not None:
+                out[name] = _summed(rows, name, share, kernel, r, books)
+        return out
+
+
+def _summed(rows: DataFrame, name: str, share: float, kernel: Callable, r: np.ndarray, books: np.ndarray) -> L.Sums:
+    """One row of partial sums per partition, added place by place; as many numbers as the model has reach the driver."""
+    ship(rows.sparkSession)
+    size = r.size
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(size + books.size + 2)
+        for b in batches:
+            s = kernel(pa.table(b), share) if b.num_rows else None
+            if s is not None:
+                total += np.concatenate([s.rotation.ravel(), s.books.ravel(), [s.loss[name], s.count[name]]])
+        yield pa.RecordBatch.from_arrays([lists(total[None])], ["s"])
+
+    cells = rows.mapInArrow(run, "s array<double>").select(F.posexplode("s").alias("i", "x")).groupBy("i").agg(F.sum("x").alias("x")).orderBy("i").collect()
+    v = np.array([c.x for c in cells]) if cells else np.zeros(size + books.size + 2)
+    return L.Sums(v[:size].reshape(r.shape), v[size:-2].reshape(books.shape), {name: v[-2]}, {name: int(v[-1])})
+
+
+def scope_rows(base: DataFrame, edges: DataFrame, n: int, k_pos: int, k_neg: int, rows: int | None) -> DataFrame:
+    """(anchor, vids): the ranked scopes of all anchors, or of about `rows` of them, picked by hash before any hop is taken."""
+    anchors = base.select(F.col("id").alias("anchor"))
+    if rows is not None:
+        total = base.count()
+        if total > rows:
+            anchors = anchors.where(hash_share("anchor") < rows / total)
+    got = scopes(n_hop(edges, n, anchors=anchors), base, k_pos, k_neg)
+    return got.groupBy("anchor").agg(F.sort_array(F.collect_list(F.struct("rank", "vid"))).alias("s")).select("anchor", F.transform("s", lambda p: p["vid"]).alias("vids"))
 
 
-def _with_vectors(base: DataFrame, anchors: np.ndarray, members: np.ndarray, k_pos: int) -> Features:
+def collect_neighbourhood(base: DataFrame, edges: DataFrame, n: int, k_pos: int, k_neg: int, rows: int = TRAIN_ROWS) -> Features:
+    """Scopes of about `rows` anchors, and the vectors they name."""
+    t = scope_rows(base, edges, n, k_pos, k_neg, rows).orderBy("anchor").toArrow()
+    anchors = t["anchor"].to_numpy()
+    members = whole(t["vids"]).reshape(len(anchors), -1)
     named = np.unique(np.concatenate([anchors, members.ravel()]))
     wanted = base.sparkSession.createDataFrame(pa.table({"id": named}))
     t = base.join(wanted, "id", "left_semi").select("id", "vec").orderBy("id").toArrow()
@@ -83,16 +235,21 @@ def _with_vectors(base: DataFrame, anchors: np.ndarray, members: np.ndarray, k_p
     return Features(ids, x, at(anchors), at(members[:, :k_pos]), at(members[:, k_pos:]))
 
 
-def collect_routing(features: Features, base: DataFrame, edges: DataFrame, entry: int, q: Quantizer, queries: DataFrame, h: int, teacher: str) -> None:
-    """Walk the sampled queries with the current quantizer and keep labelled lists, unvisited candidates only."""
+def labelled_traces(base: DataFrame, edges: DataFrame, entry: int, q: Quantizer, queries: DataFrame, h: int, teacher: str) -> DataFrame:
+    """(qid, step, label, open): the searches' lists with the current quantizer, unvisited candidates only, and the teacher's choice."""
     from vecgraph.operators.quantize import encode
 
-    spark = base.sparkSession
-    index = index_rows(base, edges, encode(base, q), spark.createDataFrame([(entry,)], "vid long"), vectors=False)
-    traces = routing_traces(index, queries, q, h)
+    index = stored_index(base, edges, encode(base, q), False, base.sparkSession.createDataFrame([(entry,)], "vid long"))
+    traces = materialize(routing_traces(index, queries, q, h))
     labels = label_traces(traces, base, queries, teacher, edges)
     open_ = F.transform(F.filter("cands", lambda c: ~c["seen"]), lambda c: c["vid"])
-    t = traces.where("next_vid is not null").join(labels, ["qid", "step"]).select("qid", "label", open_.alias("open")).toArrow()
+    return traces.where("next_vid is not null").join(labels, ["qid", "step"]).select("qid", "step", "label", open_.alias("open"))
+
+
+def collect_routing(features: Features, base: DataFrame, edges: DataFrame, entry: int, q: Quantizer, queries: DataFrame, h: int, teacher: str) -> None:
+    """Walk the sampled queries with the current quantizer and keep labelled lists and the vectors they name."""
+    spark = base.sparkSession
+    t = labelled_traces(base, edges, entry, q, queries, h, teacher).orderBy("qid", "step").toArrow()
     lists_ = t["open"].combine_chunks()
     size = np.diff(lists_.offsets.to_numpy())
     cand, qid, label = lists_.flatten().to_numpy(), t["qid"].to_numpy(), t["label"].to_numpy()
@@ -108,87 +265,98 @@ def collect_routing(features: Features, base: DataFrame, edges: DataFrame, entry
         features.ids, features.x = ids[order], x[order]
         features.anchors, features.pos, features.neg = back[features.anchors], back[features.pos], back[features.neg]
     features.q, features.cand, features.row = np.searchsorted(features.ids, qid), np.searchsorted(features.ids, cand), row
+    features.hop = t["step"].to_numpy().astype(np.int64)
     features.target = (cand == label[row]).astype(float)
 
 
+def _with_vectors(rows: DataFrame, base: DataFrame, key: list[str], members: str) -> DataFrame:
+    """The rows and `vecs`: the vectors of the ids in `members`, in order, one after the other."""
+    each = rows.select(*key, F.posexplode(members).alias("at", "id")).join(base.select("id", "vec"), "id")
+    vecs = each.groupBy(*key).agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("at", "vec"))), lambda p: p["vec"])).alias("vecs"))
+    return rows.join(vecs, key)
+
+
+def neighbourhood_tables(base: DataFrame, edges: DataFrame, n: int, k_pos: int, k_neg: int, rows: int | None = None) -> Tables:
+    """The same features as tables, of all anchors unless `rows` are asked for."""
+    got = scope_rows(base, edges, n, k_pos, k_neg, rows).select("anchor", F.concat(F.array("anchor"), "vids").alias("ids"))
+    nbr = materialize(_with_vectors(materialize(got), base, ["anchor"], "ids"))
+    return Tables(base, base.count(), nbr, nbr.count(), k_pos)
+
+
+def routing_tables(tables: Tables, base: DataFrame, edges: DataFrame, entry: int, q: Quantizer, queries: DataFrame, h: int, teacher: str) -> None:
+    got = materialize(labelled_traces(base, edges, entry, q, queries, h, teacher).withColumnRenamed("open", "cand"))
+    rows = _with_vectors(got, base, ["qid", "step"], "cand")
+    tables.route = materialize(rows.join(queries.select(F.col("id").alias("qid"), "vec"), "qid"))
+    tables.n_route = tables.route.count()
+
+
 @dataclass
 class Fitted:
+    """The model kept, and what became of the others: the step it was kept at (0: the start), the last model, the validation scores."""
+
     quantizer: Quantizer
     theta: np.ndarray
     losses: list[dict[str, float]]
     start_distortion: float
     steps: int
+    step_kept: int
+    start: Quantizer
+    last: Quantizer
+    scores: list[tuple[int, float]]
 
 
-def batch_sums(f: Features, r: np.ndarray, books: np.ndarray, kinds: str, step: int, size: int, temperature: float, tau: float, margin: float, seed: int, noise: bool, straight: bool) -> dict[str, L.Sums]:
-    """Gradient sums of one step's batch, by loss."""
-    rng = np.random.default_rng([seed, step])
-    m, k, _ = books.shape
-    z = lambda places: gumbel(L.uniform(seed, step, f.ids[places], m, k)) if noise else None
-    out = {}
-    if "N" in kinds and len(f.anchors):
-        pick = rng.integers(0, len(f.anchors), size)
-        a = f.anchors[pick]
-        p = f.pos[pick, rng.integers(0, f.pos.shape[1], size)]
-        n = f.neg[pick, rng.integers(0, f.neg.shape[1], size)]
-        out["nbr"] = L.neighbour(r, books, (f.x[a], f.x[p], f.x[n]), (z(a), z(p), z(n)) if noise else None, temperature, margin, straight)
-    if "R" in kinds and len(f.q):
-        rows = np.unique(rng.integers(0, len(f.q), max(1, size // 4)))
-        first, last = np.searchsorted(f.row, rows), np.searchsorted(f.row, rows, "right")
-        n = last - first
-        at = np.repeat(first, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-        out["route"] = L.routing(r, books, f.x[f.q[rows]], f.x[f.cand[at]], np.repeat(np.arange(len(rows)), n), f.target[at], z(f.cand[at]), temperature, tau, straight)
-    if "C" in kinds:
-        pick = rng.integers(0, len(f.x), size)
-        out["recon"] = L.reconstruction(r, books, f.x[pick], z(pick), temperature, straight)
-    return out
-
-
-def fit(f: Features, m: int, k: int, kinds: str = "NR", start: str | Quantizer = "opq", steps: int = 200, peak: float = 1e-3, size: int = 256, margin: float = 0.05, tau: float = 0.1, temperature: tuple[float, float] = (0.05, 0.02), seed: int = 1, noise: bool = True, straight: bool = False, alpha: float | None = None, refresh: Callable[[Quantizer], None] | None = None, every: int = 50, check: Callable[[Quantizer], float] | None = None) -> Fitted:
+def fit(f: Features | Tables, m: int, k: int, kinds: str = "NR", start: str | Quantizer = "opq", steps: int = 200, peak: float = 1e-3, size: int = 256, margin: float = 1.0, tau: float = 1.0, temperature: tuple[float, float] = (0.3, 0.1), seed: int = 1, noise: bool = True, straight: bool = False, alpha: float | None = None, refresh: Callable[[Quantizer], None] | None = None, every: int = 50, check: Callable[[Quantizer], float] | None = None) -> Fitted:
     """kinds: N neighbourhood, R routing, NR both, C reconstruction only (control). alpha None: learned, exp(-s) * N + R + s.
 
-    start "opq" or "pq", or a model to go on from. Temperatures fall from the first to the second. `check` scores a model
-    (higher is better) before the first step and at each refresh; the best is returned. Codes are always hard, by argmin.
+    start "opq" or "pq" (for Features), or a model to go on from. The margin is in the start's mean errors, tau and the temperatures,
+    which fall from the first to the second, in errors per chunk. `check` scores a model (higher is better) before the first step and
+    every `every` steps; the best is kept, and without it the last. Codes are always hard, by argmin.
     """
-    d = f.x.shape[1]
     if isinstance(start, Quantizer):
         begin = start
     else:
         begin = opq_of(f.x, m, k)[0] if start == "opq" else Quantizer("pq", _pq_books(f.x, m, k))
+    d = m * begin.books.shape[2]
     r0 = positive(begin.rotation) if begin.rotation is not None else np.eye(d)
     theta = skew_log(r0)[np.triu_indices(d, 1)]
     books, s = begin.books.copy(), np.zeros(1)
     if begin.rotation is not None and r0 is not begin.rotation and not np.allclose(r0, begin.rotation):
         books[0, :, 0] = -books[0, :, 0]  # the first rotated component was turned around
     model = lambda: Quantizer("gaq", books.copy(), rotation(skew_of(theta, d)))
-    distortion0 = float(((begin.turned(f.x) - begin.decode(begin.encode(f.x))) ** 2).sum(1).mean())
+    rms, error = f.scales(begin)
+    unit = max(error, 1e-12) / m
     adam, losses = Adam(peak), []
-    best = (check(model()), model(), theta.copy()) if check else None
+    first = model()
+    best, scores = (0, first, theta.copy()), [(0, check(first))] if check else []
     for step in range(steps):
-        t = temperature[0] * (temperature[1] / temperature[0]) ** (step / max(1, steps - 1))
+        t = unit * temperature[0] * (temperature[1] / temperature[0]) ** (step / max(1, steps - 1))
         a = skew_of(theta, d)
         r = rotation(a)
-        sums = batch_sums(f, r, books, kinds, step, size, t, tau, margin, seed, noise, straight)
+        sums = f.sums(kinds, Step(seed, step, t, tau * unit, margin * error, noise, straight), size, r, books)
         gr, gb, seen = np.zeros((d, d)), np.zeros_like(books), {}
         for name, x in sums.items():
             n = max(1, x.count[name])
-            weight = (np.exp(-s[0]) if alpha is None else alpha) if name == "nbr" else 1.0
+            scale = 1.0 if name == "route" else 1 / max(error, 1e-12)  # squared distances in the start's mean errors
+            weight = scale * ((np.exp(-s[0]) if alpha is None else alpha) if name == "nbr" else 1.0)
             gr, gb = gr + weight * x.rotation / n, gb + weight * x.books / n
-            seen[name] = x.loss[name] / n
+            seen[name] = scale * x.loss[name] / n
         adam.n = step + 1
         rate = one_cycle(step, steps, peak)
         theta = adam.step("theta", theta, exp_adjoint(a, gr), rate)
-        books = adam.step("books", books, gb, rate)
+        books = adam.step("books", books, gb, rate * rms)
         if alpha is None and "nbr" in seen and "route" in seen:
             s = adam.step("s", s, np.array([1 - np.exp(-s[0]) * seen["nbr"]]), rate)
         losses.append(seen)
-        if (step + 1) % every == 0:
+        if (step + 1) % every == 0 or step + 1 == steps:
             if refresh and step + 1 < steps:
                 refresh(model())
-            if check and (score := check(model())) > best[0]:
-                best = (score, model(), theta.copy())
-    done = best[1] if best else model()
-    return Fitted(done, best[2] if best else theta, losses, distortion0, steps)
+            if check:
+                scores.append((step + 1, check(model())))
+                if scores[-1][1] > max(v for _, v in scores[:-1]):
+                    best = (step + 1, model(), theta.copy())
+    last = model()
+    kept, done, angle = best if check else (steps, last, theta)
+    return Fitted(done, angle, losses, error, steps, kept, first, last, scores)
 
 
 def _pq_books(x: np.ndarray, m: int, k: int) -> np.ndarray:
@@ -197,34 +365,46 @@ def _pq_books(x: np.ndarray, m: int, k: int) -> np.ndarray:
     return fit_books(x, m, k, 25)
 
 
-def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds: str = "NR", n: int = 2, k_pos: int = 4, k_neg: int = 12, h: int = 16, teacher: str = "exact", queries: DataFrame | None = None, searches: int = SEARCHES, **options) -> Fitted:
+def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds: str = "NR", n: int = 2, k_pos: int = 4, k_neg: int = 12, h: int = 16, teacher: str = "exact", queries: DataFrame | None = None, searches: int = SEARCHES, validation: DataFrame | None = None, spread: bool = False, **options) -> Fitted:
     """The whole loop: scopes once, traces with the current quantizer and again at each refresh, then the fit. The model kept is
-    the best by `check` (code_recall on the sample, unless given), the start included. Without `queries`, `searches` rows in hash order,
-    at most TRACE_QUERIES, are searched for traces."""
-    f = collect_neighbourhood(base, edges, n, k_pos, k_neg)
-    if not len(f.anchors):
+    the best by `check`: recall of a scan by codes for `validation` rows, which should not be in the base (without them, for some of the
+    sample's own rows). Without `queries`, about `searches` rows picked by hash, at most TRACE_QUERIES, are searched for traces.
+    `spread`: features stay in the cluster and each step adds up partial sums there; then all anchors are used."""
+    f = neighbourhood_tables(base, edges, n, k_pos, k_neg) if spread else collect_neighbourhood(base, edges, n, k_pos, k_neg)
+    seen = sample(base) if spread else f.x
+    if not spread and not len(f.anchors):
         f = Features(*_all(base))
-    options.setdefault("check", code_recall(f))
+        seen = f.x
+    start = options.get("start", "opq")
+    if not isinstance(start, Quantizer):
+        start = opq_of(seen, m, k)[0] if start == "opq" else Quantizer("pq", _pq_books(seen, m, k))
+    options["start"] = start
+    options.setdefault("check", code_recall(seen, sample(validation, VALIDATION) if validation is not None else None))
     if "R" in kinds:
-        asked = queries if queries is not None else base.orderBy(F.md5(F.col("id").cast("string")), "id").limit(min(TRACE_QUERIES, searches))
-        start = opq_of(f.x, m, k)[0] if options.get("start", "opq") == "opq" else Quantizer("pq", _pq_books(f.x, m, k))
-        collect_routing(f, base, edges, entry, start, asked, h, teacher)
-        options["start"] = start
-        options.setdefault("refresh", lambda q: collect_routing(f, base, edges, entry, q, asked, h, teacher))
+        asked = queries if queries is not None else base.orderBy(hash_share("id"), "id").limit(min(TRACE_QUERIES, searches))
+        asked = materialize(asked.select("id", "vec"))
+        collect = routing_tables if spread else collect_routing
+        collect(f, base, edges, entry, start, asked, h, teacher)
+        options.setdefault("refresh", lambda q: collect(f, base, edges, entry, q, asked, h, teacher))
     return fit(f, m, k, kinds, **options)
 
 
-def code_recall(f: Features, k: int = 10, rows: int = 256, seed: int = 11) -> Callable[[Quantizer], float]:
-    """A validation score on the training sample: recall@k of a scan by codes against exact neighbours, for some of its rows."""
+#: Validation rows of a fit.
+VALIDATION = 1000
+
+
+def code_recall(x: np.ndarray, queries: np.ndarray | None = None, k: int = 10, rows: int = 256, seed: int = 11) -> Callable[[Quantizer], float]:
+    """A validation score: recall@k of a scan by codes against exact neighbours among x, for the queries (or for some rows of x)."""
     from vecgraph.functions.kernels import d2_blas
     from vecgraph.operators.quantize import adc
 
-    pick = np.sort(np.random.default_rng(seed).permutation(len(f.x))[:rows])
-    x, q = f.x.copy(), f.x[pick]
-    k = min(k, len(x) - 1)
+    own = np.sort(np.random.default_rng(seed).permutation(len(x))[:rows]) if queries is None or not len(queries) else None
+    q = x[own] if own is not None else queries
+    k = min(k, len(x) - (own is not None))
 
     def nearest(d: np.ndarray) -> np.ndarray:
-        d[np.arange(len(pick)), pick] = np.inf
+        if own is not None:
+            d[np.arange(len(own)), own] = np.inf
         return np.argsort(d, 1, kind="stable")[:, :k]
 
     true = nearest(d2_blas(q, x))
@@ -232,28 +412,5 @@ def code_recall(f: Features, k: int = 10, rows: int = 256, seed: int = 11) -> Ca
 
 
 def _all(base: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    x = sample(base, TRAIN_ROWS)
-    return np.arange(len(x)), x
-
-
-def partition_sums(rows: DataFrame, r: np.ndarray, books: np.ndarray, temperature: float, margin: float, epoch: int, seed: int) -> L.Sums:
-    """Neighbourhood gradient sums over rows (anchor, pos, neg, va, vp, vn): each partition sends one row of partial sums."""
-    ship(rows.sparkSession)
-    m, k, w = books.shape
-    d = len(r)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(d * d + books.size + 2)
-        for b in batches:
-            if not b.num_rows:
-                continue
-            t = pa.table(b)
-            noise = tuple(gumbel(L.uniform(seed, epoch, t[c].to_numpy(), m, k)) for c in ("anchor", "pos", "neg"))
-            s = L.neighbour(r, books, tuple(matrix(t[c]) for c in ("va", "vp", "vn")), noise, temperature, margin)
-            total += np.concatenate([s.rotation.ravel(), s.books.ravel(), [s.loss["nbr"], s.count["nbr"]]])
-        yield pa.RecordBatch.from_arrays([lists(total[None])], ["s"])
-
-    parts = rows.mapInArrow(run, "s array<double>")
-    cells = parts.select(F.posexplode("s").alias("i", "x")).groupBy("i").agg(F.sum("x").alias("x")).orderBy("i").collect()
-    v = np.array([c.x for c in cells])
-    return L.Sums(v[: d * d].reshape(d, d), v[d * d : -2].reshape(books.shape), {"nbr": v[-2]}, {"nbr": int(v[-1])})
+    t = base.orderBy(hash_share("id"), "id").limit(TRAIN_ROWS).select("id", "vec").orderBy("id").toArrow()
+    return t["id"].to_numpy(), matrix(t["vec"])

@@ -1,8 +1,9 @@
 """The experiments: thirteen configurations, ablations, parameter sweeps, scale series and set statistics.
 
-Every comparison gives each learned or fitted quantizer the same training rows and a stopping rule of its own,
-and reports it beside two controls: the start the learned quantizer came from, and the same loop trained on
-reconstruction error alone.
+Folds: queries are the rows whose id is divisible by 50, models are fitted on rows of neither this fold nor the validation fold
+(last digit nine) over a graph of their own, and chosen by the validation fold; searches run over all rows. Every comparison gives
+each learned or fitted quantizer the same training rows and a stopping rule of its own, and reports it beside two controls: the
+start the learned quantizer came from, and the same loop trained on reconstruction error alone.
 """
 
 from __future__ import annotations
@@ -15,9 +16,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecgraph import measures
+from vecgraph.functions.columns import hash_share
 from vecgraph.operators import exact, graphs, quantize
-from vecgraph.operators.walk import assemble, beam_search, index_rows
-from vecgraph.session import materialize
+from vecgraph.operators.sharded import ShardedIndex, stored_index
+from vecgraph.operators.walk import BANDWIDTH, BLOCK_BYTES, LATENCY_S, SHARD_ROWS, Kernel, assemble, searcher, sweep
+from vecgraph.session import CACHES, materialize
 from vecgraph.sources import sets
 from vecgraph.train import linkreg, loop, neural
 
@@ -27,11 +30,28 @@ CONFIGS = [
     *[(i + 5, "code_only", "layered", q) for i, q in enumerate(("pq", "linkreg", "opq", "neural", "gaq"))],
     *[(i + 10, "code_only", "spread", q) for i, q in enumerate(("pq", "opq", "neural", "gaq"))],
 ]
-
+BEAMS = (10, 16, 32, 64, 128)
+#: Recall floors of the two modes on each set, as far as it reaches them.
+FLOORS = {"disk_tier": 0.95, "code_only": 0.7}
+#: What the learned quantizer and its ablations are trained on: kinds of features, teacher.
+VARIANTS = {"gaq": ("NR", "exact"), "gaq_n": ("N", "exact"), "gaq_r": ("R", "exact"), "gaq_hop": ("R", "hop_oracle"), "recon": ("C", "exact")}
 
 #: Rows that one task builds a graph over.
 CELL_ROWS = 20_000
 
+_LABS: dict = {}
+CACHES.append(_LABS)
+
+
+def lab(spark: SparkSession, sf_dir: str, name: str = "iso", m: int = 8, k: int = 16, steps: int = 60) -> Lab:
+    """The session's lab of these settings; those of one set share its base, truth and graphs."""
+    app = spark.sparkContext.applicationId
+    key = (app, sf_dir, name, m, k, steps)
+    if key not in _LABS:
+        shared = _LABS.setdefault((app, sf_dir, name), {})
+        _LABS[key] = Lab(spark, sf_dir, name, m, k, steps=steps, shared=shared)
+    return _LABS[key]
+
 
 @dataclass
 class Lab:
@@ -45,133 +65,206 @@ class Lab:
     degree: int = 16
     steps: int = 60
     kept: dict = field(default_factory=dict)
+    shared: dict = field(default_factory=dict)
 
-    def get(self, key: str, make):
-        if key not in self.kept:
+    def get(self, key: str, make, shared: bool = False):
+        at = self.shared if shared else self.kept
+        if key not in at:
             begin = time.perf_counter()
-            self.kept[key] = make()
-            self.kept[f"seconds:{key}"] = time.perf_counter() - begin
-        return self.kept[key]
+            at[key] = make()
+            at[f"seconds:{key}"] = time.perf_counter() - begin
+        return at[key]
 
     @property
     def base(self) -> DataFrame:
-        return self.get("base", lambda: materialize(sets.SETS[self.name](self.spark, self.sf_dir)))
+        return self.get("base", lambda: materialize(sets.SETS[self.name](self.spark, self.sf_dir)), True)
+
+    @property
+    def rows(self) -> int:
+        return self.get("rows", self.base.count, True)
 
     @property
     def queries(self) -> DataFrame:
         return sets.queries_of(self.base)
 
+    @property
+    def training(self) -> DataFrame:
+        return self.get("training", lambda: materialize(sets.training_of(self.base)), True)
+
     @property
     def truth(self) -> DataFrame:
-        return self.get("truth", lambda: materialize(exact.exact_knn(self.base, self.queries, 10)))
+        return self.get("truth", lambda: materialize(exact.exact_knn(self.base, self.queries, 10)), True)
 
     def graph(self, kind: str) -> DataFrame:
         """Built in cells of about CELL_ROWS rows, each row in its two nearest ones."""
-        return self.get(f"graph:{kind}", lambda: materialize(graphs.build(self.base, kind, self.degree, cells=max(1, self.base.count() // CELL_ROWS))))
+        return self.get(f"graph:{kind}", lambda: materialize(graphs.build(self.base, kind, self.degree, cells=max(1, self.rows // CELL_ROWS))), True)
+
+    @property
+    def training_graph(self) -> DataFrame:
+        """The flat graph over the training rows alone: features never see a query or a validation row."""
+        return self.get("training_graph", lambda: materialize(graphs.build(self.training, "flat", self.degree, cells=max(1, self.rows // CELL_ROWS)).where("level = 0").drop("level")), True)
 
     def entry(self, kind: str) -> int:
-        return self.get(f"entry:{kind}", lambda: graphs.top_vertex(self.base, self.graph(kind)) if kind == "layered" else graphs.entry_vertex(self.base))
+        return self.get(f"entry:{kind}", lambda: graphs.top_vertex(self.base, self.graph(kind)) if kind == "layered" else graphs.entry_vertex(self.base), True)
 
     @property
     def features(self) -> loop.Features:
-        return self.get("features", lambda: loop.collect_neighbourhood(self.base, self.graph("flat").where("level = 0"), 2, 4, 12))
+        return self.get("features", lambda: loop.collect_neighbourhood(self.training, self.training_graph, 2, 4, 12), True)
 
     def quantizer(self, name: str) -> quantize.Quantizer:
         def make() -> quantize.Quantizer:
             if name == "pq":
-                return quantize.train_pq(self.base, self.m, self.k)
-            if name in ("opq", "linkreg_base"):
-                return quantize.train_opq(self.base, self.m, self.k)
+                return quantize.train_pq(self.training, self.m, self.k)
+            if name == "opq":
+                return quantize.train_opq(self.training, self.m, self.k)
             if name == "neural":
                 f = self.features
                 d_out = -(-40 // self.m) * self.m  # forty outputs, up to a whole number of chunks
                 return neural.train_neural(f.x, (f.anchors, f.pos, f.neg), self.m, self.k, d_out=d_out)[0]
-            kinds = {"gaq": "NR", "gaq_n": "N", "gaq_r": "R", "gaq_hop": "NR", "recon": "C"}[name]
-            return self.fitted(kinds, "hop_oracle" if name == "gaq_hop" else "exact").quantizer
+            return self.fitted(*VARIANTS[name]).quantizer
 
         return self.get(f"quantizer:{name}", make)
 
-    def fitted(self, kinds: str, teacher: str = "exact", **options) -> loop.Fitted:
-        options.setdefault("start", "opq")
+    def fitted(self, kinds: str, teacher: str = "exact", seed: int = 1, **options) -> loop.Fitted:
+        """Trained from the converged rotation-optimized start on the training fold, chosen by the validation fold."""
         n, pos, neg = (options.pop(k, v) for k, v in (("n", 2), ("k_pos", 4), ("k_neg", 12)))
-        return loop.train(self.base, self.graph("flat").where("level = 0"), self.entry("flat"), self.m, self.k, kinds, n, pos, neg, teacher=teacher, steps=self.steps, every=max(1, self.steps // 2), size=128, **options)
+        options.setdefault("start", self.quantizer("opq"))
+
+        def make() -> loop.Fitted:
+            entry = self.get("entry:training", lambda: graphs.entry_vertex(self.training), True)
+            return loop.train(self.training, self.training_graph, entry, self.m, self.k, kinds, n, pos, neg, teacher=teacher, steps=self.steps, every=max(1, self.steps // 4), size=128, seed=seed, validation=sets.validation_of(self.base), **options)
+
+        return self.get(f"fitted:{kinds}:{teacher}:{seed}:{n}:{pos}:{neg}", make)
 
     def index(self, kind: str, q: quantize.Quantizer, vectors: bool) -> DataFrame:
         entry = self.spark.createDataFrame([(self.entry(kind),)], "vid long")
         edges = self.graph(kind)
-        return materialize(index_rows(self.base, edges if kind == "layered" else edges.where("level = 0").drop("level"), quantize.encode(self.base, q), entry, vectors))
-
-    def run(self, mode: str, kind: str, name: str, h: int = 16, k: int = 10, q: quantize.Quantizer | None = None) -> DataFrame:
-        """(qid, rank, vid, d2, ...) of one configuration."""
+        return stored_index(self.base, edges if kind == "layered" else edges.where("level = 0").drop("level"), quantize.encode(self.base, q), vectors, entry)
+
+    def _asked(self, kind: str, q: quantize.Quantizer, vectors: bool, key: str) -> tuple[DataFrame, DataFrame]:
+        """(index rows, queries): one graph while it fits a shard; beyond that a graph per shard, and the shards near each query."""
+        if self.rows <= SHARD_ROWS:
+            return self.get(f"index:{kind}:{key}:{vectors}", lambda: self.index(kind, q, vectors)), self.queries
+        whole = self.get(f"sharded:{kind}", lambda: ShardedIndex.build(self.base, q, -(-2 * self.rows // SHARD_ROWS), kind, self.degree), True)
+        rows, ask = self.get(f"sharded:{kind}:{key}", lambda: whole.recode(q)).asked(self.queries, 4)
+        return (rows if vectors else rows.drop("vec")), ask
+
+    def curve(self, mode: str, kind: str, name: str, hs: tuple[int, ...] = (16,), q: quantize.Quantizer | None = None, key: str | None = None) -> DataFrame:
+        """(h, qid, rank, vid, d2, hops, reads, seconds) of one configuration at several beams."""
         if name == "linkreg":
             model = self.quantizer("pq")
-            index = self.get(f"index:{kind}:linkreg", lambda: self.index(kind, model, False))
-            weights = self.get("weights", lambda: self._weights(model))
-            return linkreg.search_linkreg(index, self.queries, model, weights, h, k)
-        model = q or self.quantizer(name)
-        key = f"index:{kind}:{name}:{mode}"
-        index = self.index(kind, model, mode != "code_only") if q else self.get(key, lambda: self.index(kind, model, mode != "code_only"))
-        return beam_search(index, self.queries, h, k, mode, model)
-
-    def _weights(self, model: quantize.Quantizer) -> np.ndarray:
-        """Fitted on a bounded sample: the links and codes of up to TRAIN_ROWS vertices."""
-        t = self.index("spread", model, True).limit(quantize.TRAIN_ROWS).toArrow()
-        idx = assemble(t)
-        return linkreg.fit_weights(idx, idx.vectors, model, links=8, entries=1)
-
-    def score(self, found: DataFrame) -> tuple[float, float, float]:
-        """(recall@10, mean hops, mean reads)."""
+            rows, ask = self._asked(kind, model, False, "pq")
+            kernel: Kernel = linkreg.linkreg_searcher(model, self.get(f"weights:{kind}", lambda: self._weights(model, kind)))
+        else:
+            model = q or self.quantizer(name)
+            rows, ask = self._asked(kind, model, mode != "code_only", key or name)
+            kernel = searcher(10, mode, model)
+        return sweep(rows, ask, kernel, hs, 10)
+
+    def run(self, mode: str, kind: str, name: str, h: int = 16) -> DataFrame:
+        return self.curve(mode, kind, name, (h,)).drop("h", "seconds")
+
+    def _weights(self, model: quantize.Quantizer, kind: str) -> np.ndarray:
+        """Fitted on the links and codes of up to TRAIN_ROWS vertices of the graph that is searched, as far as they are training rows."""
+        rows, _ = self._asked(kind, model, True, "pq")
+        idx = assemble(rows.where(F.col("shard") == 0).limit(quantize.TRAIN_ROWS).toArrow())
+        places = np.flatnonzero((idx.ids % 10 != 9) & (idx.ids % sets.QUERY_STEP != 0))
+        return linkreg.fit_weights(idx, idx.vectors, model, links=8, entries=1, places=places)
+
+    def scores(self, found: DataFrame, mode: str) -> list[dict]:
+        """Per beam: recall, hops, reads, modelled I/O seconds a query, and queries per second of one thread (I/O included)."""
         found = materialize(found)
-        r = measures.recall(found, self.truth, 10).agg(F.avg("recall")).first()[0] or 0.0
-        if "hops" not in found.columns:
-            return float(r), 0.0, 0.0
-        per = found.groupBy("qid").agg(F.max("hops").alias("h"), F.max("reads").alias("r")).agg(F.avg("h"), F.avg("r")).first()
-        return float(r), float(per[0] or 0), float(per[1] or 0)
-
-
-def config_matrix(lab: Lab, hs: tuple[int, ...] = (16,), timed: bool = False) -> DataFrame:
+        asked, true = self.queries.count(), self.truth.count()
+        hit = found.join(self.truth.select("qid", "vid"), ["qid", "vid"], "left_semi").groupBy("h").agg(F.count("*").alias("hit"))
+        per = found.groupBy("h", "qid").agg(*(F.max(c).alias(c) for c in ("hops", "reads", "seconds")))
+        total = per.groupBy("h").agg(F.avg("hops").alias("hops"), F.avg("reads").alias("reads"), F.avg("seconds").alias("seconds"))
+        out = []
+        for r in total.join(hit, "h", "left").orderBy("h").collect():
+            io = r.reads * (LATENCY_S + BLOCK_BYTES / BANDWIDTH) if mode == "disk_tier" else 0.0
+            out.append({"h": r.h, "recall": (r.hit or 0) / max(1, true), "hops": r.hops, "reads": r.reads, "io_s": io, "qps": 1 / (r.seconds + io), "queries": asked})
+        return out
+
+
+def config_matrix(lab: Lab, hs: tuple[int, ...] = BEAMS) -> DataFrame:
     rows = []
     for no, mode, kind, name in CONFIGS:
-        for h in hs:
-            begin = time.perf_counter()
-            found = materialize(lab.run(mode, kind, name, h))
-            seconds = time.perf_counter() - begin
-            r, hops, reads = lab.score(found)
-            rows.append((no, mode, kind, name, h, round(r, 6), round(hops, 6), round(reads, 6), *([lab.queries.count() / seconds] if timed else [])))
-    return lab.spark.createDataFrame(rows, "no int, mode string, graph string, quantizer string, h int, recall double, hops double, reads double" + (", qps double" if timed else ""))
-
-
-def ablation(lab: Lab, mode: str = "code_only", kind: str = "spread", h: int = 16) -> DataFrame:
-    """Both features, each alone, the hop-oracle teacher, and the two controls."""
-    rows = []
-    for name in ("gaq", "gaq_n", "gaq_r", "gaq_hop", "recon", "opq"):
-        r, hops, _ = lab.score(lab.run(mode, kind, name, h))
-        rows.append((name, round(r, 6), round(hops, 6), round(quantize.distortion(lab.base, lab.quantizer(name)), 6)))
-    return lab.spark.createDataFrame(rows, "variant string, recall double, hops double, distortion double")
-
-
-def ratio_sweep(lab: Lab, ratios: tuple[float, ...] = (0.1, 0.2, 0.3, 0.5, 1.0, 2.0), total: int = 22) -> DataFrame:
-    """k_pos / k_neg with their sum fixed."""
+        for s in lab.scores(lab.curve(mode, kind, name, hs), mode):
+            rows.append((lab.name, no, mode, kind, name, s["h"], round(s["recall"], 6), round(s["hops"], 6), round(s["reads"], 6), round(s["io_s"], 9), s["qps"]))
+    return lab.spark.createDataFrame(rows, "name string, no int, mode string, graph string, quantizer string, h int, recall double, hops double, reads double, io_s double, qps double")
+
+
+def at_floor(points: list[dict], floor: float, what: str) -> float | None:
+    """The measure at a recall floor, on a straight line between the beams around it; None where no beam reaches it."""
+    before = None
+    for p in points:
+        if p["recall"] >= floor:
+            if before is None:
+                return p[what]
+            share = (floor - before["recall"]) / (p["recall"] - before["recall"])
+            return before[what] + share * (p[what] - before[what])
+        before = p
+    return None
+
+
+def ablation(lab: Lab, mode: str = "code_only", kind: str = "spread", hs: tuple[int, ...] = BEAMS, floor: float | None = None) -> DataFrame:
+    """Both features, each alone, routing with the hop-oracle teacher, and the two controls: recall at the widest beam, and hops and
+    queries per second at the recall floor (null where a variant doesn't reach it)."""
+    rows, floor = [], FLOORS[mode] if floor is None else floor
+    for name in (*VARIANTS, "opq", "pq"):
+        points = lab.scores(lab.curve(mode, kind, name, hs), mode)
+        rows.append((lab.name, name, floor, round(points[-1]["recall"], 6), *(x if x is None else round(x, 4) for x in (at_floor(points, floor, "hops"), at_floor(points, floor, "qps"))), round(quantize.distortion(lab.base, lab.quantizer(name)), 6)))
+    return lab.spark.createDataFrame(rows, "name string, variant string, floor double, ceiling double, hops double, qps double, distortion double")
+
+
+def learning(lab: Lab, seeds: tuple[int, ...] = (1, 2, 3), mode: str = "code_only", kind: str = "spread", h: int = 16) -> DataFrame:
+    """What training does to its start: for every variant and seed the start, the last model and the one kept, the step it was kept
+    at, its validation score, and recall, hops and distortion on the query fold."""
+    rows, known = [], {}
+
+    def measured(q: quantize.Quantizer, key: str) -> tuple:
+        if key not in known:
+            s = lab.scores(lab.curve(mode, kind, "gaq", (h,), q, key), mode)[0]
+            known[key] = round(s["recall"], 6), round(s["hops"], 6), round(quantize.distortion(lab.base, q), 6)
+        return known[key]
+
+    for variant in ("gaq", "gaq_n", "gaq_r", "recon"):
+        for seed in seeds:
+            f = lab.fitted(*VARIANTS[variant], seed=seed)
+            score = dict(f.scores)
+            key = f"{variant}:{seed}"
+            rows.append((lab.name, variant, seed, "start", 0, round(score[0], 6), *measured(f.start, "start")))
+            rows.append((lab.name, variant, seed, "last", f.steps, round(score[f.steps], 6), *measured(f.last, f"{key}:last")))
+            kept = "start" if f.step_kept == 0 else f"{key}:last" if f.step_kept == f.steps else f"{key}:kept"
+            rows.append((lab.name, variant, seed, "kept", f.step_kept, round(score[f.step_kept], 6), *measured(f.quantizer, kept)))
+    return lab.spark.createDataFrame(rows, "name string, variant string, seed int, model string, step int, validation double, recall double, hops double, distortion double")
+
+
+def ratio_sweep(lab: Lab, ratios: tuple[float, ...] = (0.1, 0.2, 0.3, 0.5, 1.0, 2.0), total: int = 22, mode: str = "code_only", kind: str = "spread", hs: tuple[int, ...] = BEAMS) -> DataFrame:
+    """k_pos / k_neg with their sum fixed, both losses; the last model is measured as well, as the one kept may be the start."""
     rows = []
     for ratio in ratios:
         pos = max(1, round(total * ratio / (1 + ratio)))
-        q = lab.fitted("N", k_pos=pos, k_neg=total - pos).quantizer
-        r, hops, _ = lab.score(lab.run("code_only", "spread", "gaq", q=q))
-        rows.append((ratio, pos, total - pos, round(r, 6), round(hops, 6)))
-    return lab.spark.createDataFrame(rows, "ratio double, k_pos int, k_neg int, recall double, hops double")
-
-
-def size_grid(spark: SparkSession, sf_dir: str, name: str, ms: tuple[int, ...] = (4, 8, 16), ks: tuple[int, ...] = (16, 64), mode: str = "code_only", quantizer: str = "opq", hs: tuple[int, ...] = (16, 32)) -> DataFrame:
-    """Best recall over beams for every number of chunks and codewords."""
-    rows, shared = [], {}
-    kind = "flat" if mode == "disk_tier" else "spread"
+        f = lab.fitted("NR", k_pos=pos, k_neg=total - pos)
+        for which, q in (("kept", f.quantizer), ("last", f.last)):
+            points = lab.scores(lab.curve(mode, kind, "gaq", hs, q, f"ratio:{ratio}:{which}"), mode)
+            best = max(p["recall"] for p in points)
+            rows.append((ratio, pos, total - pos, which, f.step_kept if which == "kept" else f.steps, round(points[0]["recall"], 6), round(best, 6), *(x if x is None else round(x, 4) for x in (at_floor(points, FLOORS[mode], "hops"), at_floor(points, FLOORS[mode], "qps")))))
+    return lab.spark.createDataFrame(rows, "ratio double, k_pos int, k_neg int, model string, step int, recall double, ceiling double, hops double, qps double")
+
+
+def size_grid(spark: SparkSession, sf_dir: str, name: str, ms: tuple[int, ...] = (4, 8, 16), ks: tuple[int, ...] = (16, 64, 256), mode: str = "code_only", quantizers: tuple[str, ...] = ("opq", "gaq"), hs: tuple[int, ...] = (16, 32, 128), steps: int = 24) -> DataFrame:
+    """Best recall over beams, and queries per second at the floor, for every number of chunks and codewords; a number of codewords
+    needs at least four training rows each, so small sets leave the largest books out."""
+    rows, kind = [], "flat" if mode == "disk_tier" else "spread"
+    most = lab(spark, sf_dir, name).training.count() // 4
     for m in ms:
-        for k in ks:
-            lab = Lab(spark, sf_dir, name, m, k, kept={x: v for x, v in shared.items() if x.startswith(("base", "truth", "graph", "entry"))})
-            best = max(lab.score(lab.run(mode, kind, quantizer, h))[0] for h in hs)
-            shared = lab.kept
-            rows.append((m, k, quantize.code_bits(m, k), round(best, 6)))
-    return spark.createDataFrame(rows, "m int, k int, bits int, ceiling double")
+        for k in (k for k in ks if k <= most):
+            own = lab(spark, sf_dir, name, m, k, steps)
+            for q in quantizers:
+                points = own.scores(own.curve(mode, kind, q, hs), mode)
+                qps = at_floor(points, FLOORS[mode], "qps")
+                rows.append((q, m, k, quantize.code_bits(m, k), round(max(p["recall"] for p in points), 6), qps and round(qps, 2)))
+    return spark.createDataFrame(rows, "quantizer string, m int, k int, bits int, ceiling double, qps double")
 
 
 def set_statistics(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("iso", "skew", "text", "page", "profile")) -> DataFrame:
@@ -186,8 +279,8 @@ def set_statistics(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("
 
 
 def training_cost(lab: Lab) -> DataFrame:
-    """Seconds and bytes of the two learned quantizers; features are made before the clock starts."""
-    lab.features
+    """Seconds and bytes of the two learned quantizers; features and the start are made before the clock starts."""
+    lab.features, lab.quantizer("opq")
     rows = []
     for name in ("neural", "gaq"):
         q = lab.quantizer(name)
@@ -197,40 +290,71 @@ def training_cost(lab: Lab) -> DataFrame:
 
 
 def subset_training(lab: Lab, shares: tuple[float, ...] = (0.5, 1.0)) -> DataFrame:
-    """Recall and distortion when the quantizer is fitted on a share of the base, in hash order."""
-    rows, n = [], lab.base.count()
+    """Recall and distortion when the quantizers are fitted on a share of the training fold, picked by hash."""
+    rows = []
     for share in shares:
-        q = quantize.train_opq(lab.base, lab.m, lab.k, rows=max(lab.k, int(n * share)))
-        r, _, _ = lab.score(lab.run("code_only", "spread", "opq", q=q))
-        rows.append((share, round(r, 6), round(quantize.distortion(lab.base, q), 6)))
-    return lab.spark.createDataFrame(rows, "share double, recall double, distortion double")
+        part = materialize(lab.training.where(hash_share("id") < share))
+        start = quantize.train_opq(part, lab.m, lab.k)
+        edges = materialize(graphs.build(part, "flat", lab.degree, cells=max(1, int(lab.rows * share) // CELL_ROWS)).where("level = 0").drop("level"))
+        f = loop.train(part, edges, graphs.entry_vertex(part), lab.m, lab.k, "NR", steps=lab.steps, every=max(1, lab.steps // 4), size=128, start=start, validation=sets.validation_of(lab.base))
+        for name, q in (("opq", start), ("gaq", f.quantizer), ("gaq_last", f.last)):
+            s = lab.scores(lab.curve("code_only", "spread", "gaq", (16,), q, f"share:{share}:{name}"), "code_only")[0]
+            rows.append((share, name, round(s["recall"], 6), round(quantize.distortion(lab.base, q), 6)))
+    return lab.spark.createDataFrame(rows, "share double, quantizer string, recall double, distortion double")
 
 
 def balance_case(lab: Lab) -> DataFrame:
-    """Variance per chunk before and after the learned rotation."""
+    """Variance per chunk before and after the learned rotation (the last model's)."""
     from vecgraph.operators.rotation import chunk_values
 
-    x = quantize.sample(lab.base)
-    cov = np.cov(x.T)
-    after = chunk_values(cov, lab.quantizer("gaq").rotation, lab.m)
+    cov = np.cov(quantize.sample(lab.training).T)
+    after = chunk_values(cov, lab.fitted("NR").last.rotation, lab.m)
     rows = [(j, float(a), float(b)) for j, (a, b) in enumerate(zip(chunk_values(cov, None, lab.m), after, strict=True))]
     return lab.spark.createDataFrame(rows, "chunk int, before double, after double")
 
 
-def scale_series(spark: SparkSession, dirs: list[str], name: str = "rowvec", cells_of=lambda n: max(1, n // CELL_ROWS), quantizer: str = "opq", h: int = 32) -> DataFrame:
-    """The same searches on growing bases: graphs built in cells, walked shard by shard, answers merged."""
-    from vecgraph.operators.sharded import ShardedIndex
+#: Rows that the scale series fits its quantizers on, at most.
+SERIES_ROWS = 4_000
+
 
+def scale_series(spark: SparkSession, dirs: list[str], name: str = "rowvec", cells_of=lambda n: max(1, n // CELL_ROWS), quantizers: tuple[str, ...] = ("pq", "opq", "gaq"), h: int = 32, steps: int = 24, m: int = 4, k: int = 16) -> DataFrame:
+    """The same searches on growing bases in both modes: graphs built in cells, walked shard by shard, answers merged. Quantizers are
+    fitted on SERIES_ROWS rows outside the query and validation folds."""
     rows = []
     for d in dirs:
         base = materialize(sets.SETS[name](spark, d))
-        n = base.count()
-        q = quantize.train_opq(base, 4, 16, rows=20_000)
-        index = ShardedIndex.build(base, q, cells_of(n))
-        asked = sets.queries_of(base)
-        begin = time.perf_counter()
-        found = materialize(index.search(asked, probes=2, h=h, k=10, mode="disk_tier"))
-        seconds = time.perf_counter() - begin
-        r = measures.recall(found, exact.exact_knn(base, asked, 10), 10).agg(F.avg("recall")).first()[0]
-        rows.append((d.rstrip("/").split("/")[-1], n, round(float(r), 6), asked.count() / seconds))
-    return spark.createDataFrame(rows, "sf string, base long, recall double, qps double")
+        n, asked = base.count(), sets.queries_of(base)
+        train = sets.training_of(base)
+        part = materialize(train.where(hash_share("id") < SERIES_ROWS / max(1, train.count())))
+        opq = quantize.train_opq(part, m, k)
+        made = {"pq": lambda p=part: quantize.train_pq(p, m, k), "opq": lambda q=opq: q}
+        made["gaq"] = lambda p=part, q=opq, b=base: _series_fit(p, q, b, steps, m, k)
+        truth = materialize(exact.exact_knn(base, asked, 10))
+        index, many = ShardedIndex.build(base, opq, cells_of(n)), asked.count()
+        for name_ in quantizers:
+            own = index.recode(made[name_]())
+            for mode in ("code_only", "disk_tier"):
+                begin = time.perf_counter()
+                found = materialize(own.search(asked, probes=2, h=h, k=10, mode=mode))
+                seconds = time.perf_counter() - begin
+                r = measures.recall(found, truth, 10).agg(F.avg("recall")).first()[0]
+                rows.append((d.rstrip("/").split("/")[-1], n, mode, name_, round(float(r or 0), 6), many / seconds))
+    return spark.createDataFrame(rows, "sf string, base long, mode string, quantizer string, recall double, qps double")
+
+
+def _series_fit(part: DataFrame, start: quantize.Quantizer, base: DataFrame, steps: int, m: int, k: int) -> quantize.Quantizer:
+    edges = materialize(graphs.build(part, "flat", 16).where("level = 0").drop("level"))
+    options = {"steps": steps, "every": max(1, steps // 2), "size": 128, "start": start, "validation": sets.validation_of(base)}
+    return loop.train(part, edges, graphs.entry_vertex(part), m, k, "NR", **options).quantizer
+
+
+def term_ablation(lab: Lab, hs: tuple[int, ...] = (16, 32)) -> DataFrame:
+    """Recall of code-only walks that keep their candidates by two or by all three terms of the comparison, at two beams."""
+    from vecgraph.operators.ranking import terms_searcher
+
+    rows, model = [], lab.quantizer("opq")
+    at, ask = lab._asked("spread", model, False, "opq")
+    for mode in ("two_terms", "three_terms"):
+        for s in lab.scores(sweep(at, ask, terms_searcher(10, model, mode), hs, 10), "code_only"):
+            rows.append((lab.name, mode, s["h"], round(s["recall"], 6), round(s["hops"], 6)))
+    return lab.spark.createDataFrame(rows, "name string, terms string, h int, recall double, hops double")
