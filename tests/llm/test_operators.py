@@ -166,6 +166,16 @@ def test_line_dedup_judges_each_row_by_itself(spark, monkeypatch, broadcast):
     assert sorted(str((r.doc_id, r.text, r.n_lines, r.n_cut)) for r in got.collect()) == sorted(expected(d, t) for d, t, _ in rows)
 
 
+# ---- oracles ----
+
+
+@pytest.mark.parametrize("name", ["op7_decontamination", "op9_suffix_array", "op10_fm_index", "secret_base_counts"])
+def test_against_sql(spark, sf_dir, duck, name):
+    from compare import same
+
+    same(queries.QUERIES[name](spark, sf_dir), duck.sql(queries.ORACLES[name]))
+
+
 # ---- op4 ----
 
 

@@ -331,9 +331,9 @@ def contamination(docs: DataFrame, items: DataFrame, window: int = 10, slop: int
     return each.join(found, ROW, "left").select("doc_id", "n_words", *lists)
 
 
-def contamination_digest(docs: DataFrame, items: DataFrame, window: int = 10, slop: int | None = None) -> DataFrame:
-    """The contract's columns from the operator's spans and items, and the number of items with near matches."""
-    found = contamination(docs, items, window, slop)
+def contamination_digest(docs: DataFrame, items: DataFrame, window: int = 10) -> DataFrame:
+    """The contract's columns from the operator's spans and items."""
+    found = contamination(docs, items, window)
     n_hit = F.aggregate("hits", F.lit(0).cast("long"), lambda a, x: a + x["end"] - x["start"])
     ids = F.array_join(F.array_sort("items"), ",")
-    return found.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.sha2(ids, 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"), F.size("near").cast("long").alias("n_near"))
+    return found.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.sha2(ids, 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"))

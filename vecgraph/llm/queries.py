@@ -97,7 +97,23 @@ def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.contamination_digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), slop=10)
+    return decontaminate.contamination_digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+OP7_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+b AS (SELECT row_number() OVER () AS item, item_id::VARCHAR AS item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
+s AS (SELECT item, item_id, least(10, len(w)) AS n, unnest(range(1, len(w) - least(10, len(w)) + 2)) AS i, w FROM b WHERE len(w) > 0),
+win AS (SELECT DISTINCT item, item_id, n, array_to_string(w[i:i + n - 1], ' ') AS t FROM s),
+sizes AS (SELECT DISTINCT n FROM win),
+p AS (SELECT d.r, sizes.n, unnest(range(1, len(d.w) - sizes.n + 2)) AS i, d.w FROM d, sizes WHERE len(d.w) >= sizes.n),
+dw AS (SELECT r, n, i, array_to_string(w[i:i + n - 1], ' ') AS t FROM p),
+hit AS (SELECT dw.r, dw.i, dw.n, win.item, win.item_id FROM dw JOIN win ON win.n = dw.n AND win.t = dw.t),
+pos AS (SELECT r, count(*) AS n FROM (SELECT DISTINCT r, unnest(range(i, i + n)) AS pos FROM hit) GROUP BY r),
+its AS (SELECT r, count(*) AS n, string_agg(item_id, ',' ORDER BY item_id) AS ids FROM (SELECT DISTINCT r, item, item_id FROM hit) GROUP BY r)
+SELECT d.doc_id, len(d.w) AS n_words, coalesce(pos.n, 0) AS n_hit, coalesce(its.n, 0) AS n_items, sha256(coalesce(its.ids, '')) AS items_sha256, coalesce(pos.n, 0) > 0 AS contaminated
+FROM d LEFT JOIN pos ON pos.r = d.r LEFT JOIN its ON its.r = d.r
+"""
 
 
 def op8_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -108,10 +124,60 @@ def op9_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixarray.kept_digest(table(spark, sf_dir, "documents"), window=400)
 
 
+OP9_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, hex(encode(coalesce(text, ''))) AS x FROM documents),
+b AS (SELECT r, b, substring(x, 2 * b + 1, 1798) AS y FROM (SELECT r, x, unnest(range(0, length(x) // 2 - 399, 500)) AS b FROM d WHERE length(x) >= 800)),
+n AS (SELECT r, b, y, unnest(range(0, least(500, length(y) // 2 - 399))) AS j FROM b),
+h AS (SELECT r, b + j AS i, hash(substring(y, 2 * j + 1, 800)) AS h FROM n),
+rep AS (SELECT r, i FROM h WHERE h IN (SELECT h FROM h GROUP BY h HAVING count(*) > 1)),
+e AS (SELECT r, i, i > 400 + lag(i) OVER w AS new FROM rep WINDOW w AS (PARTITION BY r ORDER BY i)),
+g AS (SELECT r, i, sum(coalesce(new, true)::INT) OVER (PARTITION BY r ORDER BY i) AS run FROM e),
+runs AS (SELECT r, run, min(i) AS lo, max(i) + 400 AS hi FROM g GROUP BY r, run),
+parts AS (SELECT r, lo, lag(hi, 1, 0) OVER (PARTITION BY r ORDER BY lo) AS before, hi FROM runs),
+k AS (SELECT parts.r, count(*) AS spans, sum(hi - lo) AS removed, max(hi) AS last, string_agg(x[2 * before + 1:2 * lo], '' ORDER BY lo) AS kept FROM parts JOIN d ON d.r = parts.r GROUP BY parts.r)
+SELECT d.doc_id, length(x) // 2 AS n_bytes, coalesce(removed, 0)::BIGINT AS n_removed, coalesce(spans, 0) AS n_spans,
+       sha256(unhex(CASE WHEN k.r IS NULL THEN x ELSE coalesce(kept, '') || x[2 * last + 1:] END)) AS kept_sha256
+FROM d LEFT JOIN k ON k.r = d.r
+"""
+
+
 def op10_fm_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fmindex.kept_digest(table(spark, sf_dir, "documents"), window=35)
 
 
+OP10_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda w: w <> '') AS w FROM documents),
+n AS (SELECT r, unnest(range(1, len(w) - 33)) AS i FROM d WHERE len(w) >= 35),
+h AS (SELECT n.r, n.i, md5(array_to_string(d.w[n.i:n.i + 34], ' ')) AS h FROM n JOIN d ON d.r = n.r),
+rep AS (SELECT r, i FROM h WHERE h IN (SELECT h FROM h GROUP BY h HAVING count(*) > 1)),
+gone AS (SELECT DISTINCT r, unnest(range(i, i + 35)) AS pos FROM rep),
+words AS (SELECT r, unnest(w) AS word, generate_subscripts(w, 1) AS pos FROM d),
+kept AS (SELECT words.r, string_agg(word, ' ' ORDER BY words.pos) AS t FROM words LEFT JOIN gone ON gone.r = words.r AND gone.pos = words.pos WHERE gone.r IS NULL GROUP BY words.r),
+c AS (SELECT r, count(*) AS n FROM gone GROUP BY r)
+SELECT d.doc_id, len(d.w) AS n_words, coalesce(c.n, 0) AS n_removed, sha256(coalesce(kept.t, '')) AS kept_sha256
+FROM d LEFT JOIN c ON c.r = d.r LEFT JOIN kept ON kept.r = d.r
+"""
+
+
+def secret_base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What SQL can express of op2: how many base spans of each kind its digest counts."""
+    return op2_secret_scan(spark, sf_dir).select("doc_id", "n_assign", "n_access", "n_hex")
+
+
+SECRET_BASE_SQL = r"""
+SELECT doc_id, len(list_filter(regexp_extract_all(t, '(?i:password|passwd|secret|token|api_?key)["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 1), lambda x: length(x) >= 6)) AS n_assign,
+       len(list_filter(regexp_extract_all(t, 'AKIA[A-Z0-9]+'), lambda x: length(x) >= 20)) AS n_access,
+       len(list_filter(regexp_extract_all(t, '[0-9a-f]+'), lambda x: length(x) >= 24)) AS n_hex
+FROM (SELECT doc_id, coalesce(text, '') AS t FROM documents)
+"""
+
+
+def decontamination_near(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """op7's other matches: the benchmark items whose rarest terms stand within ten words of each other."""
+    found = decontaminate.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), slop=10)
+    return found.select("doc_id", F.size("near").cast("long").alias("n_near"), F.size("items").cast("long").alias("n_items"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_url_filter": op1_url_filter,
     "op2_secret_scan": op2_secret_scan,
@@ -123,5 +189,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op8_bpe": op8_bpe,
     "op9_suffix_array": op9_suffix_array,
     "op10_fm_index": op10_fm_index,
+    "secret_base_counts": secret_base_counts,
+    "decontamination_near": decontamination_near,
 }
-ORACLES: dict[str, str] = {"op1_url_filter": OP1_SQL, "op3_line_dedup": OP3_SQL, "op5_exact_topk": OP5_SQL}
+ORACLES: dict[str, str] = {"op1_url_filter": OP1_SQL, "op3_line_dedup": OP3_SQL, "op5_exact_topk": OP5_SQL, "op7_decontamination": OP7_SQL, "op9_suffix_array": OP9_SQL, "op10_fm_index": OP10_SQL, "secret_base_counts": SECRET_BASE_SQL}
