@@ -10,6 +10,7 @@ Rates, temperatures and margins are in units of the data: of its root mean squar
 
 from __future__ import annotations
 
+import copy
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
@@ -305,12 +306,13 @@ class Fitted:
     scores: list[tuple[int, float]]
 
 
-def fit(f: Features | Tables, m: int, k: int, kinds: str = "NR", start: str | Quantizer = "opq", steps: int = 200, peak: float = 1e-3, size: int = 256, margin: float = 1.0, tau: float = 1.0, temperature: tuple[float, float] = (0.3, 0.1), seed: int = 1, noise: bool = True, straight: bool = False, alpha: float | None = None, refresh: Callable[[Quantizer], None] | None = None, every: int = 50, check: Callable[[Quantizer], float] | None = None) -> Fitted:
+def fit(f: Features | Tables, m: int, k: int, kinds: str = "NR", start: str | Quantizer = "opq", steps: int = 200, peak: float = 1e-3, size: int = 256, margin: float = 1.0, tau: float = 1.0, temperature: tuple[float, float] = (0.3, 0.1), seed: int = 1, noise: bool = True, straight: bool = False, alpha: float | None = None, refresh: Callable[[Quantizer], None] | None = None, every: int = 50, check: Callable[[Quantizer], float] | None = None, refresh_every: int | None = None) -> Fitted:
     """kinds: N neighbourhood, R routing, NR both, C reconstruction only (control). alpha None: learned, exp(-s) * N + R + s.
 
     start "opq" or "pq" (for Features), or a model to go on from. The margin is in the start's mean errors, tau and the temperatures,
     which fall from the first to the second, in errors per chunk. `check` scores a model (higher is better) before the first step and
-    every `every` steps; the best is kept, and without it the last. Codes are always hard, by argmin.
+    every `every` steps; the best is kept, and without it the last. Traces are refreshed every `refresh_every` steps (as often, unless
+    told otherwise). Codes are always hard, by argmin.
     """
     if isinstance(start, Quantizer):
         begin = start
@@ -347,13 +349,12 @@ def fit(f: Features | Tables, m: int, k: int, kinds: str = "NR", start: str | Qu
         if alpha is None and "nbr" in seen and "route" in seen:
             s = adam.step("s", s, np.array([1 - np.exp(-s[0]) * seen["nbr"]]), rate)
         losses.append(seen)
-        if (step + 1) % every == 0 or step + 1 == steps:
-            if refresh and step + 1 < steps:
-                refresh(model())
-            if check:
-                scores.append((step + 1, check(model())))
-                if scores[-1][1] > max(v for _, v in scores[:-1]):
-                    best = (step + 1, model(), theta.copy())
+        if refresh and (step + 1) % (refresh_every or every) == 0 and step + 1 < steps:
+            refresh(model())
+        if check and ((step + 1) % every == 0 or step + 1 == steps):
+            scores.append((step + 1, check(model())))
+            if scores[-1][1] > max(v for _, v in scores[:-1]):
+                best = (step + 1, model(), theta.copy())
     last = model()
     kept, done, angle = best if check else (steps, last, theta)
     return Fitted(done, angle, losses, error, steps, kept, first, last, scores)
@@ -365,12 +366,13 @@ def _pq_books(x: np.ndarray, m: int, k: int) -> np.ndarray:
     return fit_books(x, m, k, 25)
 
 
-def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds: str = "NR", n: int = 2, k_pos: int = 4, k_neg: int = 12, h: int = 16, teacher: str = "exact", queries: DataFrame | None = None, searches: int = SEARCHES, validation: DataFrame | None = None, spread: bool = False, **options) -> Fitted:
+def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds: str = "NR", n: int = 2, k_pos: int = 4, k_neg: int = 12, h: int = 16, teacher: str = "exact", queries: DataFrame | None = None, searches: int = SEARCHES, validation: DataFrame | None = None, spread: bool = False, features: Features | None = None, **options) -> Fitted:
     """The whole loop: scopes once, traces with the current quantizer and again at each refresh, then the fit. The model kept is
     the best by `check`: recall of a scan by codes for `validation` rows, which should not be in the base (without them, for some of the
     sample's own rows). Without `queries`, about `searches` rows picked by hash, at most TRACE_QUERIES, are searched for traces.
-    `spread`: features stay in the cluster and each step adds up partial sums there; then all anchors are used."""
-    f = neighbourhood_tables(base, edges, n, k_pos, k_neg) if spread else collect_neighbourhood(base, edges, n, k_pos, k_neg)
+    `spread`: features stay in the cluster and each step adds up partial sums there; then all anchors are used. `features`: scopes that
+    were collected before, and the start's traces if it has any."""
+    f = copy.copy(features) if features is not None else neighbourhood_tables(base, edges, n, k_pos, k_neg) if spread else collect_neighbourhood(base, edges, n, k_pos, k_neg)
     seen = sample(base) if spread else f.x
     if not spread and not len(f.anchors):
         f = Features(*_all(base))
@@ -381,14 +383,19 @@ def train(base: DataFrame, edges: DataFrame, entry: int, m: int, k: int, kinds:
     options["start"] = start
     options.setdefault("check", code_recall(seen, sample(validation, VALIDATION) if validation is not None else None))
     if "R" in kinds:
-        asked = queries if queries is not None else base.orderBy(hash_share("id"), "id").limit(min(TRACE_QUERIES, searches))
-        asked = materialize(asked.select("id", "vec"))
+        asked = materialize(queries.select("id", "vec") if queries is not None else searched(base, searches))
         collect = routing_tables if spread else collect_routing
-        collect(f, base, edges, entry, start, asked, h, teacher)
+        if spread or not len(f.q):
+            collect(f, base, edges, entry, start, asked, h, teacher)
         options.setdefault("refresh", lambda q: collect(f, base, edges, entry, q, asked, h, teacher))
     return fit(f, m, k, kinds, **options)
 
 
+def searched(base: DataFrame, searches: int = SEARCHES) -> DataFrame:
+    """(id, vec) of the rows that are searched for traces."""
+    return base.orderBy(hash_share("id"), "id").limit(min(TRACE_QUERIES, searches)).select("id", "vec")
+
+
 #: Validation rows of a fit.
 VALIDATION = 1000
 

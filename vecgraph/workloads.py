@@ -8,8 +8,9 @@ start the learned quantizer came from, and the same loop trained on reconstructi
 
 from __future__ import annotations
 
+import copy
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -19,7 +20,7 @@ from vecgraph import measures
 from vecgraph.functions.columns import hash_share
 from vecgraph.operators import exact, graphs, quantize
 from vecgraph.operators.sharded import ShardedIndex, stored_index
-from vecgraph.operators.walk import BANDWIDTH, BLOCK_BYTES, LATENCY_S, SHARD_ROWS, Kernel, assemble, searcher, sweep
+from vecgraph.operators.walk import BANDWIDTH, BLOCK_BYTES, LATENCY_S, SHARD_ROWS, Index, Kernel, assemble, searcher, sweep
 from vecgraph.session import CACHES, materialize
 from vecgraph.sources import sets
 from vecgraph.train import linkreg, loop, neural
@@ -130,9 +131,18 @@ class Lab:
         n, pos, neg = (options.pop(k, v) for k, v in (("n", 2), ("k_pos", 4), ("k_neg", 12)))
         options.setdefault("start", self.quantizer("opq"))
 
+        def scoped() -> loop.Features:
+            return self.features if (n, pos, neg) == (2, 4, 12) else loop.collect_neighbourhood(self.training, self.training_graph, n, pos, neg)
+
+        def traced(entry: int) -> loop.Features:
+            f = copy.copy(self.get(f"scopes:{n}:{pos}:{neg}", scoped, True))
+            loop.collect_routing(f, self.training, self.training_graph, entry, options["start"], materialize(loop.searched(self.training)), 16, teacher)
+            return f
+
         def make() -> loop.Fitted:
             entry = self.get("entry:training", lambda: graphs.entry_vertex(self.training), True)
-            return loop.train(self.training, self.training_graph, entry, self.m, self.k, kinds, n, pos, neg, teacher=teacher, steps=self.steps, every=max(1, self.steps // 4), size=128, seed=seed, validation=sets.validation_of(self.base), **options)
+            seen = self.get(f"traced:{teacher}:{n}:{pos}:{neg}", lambda: traced(entry)) if "R" in kinds else self.get(f"scopes:{n}:{pos}:{neg}", scoped, True)
+            return loop.train(self.training, self.training_graph, entry, self.m, self.k, kinds, n, pos, neg, teacher=teacher, steps=self.steps, every=max(1, self.steps // 4), refresh_every=max(1, self.steps // 2), size=128, seed=seed, validation=sets.validation_of(self.base), features=seen, **options)
 
         return self.get(f"fitted:{kinds}:{teacher}:{seed}:{n}:{pos}:{neg}", make)
 
@@ -161,6 +171,19 @@ class Lab:
             kernel = searcher(10, mode, model)
         return sweep(rows, ask, kernel, hs, 10)
 
+    def compared(self, kind: str, models: list[quantize.Quantizer], h: int) -> list[dict]:
+        """Recall, hops and distortion of code-only walks with several models of one shape, in one pass over index and base each:
+        codes are made where the vectors lie."""
+        rows, ask = self._asked(kind, models[0], True, "compared")
+
+        def kernel(idx: Index, ids: np.ndarray, q: np.ndarray, i: int):
+            return searcher(10, "code_only", models[i])(replace(idx, codes=models[i].encode(idx.vectors)), ids, q, h)
+
+        got = {s["h"]: s for s in self.scores(sweep(rows, ask, kernel, tuple(range(len(models))), 10), "code_only")}
+        error = lambda x: np.array([((m.turned(x) - m.decode(m.encode(x))) ** 2).sum() for m in models])
+        far = quantize.partial_sums(self.base, error, len(models)) / max(1, self.rows)
+        return [{"recall": got[i]["recall"], "hops": got[i]["hops"], "distortion": float(far[i])} for i in range(len(models))]
+
     def run(self, mode: str, kind: str, name: str, h: int = 16) -> DataFrame:
         return self.curve(mode, kind, name, (h,)).drop("h", "seconds")
 
@@ -216,40 +239,33 @@ def ablation(lab: Lab, mode: str = "code_only", kind: str = "spread", hs: tuple[
     return lab.spark.createDataFrame(rows, "name string, variant string, floor double, ceiling double, hops double, qps double, distortion double")
 
 
-def learning(lab: Lab, seeds: tuple[int, ...] = (1, 2, 3), mode: str = "code_only", kind: str = "spread", h: int = 16) -> DataFrame:
+def learning(lab: Lab, seeds: tuple[int, ...] = (1, 2, 3), kind: str = "spread", h: int = 16) -> DataFrame:
     """What training does to its start: for every variant and seed the start, the last model and the one kept, the step it was kept
-    at, its validation score, and recall, hops and distortion on the query fold."""
-    rows, known = [], {}
-
-    def measured(q: quantize.Quantizer, key: str) -> tuple:
-        if key not in known:
-            s = lab.scores(lab.curve(mode, kind, "gaq", (h,), q, key), mode)[0]
-            known[key] = round(s["recall"], 6), round(s["hops"], 6), round(quantize.distortion(lab.base, q), 6)
-        return known[key]
-
+    at, its validation score, and recall, hops and distortion on the query fold (code-only walks)."""
+    told, models = [], []
     for variant in ("gaq", "gaq_n", "gaq_r", "recon"):
         for seed in seeds:
             f = lab.fitted(*VARIANTS[variant], seed=seed)
             score = dict(f.scores)
-            key = f"{variant}:{seed}"
-            rows.append((lab.name, variant, seed, "start", 0, round(score[0], 6), *measured(f.start, "start")))
-            rows.append((lab.name, variant, seed, "last", f.steps, round(score[f.steps], 6), *measured(f.last, f"{key}:last")))
-            kept = "start" if f.step_kept == 0 else f"{key}:last" if f.step_kept == f.steps else f"{key}:kept"
-            rows.append((lab.name, variant, seed, "kept", f.step_kept, round(score[f.step_kept], 6), *measured(f.quantizer, kept)))
+            for which, step, q in (("start", 0, f.start), ("last", f.steps, f.last), ("kept", f.step_kept, f.quantizer)):
+                told.append((lab.name, variant, seed, which, step, round(score[step], 6)))
+                models.append(q)
+    rows = [(*t, round(g["recall"], 6), round(g["hops"], 6), round(g["distortion"], 6)) for t, g in zip(told, lab.compared(kind, models, h), strict=True)]
     return lab.spark.createDataFrame(rows, "name string, variant string, seed int, model string, step int, validation double, recall double, hops double, distortion double")
 
 
-def ratio_sweep(lab: Lab, ratios: tuple[float, ...] = (0.1, 0.2, 0.3, 0.5, 1.0, 2.0), total: int = 22, mode: str = "code_only", kind: str = "spread", hs: tuple[int, ...] = BEAMS) -> DataFrame:
-    """k_pos / k_neg with their sum fixed, both losses; the last model is measured as well, as the one kept may be the start."""
-    rows = []
+def ratio_sweep(lab: Lab, ratios: tuple[float, ...] = (0.1, 0.2, 0.3, 0.5, 1.0, 2.0), total: int = 22, kind: str = "spread", h: int = 16) -> DataFrame:
+    """k_pos / k_neg with their sum fixed, both losses; the last model is measured as well, as the one kept may be the start. Hops stand
+    for time: queries per second differ from call to call by more than ratios do."""
+    told, models = [], []
     for ratio in ratios:
         pos = max(1, round(total * ratio / (1 + ratio)))
         f = lab.fitted("NR", k_pos=pos, k_neg=total - pos)
-        for which, q in (("kept", f.quantizer), ("last", f.last)):
-            points = lab.scores(lab.curve(mode, kind, "gaq", hs, q, f"ratio:{ratio}:{which}"), mode)
-            best = max(p["recall"] for p in points)
-            rows.append((ratio, pos, total - pos, which, f.step_kept if which == "kept" else f.steps, round(points[0]["recall"], 6), round(best, 6), *(x if x is None else round(x, 4) for x in (at_floor(points, FLOORS[mode], "hops"), at_floor(points, FLOORS[mode], "qps")))))
-    return lab.spark.createDataFrame(rows, "ratio double, k_pos int, k_neg int, model string, step int, recall double, ceiling double, hops double, qps double")
+        for which, step, q in (("kept", f.step_kept, f.quantizer), ("last", f.steps, f.last)):
+            told.append((ratio, pos, total - pos, which, step, round(dict(f.scores)[step], 6)))
+            models.append(q)
+    rows = [(*t, round(g["recall"], 6), round(g["hops"], 6)) for t, g in zip(told, lab.compared(kind, models, h), strict=True)]
+    return lab.spark.createDataFrame(rows, "ratio double, k_pos int, k_neg int, model string, step int, validation double, recall double, hops double")
 
 
 def size_grid(spark: SparkSession, sf_dir: str, name: str, ms: tuple[int, ...] = (4, 8, 16), ks: tuple[int, ...] = (16, 64, 256), mode: str = "code_only", quantizers: tuple[str, ...] = ("opq", "gaq"), hs: tuple[int, ...] = (16, 32, 128), steps: int = 24) -> DataFrame:
