@@ -173,16 +173,16 @@ def config_matrix_text(spark, d):
 
 
 @query("""SELECT no::INT AS no, CASE WHEN no <= 4 THEN 'disk_tier' ELSE 'code_only' END AS mode, CASE WHEN no <= 4 THEN 'flat' WHEN no <= 9 THEN 'layered' ELSE 'spread' END AS graph,
-  5::BIGINT AS beams, true AS in_range, true AS reads_right, true AS wider_is_longer, true AS wider_finds_more FROM range(1, 14) t(no)""")
+  5::BIGINT AS beams, true AS in_range, true AS reads_right, true AS wider_is_longer, CASE WHEN no <= 4 THEN true END AS wider_finds_more FROM range(1, 14) t(no)""")
 def config_matrix_invariants(spark, d):
-    """What holds of every configuration: recall within 0 and 1, reads equal to hops on the disk tier and none without it, and with the
-    beam hops grow and recall at the widest is not below that at the narrowest (by more than a thirtieth: codes may order wrongly)."""
+    """What holds of every configuration: recall within 0 and 1, reads equal to hops on the disk tier and none without it; with the beam
+    hops grow, and so does recall on the disk tier (with codes alone it may fall: a wider list holds more that codes order wrongly)."""
     m = _matrix(spark, d, "skew")
     w = exact.Window.partitionBy("no").orderBy("h")
     grows = F.col("hops") >= F.coalesce(F.lag("hops").over(w), F.lit(0.0))
     right = F.when(F.col("mode") == "disk_tier", F.col("reads") == F.col("hops")).otherwise(F.col("reads") == 0)
     each = m.select("*", grows.alias("grows"), right.alias("right"))
-    more = F.max_by("recall", "h") >= F.min_by("recall", "h") - 1 / 30
+    more = F.when(F.first("mode") == "disk_tier", F.max_by("recall", "h") >= F.min_by("recall", "h"))
     return each.groupBy("no", "mode", "graph").agg(F.count("*").alias("beams"), F.min(F.col("recall").between(0, 1)).alias("in_range"), F.min("right").alias("reads_right"), F.min("grows").alias("wider_is_longer"), more.alias("wider_finds_more"))
 
 

@@ -194,17 +194,18 @@ class Lab:
         places = np.flatnonzero((idx.ids % 10 != 9) & (idx.ids % sets.QUERY_STEP != 0))
         return linkreg.fit_weights(idx, idx.vectors, model, links=8, entries=1, places=places)
 
-    def scores(self, found: DataFrame, mode: str) -> list[dict]:
-        """Per beam: recall, hops, reads, modelled I/O seconds a query, and queries per second of one thread (I/O included)."""
+    def scores(self, found: DataFrame, mode: str, truth: DataFrame | None = None) -> list[dict]:
+        """Per beam (against the truth of the lab's queries, or another): recall, hops, reads, modelled I/O seconds a query, and queries per second of one thread (I/O included)."""
         found = materialize(found)
-        asked, true = self.queries.count(), self.truth.count()
-        hit = found.join(self.truth.select("qid", "vid"), ["qid", "vid"], "left_semi").groupBy("h").agg(F.count("*").alias("hit"))
+        truth = self.truth if truth is None else truth
+        true = truth.count()
+        hit = found.join(truth.select("qid", "vid"), ["qid", "vid"], "left_semi").groupBy("h").agg(F.count("*").alias("hit"))
         per = found.groupBy("h", "qid").agg(*(F.max(c).alias(c) for c in ("hops", "reads", "seconds")))
         total = per.groupBy("h").agg(F.avg("hops").alias("hops"), F.avg("reads").alias("reads"), F.avg("seconds").alias("seconds"))
         out = []
         for r in total.join(hit, "h", "left").orderBy("h").collect():
             io = r.reads * (LATENCY_S + BLOCK_BYTES / BANDWIDTH) if mode == "disk_tier" else 0.0
-            out.append({"h": r.h, "recall": (r.hit or 0) / max(1, true), "hops": r.hops, "reads": r.reads, "io_s": io, "qps": 1 / (r.seconds + io), "queries": asked})
+            out.append({"h": r.h, "recall": (r.hit or 0) / max(1, true), "hops": r.hops, "reads": r.reads, "io_s": io, "qps": 1 / (r.seconds + io)})
         return out
 
 
