@@ -400,3 +400,41 @@ def test_scratch_tables_can_be_cleared(spark):
     assert session.materialize(spark.range(5)).count() == 5
     assert session.bucketed(spark.range(5), "id", 2).count() == 5
     assert session.clear_scratch(spark) == 2 and session.clear_scratch(spark) == 0
+
+
+def test_validation_scores_hold_no_matrix_of_all_distances():
+    """The score of many validation rows over many training rows stays in blocks and equals a full stable sort, copies' ties included."""
+    import tracemalloc
+
+    r = np.random.default_rng(5)
+    x, q = r.normal(size=(20_000, 8)), r.normal(size=(1000, 8))
+    x[50:400] = x[0]
+    model = quantize.Quantizer("pq", quantize.fit_books(x[:500], 2, 4, 5))
+    tracemalloc.start()
+    got = loop.code_recall(x, q)(model)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 1000 * 20_000 * 8
+    from vecgraph.functions.kernels import d2_blas
+
+    first = lambda d: np.argsort(d, 1, kind="stable")[:, :10]
+    true, near = first(d2_blas(q, x)), first(quantize.adc(model.lut(q), model.encode(x)))
+    assert got == (near[:, :, None] == true[:, None, :]).any(2).mean()
+
+
+def test_link_weights_are_fitted_in_blocks(monkeypatch):
+    """Normal equations added up block by block give the weights of one pass, and no block holds all decoded links."""
+    from vecgraph.operators.walk import Index
+    from vecgraph.train import linkreg
+
+    r = np.random.default_rng(6)
+    x = r.normal(size=(600, 8))
+    model = quantize.Quantizer("pq", quantize.fit_books(x, 2, 4, 5))
+    index = Index(np.arange(600), r.integers(0, 600, (600, 4)), 0, model.encode(x), x)
+    whole = [linkreg.fit_weights(index, x, model, links=3, entries=e) for e in (1, 2)]
+    seen, parts_of = [], linkreg.parts_of
+    monkeypatch.setattr(linkreg, "parts_of", lambda i, places, *a: seen.append(len(places)) or parts_of(i, places, *a))
+    monkeypatch.setattr(linkreg, "FIT_ROWS", 64)
+    for e, w in zip((1, 2), whole, strict=True):
+        assert np.allclose(linkreg.fit_weights(index, x, model, links=3, entries=e), w)
+    assert max(seen) == 64
