@@ -5,7 +5,7 @@ import pytest
 
 from vecgraph import measures
 from vecgraph.functions import kernels
-from vecgraph.operators import graphs, quantize, rotation, soft
+from vecgraph.operators import exact, graphs, quantize, rotation, soft
 from vecgraph.operators.walk import Index, code_distance, full_distance, walk
 from vecgraph.train import linkreg, loop, neural
 from vecgraph.train import loss as L
@@ -438,3 +438,26 @@ def test_link_weights_are_fitted_in_blocks(monkeypatch):
     for e, w in zip((1, 2), whole, strict=True):
         assert np.allclose(linkreg.fit_weights(index, x, model, links=3, entries=e), w)
     assert max(seen) == 64
+
+
+def test_fresh_search_asks_long_lists_of_short_queries_only(spark):
+    """Deletes around some queries: answers are those of the whole list, which only the queries that are short of answers ask for."""
+    from vecgraph.operators.fresh import FreshIndex
+
+    base = spark.createDataFrame([(i, [float(i)]) for i in range(200)], "id long, vec array<double>")
+    asked = []
+
+    def build(b):
+        def search(q, k):
+            asked.append((q.count(), k))
+            return exact.exact_knn(b, q, k)
+
+        return search
+
+    gone = spark.createDataFrame([(i,) for i in range(1, 41)], "vid long")
+    empty = spark.createDataFrame([], "vid long")
+    index = FreshIndex(base.where("id < 190"), build(base.where("id < 190")), base.limit(0), empty, build).insert(base.where("id >= 190")).delete(gone)
+    got = {(r.qid, r["rank"], r.vid) for r in index.search(base.where("id % 50 = 0"), 4, slack=190).collect()}
+    true = exact.exact_knn(base.join(gone.withColumnRenamed("vid", "id"), "id", "left_anti"), base.where("id % 50 = 0"), 4)
+    assert got == {(r.qid, r["rank"], r.vid) for r in true.select("qid", "rank", "vid").collect()}
+    assert asked[0] == (4, 8) and all(n == 1 for n, _ in asked[1:]) and asked[-1][1] < 194

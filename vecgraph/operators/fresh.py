@@ -32,11 +32,23 @@ class FreshIndex:
         return replace(self, delta=self.delta.join(gone.withColumnRenamed("vid", "id"), "id", "left_anti"), deleted=self.deleted.unionByName(gone).distinct())
 
     def search(self, queries: DataFrame, k: int, slack: int) -> DataFrame:
-        """(qid, rank, vid, d2): `slack` more answers are asked of the large index, so that deleted ones can go."""
-        main = self.search_main(queries, k + slack).select("qid", "vid", "d2").join(self.deleted, "vid", "left_anti")
-        main = main.join(self.delta.select(F.col("id").alias("vid")), "vid", "left_anti")
+        """(qid, rank, vid, d2): up to `slack` more answers are asked of the large index, so that deleted ones can go. Of an exact index
+        a longer list begins with the shorter one, so lists are asked twice as long only for queries that have fewer than k left."""
+        gone = self.deleted.select("vid").unionByName(self.delta.select(F.col("id").alias("vid"))).distinct()
+        width, most, left, main = k + min(slack, k), k + slack, queries, None
+        while True:
+            got = self.search_main(left, width).select("qid", "vid", "d2").join(gone, "vid", "left_anti").select("qid", "vid", "d2")
+            if width < most:
+                got = materialize(got)
+                done = got.groupBy("qid").agg(F.count("*").alias("n")).where(F.col("n") >= k).select("qid")
+                left = materialize(left.join(done.withColumnRenamed("qid", "id"), "id", "left_anti"))
+                got = got.join(done, "qid", "left_semi")
+            main = got if main is None else main.unionByName(got)
+            if width >= most or left.isEmpty():
+                break
+            width = min(most, 2 * width)
         new = exact_knn(self.delta, queries, k).select("qid", "vid", "d2")
-        return top(main.select("qid", "vid", "d2").unionByName(new), k).select("qid", "rank", "vid", "d2")
+        return top(main.unionByName(new), k).select("qid", "rank", "vid", "d2")
 
     def merge(self) -> FreshIndex:
         """Fold delta and deletes into a new large index."""
