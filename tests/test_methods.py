@@ -461,3 +461,23 @@ def test_fresh_search_asks_long_lists_of_short_queries_only(spark):
     true = exact.exact_knn(base.join(gone.withColumnRenamed("vid", "id"), "id", "left_anti"), base.where("id % 50 = 0"), 4)
     assert got == {(r.qid, r["rank"], r.vid) for r in true.select("qid", "rank", "vid").collect()}
     assert asked[0] == (4, 8) and all(n == 1 for n, _ in asked[1:]) and asked[-1][1] < 194
+
+
+def test_lid_of_equal_distances_is_null(spark):
+    """Neighbours that are copies of one row are equally far: no estimate, and no error."""
+    rows = [(1, 0.0), (1, 2.0), (1, 2.0), (2, 1.0), (2, 4.0)]
+    got = dict(measures.lid(spark.createDataFrame(rows, "qid long, d2 double")).collect())
+    assert got[1] is None and got[2] == pytest.approx(1 / (0.25 * np.log(4)))
+
+
+def test_lid_query_on_copies_equals_its_sql(spark, tmp_path):
+    import duckdb
+    from compare import same
+
+    from vecgraph.queries import ORACLES, QUERIES
+
+    rows = [(i, [1.0] + [0.0] * 63 if i % 50 else [float(i == 50), 2.0] + [0.0] * 62, 0) for i in range(60)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    duck = duckdb.connect()
+    duck.sql(f"create view embeddings as select * from '{tmp_path}/embeddings.parquet/*.parquet'")
+    same(QUERIES["lid"](spark, str(tmp_path)), duck.sql(ORACLES["lid"]))
