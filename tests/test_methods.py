@@ -481,3 +481,23 @@ def test_lid_query_on_copies_equals_its_sql(spark, tmp_path):
     duck = duckdb.connect()
     duck.sql(f"create view embeddings as select * from '{tmp_path}/embeddings.parquet/*.parquet'")
     same(QUERIES["lid"](spark, str(tmp_path)), duck.sql(ORACLES["lid"]))
+
+
+@pytest.mark.parametrize("name", ["code_size", "memory_budget", "model_bytes", "worked_example"])
+def test_small_examples_read_their_table(spark, tmp_path, name):
+    """Sizes and the worked example follow the given vectors: other vectors, other results."""
+    import duckdb
+    from compare import same
+
+    from vecgraph.queries import ORACLES, QUERIES
+
+    r, seen = np.random.default_rng(8), []
+    for n, dims in ((40, 64), (70, 64), (40, 128)) if name != "worked_example" else ((40, 64), (70, 64)):
+        rows = [(i, r.normal(size=dims).tolist(), 0) for i in range(n)]
+        spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/{n}_{dims}/embeddings.parquet")
+        duck = duckdb.connect()
+        duck.sql(f"create view embeddings as select * from '{tmp_path}/{n}_{dims}/embeddings.parquet/*.parquet'")
+        df = QUERIES[name](spark, f"{tmp_path}/{n}_{dims}")
+        same(df, duck.sql(ORACLES[name]))
+        seen.append(str(df.collect()))
+    assert len(set(seen)) > 1
