@@ -551,3 +551,16 @@ def test_suffixes_are_ordered():
         ends = end[np.searchsorted(end, order, "right")]
         keys = [data[i:e] for i, e in zip(order, ends, strict=True)]
         assert sorted(order.tolist()) == list(range(len(data))) and keys == sorted(keys)
+
+
+def test_index_segments_lie_in_row_groups_of_bounded_size(spark, monkeypatch):
+    """Writers and readers hold a row group: one of the index has few segments, however many its task has made."""
+    import pyarrow.dataset as ds
+
+    monkeypatch.setattr(decontaminate, "SEGMENT_BYTES", 200_000)
+    texts = [" ".join(f"w{(i * 7919 + j * 31) % 9973}" for j in range(4000)) for i in range(400)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)
+    index = decontaminate.build_index(df)
+    groups = [g for f in ds.dataset([p.removeprefix("file://") for p in index.inputFiles()]).get_fragments() for g in f.row_groups]
+    assert sum(g.num_rows for g in groups) == index.count() > 20
+    assert max(g.num_rows for g in groups) <= 3

@@ -112,7 +112,7 @@ def build_index(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
                 yield pa.RecordBatch.from_arrays([pa.array([c], pa.list_(t)) for c, t in zip(cols, kinds, strict=True)], names)
 
     rows = id_text(docs, id_col, text_col)
-    return materialize(rows.select("doc_id", *row_keys(), "text").mapInArrow(run, INDEX))
+    return materialize(rows.select("doc_id", *row_keys(), "text").mapInArrow(run, INDEX), SEGMENT_BYTES)
 
 
 def anchors(test: TestSet, rarity: np.ndarray) -> np.ndarray:
