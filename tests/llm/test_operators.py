@@ -6,6 +6,7 @@ import re
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 pytest.importorskip("vecgraph.llm")
@@ -15,6 +16,7 @@ import xxhash  # noqa: E402
 from pyspark.sql import functions as F  # noqa: E402
 
 from vecgraph.llm import bpe, decontaminate, fmindex, langid, linededup, queries, secrets, simhash, suffixarray, topk, urlfilter, windows  # noqa: E402
+from vecgraph.llm.common import small  # noqa: E402
 
 VOCAB = queries.VOCABULARY
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, id long, h long, key string, hit long"
@@ -564,3 +566,20 @@ def test_index_segments_lie_in_row_groups_of_bounded_size(spark, monkeypatch):
     groups = [g for f in ds.dataset([p.removeprefix("file://") for p in index.inputFiles()]).get_fragments() for g in f.row_groups]
     assert sum(g.num_rows for g in groups) == index.count() > 20
     assert max(g.num_rows for g in groups) <= 3
+
+
+def test_workers_keep_one_operators_tables():
+    """A worker that goes on with another operator no longer holds the last one's tables (the pipeline's stages share workers)."""
+    import gc
+    import weakref
+
+    batch = pa.RecordBatch.from_pydict({"text": ["a b", None]})
+    space, vocab = weakref.ref(langid.space()), None
+    assert langid.space() is space()
+    assert [b.num_rows for b in small(iter([batch]), operator="langid")] == [2] and space() is not None
+    vocab = weakref.ref(bpe.vocabulary(bpe.content_of(VOCAB)))
+    gc.collect()
+    assert space() is None and vocab() is not None
+    assert [b.num_rows for b in small(iter([batch]))] == [2]
+    gc.collect()
+    assert vocab() is None

@@ -22,7 +22,6 @@ import json
 import struct
 import unicodedata
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -31,7 +30,7 @@ from pyspark.sql import DataFrame
 
 from vecgraph.session import ship
 
-from .common import column, id_text, small, strings
+from .common import column, id_text, kept, small, strings
 
 #: Parts up to which a scan of the rank array is used.
 SHORT = 256
@@ -169,9 +168,8 @@ class Vocabulary:
         return " ".join(self.text[i] for i in ids if i in self.text)
 
 
-@lru_cache(maxsize=2)
 def vocabulary(content: bytes) -> Vocabulary:
-    return Vocabulary(content)
+    return kept("bpe", content, lambda: Vocabulary(content))
 
 
 def content_of(path: str) -> bytes:
@@ -188,7 +186,7 @@ def _map(docs: DataFrame, vocab_path: str, schema: str, row, id_col: str, text_c
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         v = vocabulary(content.value)
-        for b in small(batches):
+        for b in small(batches, operator="bpe"):
             cols: list[list] = [[] for _ in names]
             for doc, text in zip(column(b, "doc_id").to_pylist(), strings(b), strict=True):
                 for c, x in zip(cols, (doc, *row(*v.encode(text or ""))), strict=True):

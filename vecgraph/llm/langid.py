@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from vecgraph.session import ship
 
-from .common import column, small, strings
+from .common import column, kept, small, strings
 
 #: Components of a hypervector.
 DIMS = 1024
@@ -107,9 +107,8 @@ class Space:
         return out
 
 
-@lru_cache(maxsize=2)
 def space(dims: int = DIMS) -> Space:
-    return Space(dims)
+    return kept("langid", dims, lambda: Space(dims))
 
 
 def fit(labelled: DataFrame, dims: int = DIMS, lang_col: str = "lang", text_col: str = "text") -> dict[str, np.ndarray]:
@@ -128,7 +127,7 @@ def fit(labelled: DataFrame, dims: int = DIMS, lang_col: str = "lang", text_col:
                 bundles[lang] = bundles.get(lang, 0) + v.astype(np.float64)
             weight.clear()
 
-        for b in small(batches):
+        for b in small(batches, operator="langid"):
             held: dict[str, list] = {}
             for lang, text in zip(column(b, "lang").to_pylist(), strings(b), strict=True):
                 grams, n = trigrams(text or "")
@@ -161,7 +160,7 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], text_col: str =
     matrix = np.stack([prototypes[n] / (np.linalg.norm(prototypes[n]) or 1) for n in names]).astype(np.float32) if names else None
 
     def label(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in small(batches, text_col):
+        for b in small(batches, text_col, operator="langid"):
             langs, scores = [], []
             for text in strings(b, text_col):
                 grams, n = trigrams(text or "")
