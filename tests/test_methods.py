@@ -501,3 +501,13 @@ def test_small_examples_read_their_table(spark, tmp_path, name):
         same(df, duck.sql(ORACLES[name]))
         seen.append(str(df.collect()))
     assert len(set(seen)) > 1
+
+
+def test_sharded_search_settles_its_beam(spark, tmp_path):
+    """Where two cells and a beam of 32 find too little, as on these rows, more are asked, by the recall measured on the validation fold."""
+    from vecgraph.queries import QUERIES
+
+    x = np.random.default_rng(5).normal(size=(6000, 64)).astype(np.float32)
+    spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    (r,) = QUERIES["sharded_search"](spark, str(tmp_path)).collect()
+    assert (r.answers, r.queries) == (1200, 120) and r.ordered and r.others and r.mostly_found
