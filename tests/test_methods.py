@@ -511,3 +511,25 @@ def test_sharded_search_settles_its_beam(spark, tmp_path):
     spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
     (r,) = QUERIES["sharded_search"](spark, str(tmp_path)).collect()
     assert (r.answers, r.queries) == (1200, 120) and r.ordered and r.others and r.mostly_found
+
+
+def test_fits_pass_over_the_drivers_rows_in_blocks(monkeypatch):
+    """Codes, scales and a network's outputs of many rows need less than the rows themselves beside them, and equal those of parts."""
+    import tracemalloc
+
+    from vecgraph.train import neural
+
+    monkeypatch.setattr(quantize, "BLOCK_CELLS", 1 << 20, raising=False)
+    x = np.random.default_rng(8).normal(size=(200_000, 32))
+    model = quantize.Quantizer("opq", quantize.fit_books(x[:500], 4, 16, 3), np.eye(32)[::-1].copy())
+    f, none = loop.Features(np.arange(len(x)), x), np.zeros((1, 1), int)
+    peaks, out = [], []
+    for run in (lambda: model.encode(x), lambda: f.scales(model), lambda: neural.train_neural(x, (none[0], none, none), 1, 2, d_out=8, steps=1, size=4)):
+        tracemalloc.start()
+        out.append(run())
+        peaks.append(tracemalloc.get_traced_memory()[1])
+        tracemalloc.stop()
+    assert max(peaks) < 1.7 * x.nbytes, peaks
+    assert peaks[0] < x.nbytes and peaks[1] < x.nbytes
+    assert (out[0][:1000] == model.encode(x[:1000])).all() and (out[0][-1000:] == model.encode(x[-1000:])).all()
+    assert np.allclose(out[1], (np.sqrt((x**2).mean()), ((model.turned(x) - model.decode(out[0])) ** 2).sum(1).mean()))
