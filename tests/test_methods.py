@@ -513,6 +513,14 @@ def test_sharded_search_settles_its_beam(spark, tmp_path):
     assert (r.answers, r.queries) == (1200, 120) and r.ordered and r.others and r.mostly_found
 
 
+def test_settling_without_rows_keeps_the_beam(spark, sf_dir):
+    from vecgraph.operators.sharded import ShardedIndex
+    from vecgraph.queries.common import Setting
+
+    s = Setting(spark, sf_dir)
+    assert ShardedIndex.build(s.base, s.model, 3).settle(s.base, s.base.where("false"), 0.5, 1, 4, 5) == (1, 4, 0.0)
+
+
 def test_fits_pass_over_the_drivers_rows_in_blocks(monkeypatch):
     """Codes, scales and a network's outputs of many rows need less than the rows themselves beside them, and equal those of parts."""
     import tracemalloc
