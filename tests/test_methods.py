@@ -541,3 +541,40 @@ def test_fits_pass_over_the_drivers_rows_in_blocks(monkeypatch):
     assert peaks[0] < x.nbytes and peaks[1] < x.nbytes
     assert (out[0][:1000] == model.encode(x[:1000])).all() and (out[0][-1000:] == model.encode(x[-1000:])).all()
     assert np.allclose(out[1], (np.sqrt((x**2).mean()), ((model.turned(x) - model.decode(out[0])) ** 2).sum(1).mean()))
+
+
+def test_nearest_leaves_out_nothing_that_counts(spark):
+    """As all pairs sorted by (distance, id), on ties, copies, far-off and non-finite rows, repeated ids and few rows."""
+    rng = np.random.default_rng(3)
+    sets_ = [rng.standard_normal((900, 16)), rng.integers(0, 3, (900, 4)) / 50, 1e6 + rng.standard_normal((900, 8)), np.repeat(rng.random((9, 8)), 100, 0), np.zeros((900, 2)), rng.random((900, 3)) * 1e160, np.where(rng.random((900, 3)) < 0.01, np.nan, 1.0)]
+    for x in sets_:
+        ids = rng.permutation(900) // 2 * 2 - 400
+        for k, own in ((5, False), (1, True), (1000, False)):
+            near = exact.Nearest(ids[:50], x[:50], k, own)
+            for i in range(0, 900, 250):
+                near.add(ids[i : i + 250], x[i : i + 250])
+            with np.errstate(all="ignore"):
+                d = exact.d2_pairs(x[:50], x)
+            if not own:
+                d[ids[:50, None] == ids[None]] = np.inf
+            order = np.lexsort((np.broadcast_to(ids, d.shape), d))[:, :k]
+            want = [(int(ids[q]), int(ids[v]), d[q, v]) for q in range(50) for v in order[q] if np.isfinite(d[q, v])]
+            (got,) = near.out()
+            assert list(zip(*(c.to_pylist() for c in got.columns), strict=True)) == want
+
+
+def test_all_pairs_send_few_copies():
+    """The base goes out once per block and the queries once per part: 251 blocks and 100 parts before, for a gigabyte of documents."""
+    for n in (1, 2000, 10_000, 102_564, 512_820):
+        for tasks in (4, 12, 100):
+            blocks, parts = exact.grid(n, tasks, exact.BLOCK, exact.WIDEST)
+            assert blocks * parts >= tasks and -(-n // blocks) <= exact.WIDEST
+            assert blocks <= max(1, round(tasks**0.5), -(-n // exact.WIDEST))
+    assert sum(exact.grid(512_820, 100, exact.BLOCK, exact.WIDEST)) < 25
+
+
+def test_aggregated_sets_are_worked_out_once(spark, sf_dir):
+    from vecgraph.plans import checks
+    from vecgraph.queries.common import Setting
+
+    assert checks.count(Setting(spark, sf_dir, "text").base, "Exchange") == 0
