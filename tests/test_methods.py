@@ -578,3 +578,29 @@ def test_aggregated_sets_are_worked_out_once(spark, sf_dir):
     from vecgraph.queries.common import Setting
 
     assert checks.count(Setting(spark, sf_dir, "text").base, "Exchange") == 0
+
+
+def test_hops_to_nearest_of_many_queries(spark):
+    """Against breadth first by hand on a directed graph: more queries than a word has bits, vertices that don't reach the nearest one."""
+    from vecgraph.operators.features import hops_to_nearest
+
+    rng = np.random.default_rng(5)
+    n = 180
+    x = rng.random((n, 3))
+    edges = {(int(a), int(b)) for a, b in rng.integers(0, n, (700, 2)) if a != b}
+    base = spark.createDataFrame([(i, x[i].tolist()) for i in range(n)], "id long, vec array<double>")
+    links = spark.createDataFrame(sorted(edges), "src long, dst long")
+    queries = base.where("id < 150")
+    want = {}
+    d = exact.d2_pairs(x, x) + np.diag(np.full(n, np.inf))
+    for q in range(150):
+        ring, hop = {int(d[q].argmin())}, 0
+        while ring:
+            want |= {(q, v): hop for v in ring}
+            ring, hop = {a for a, b in edges if b in ring and (q, a) not in want}, hop + 1
+    rows = lambda df: {(r.qid, r.vid): r.hops for r in df.collect()}
+    assert rows(hops_to_nearest(base, queries, links)) == want
+    wanted = [(q, v) for q in range(150) for v in range(q % 7, n, 7)]
+    got = rows(hops_to_nearest(base, queries, links, spark.createDataFrame(wanted + wanted[:9], "qid long, vid long")))
+    assert got == {p: want[p] for p in wanted if p in want}
+    assert rows(hops_to_nearest(base, queries.limit(0), links)) == {}
