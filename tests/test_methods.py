@@ -604,3 +604,31 @@ def test_hops_to_nearest_of_many_queries(spark):
     got = rows(hops_to_nearest(base, queries, links, spark.createDataFrame(wanted + wanted[:9], "qid long, vid long")))
     assert got == {p: want[p] for p in wanted if p in want}
     assert rows(hops_to_nearest(base, queries.limit(0), links)) == {}
+
+
+def test_walk_by_joins_stores_links_with_codes_once(spark, sf_dir, monkeypatch):
+    """One stored table for all hops, and the walk's own answers, also from a vertex whose links lead nowhere."""
+    from vecgraph.operators import walk as walks
+
+    stored = []
+    monkeypatch.setattr(walks, "bucketed", lambda df, key, n, put=walks.bucketed: stored.append(key) or put(df, key, n))
+    x = np.random.default_rng(2).random((40, 8))
+    base = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>")
+    model = quantize.seeded_books(base, 4, 8)
+    pairs = [(i, (i * 3 + j) % 39) for i in range(39) for j in (1, 2, 5)] + [(0, 39)]  # 39 has no links
+    links = spark.createDataFrame(pairs, "src long, dst long")
+    queries = base.where("id in (0, 10, 39)")
+    got = {(r.qid, r["rank"]): (r.vid, r.hops) for r in walks.beam_search_joins(quantize.encode(base, model), links, quantize.build_lut(queries, model), 39, 6, 5).unionByName(walks.beam_search_joins(quantize.encode(base, model), links, quantize.build_lut(queries, model), 0, 6, 5)).collect() if r.hops > 1}
+    assert stored == ["nxt", "nxt"]
+    near = np.full((40, 4), -1)
+    for i in range(39):
+        own = sorted({d for s, d in pairs if s == i})
+        near[i, : len(own)] = own
+    q = np.array([0, 10, 39])
+    index = Index(np.arange(40), near, 0, model.encode(x), x)
+    w = walk(index, 3, code_distance(index, model.lut(x[q])), 6)
+    want = {}
+    for i in range(3):
+        found = [int(p) for p in w.place[i] if p >= 0 and p != q[i]][:5]
+        want |= {(int(q[i]), r + 1): (v, int(w.hops[i])) for r, v in enumerate(found)}
+    assert got == want
