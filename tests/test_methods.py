@@ -632,3 +632,29 @@ def test_walk_by_joins_stores_links_with_codes_once(spark, sf_dir, monkeypatch):
         found = [int(p) for p in w.place[i] if p >= 0 and p != q[i]][:5]
         want |= {(int(q[i]), r + 1): (v, int(w.hops[i])) for r, v in enumerate(found)}
     assert got == want
+
+
+def test_losses_of_all_rows_hold_blocks_only(monkeypatch):
+    """A step over every row holds soft codes of a block of them, and adds up to the same."""
+    rng = np.random.default_rng(4)
+    n = 600
+    f = loop.Features(np.arange(n), rng.random((n, 8)), np.arange(n), rng.integers(0, n, (n, 2)), rng.integers(0, n, (n, 3)))
+    f.q, f.hop, f.row, f.cand = np.arange(200), np.arange(200) % 4, np.repeat(np.arange(200), 3), rng.integers(0, n, 600)
+    f.target = (np.arange(600) % 3 == 1).astype(float)
+    at, r, books = loop.Step(1, 0, 0.3, 0.2, 0.1, True, False), np.eye(8), rng.random((2, 4, 4))
+    whole = {k: f.sums(k, at, 1 << 30, r, books) for k in ("N", "R", "C")}
+    held = []
+
+    class Soft(L.Soft):
+        def __init__(self, x, *more):
+            held.append(len(x))
+            super().__init__(x, *more)
+
+    monkeypatch.setattr(L, "Soft", Soft)
+    monkeypatch.setattr(quantize, "BLOCK_CELLS", 1 << 10)
+    for kinds, sums in whole.items():
+        for name, one in f.sums(kinds, at, 1 << 30, r, books).items():
+            assert one.count == sums[name].count and np.isclose(one.loss[name], sums[name].loss[name])
+            assert np.allclose(one.rotation, sums[name].rotation) and np.allclose(one.books, sums[name].books)
+    assert max(held) <= 64
+    assert not f.sums("N", at, 0, r, books)["nbr"].rotation.any()
