@@ -658,3 +658,29 @@ def test_losses_of_all_rows_hold_blocks_only(monkeypatch):
             assert np.allclose(one.rotation, sums[name].rotation) and np.allclose(one.books, sums[name].books)
     assert max(held) <= 64
     assert not f.sums("N", at, 0, r, books)["nbr"].rotation.any()
+
+
+@pytest.mark.parametrize("alpha", [1.0, 1.3])
+def test_pruning_many_in_step_is_pruning_each(alpha, monkeypatch):
+    """Groups of any size, with copies among the vectors: the same links as one vertex after the other, in few rounds of bounded blocks."""
+    rng = np.random.default_rng(7)
+    x = np.concatenate([rng.random((80, 6)), rng.integers(0, 2, (40, 6)).astype(float)])
+    vertex, sizes = rng.permutation(120)[:50], rng.integers(0, 60, 50)
+    cands = [np.setdiff1d(rng.permutation(120)[:n], [v]) for v, n in zip(vertex, sizes, strict=True)]
+    group, cand = np.repeat(np.arange(50), [len(c) for c in cands]), np.concatenate(cands)
+    order = rng.permutation(len(cand))
+    monkeypatch.setattr(graphs, "PRUNE_CELLS", 1 << 12)
+    kept = graphs.pruned(x, vertex, group[order], cand[order], 7, alpha)
+    for g, v in enumerate(vertex):
+        assert sorted(cand[order][kept & (group[order] == g)]) == sorted(graphs.prune(x, v, cands[g], 7, alpha))
+
+
+def test_pool_is_the_nearest_with_ties_by_place(monkeypatch):
+    """Copies at the last place: the smaller places are taken, in every block."""
+    x = np.random.default_rng(8).integers(0, 3, (700, 3)).astype(float)
+    monkeypatch.setattr(graphs, "POOL_CELLS", 700 * 50)
+    place, dist = graphs.pool_of(x, 9)
+    d = ((x[:, None] - x[None]) ** 2).sum(2)
+    np.fill_diagonal(d, np.inf)
+    want = np.lexsort((np.broadcast_to(np.arange(700), d.shape), d))[:, :9]
+    assert (place == want).all() and (dist == np.take_along_axis(d, want, 1)).all()
