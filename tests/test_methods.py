@@ -684,3 +684,15 @@ def test_pool_is_the_nearest_with_ties_by_place(monkeypatch):
     np.fill_diagonal(d, np.inf)
     want = np.lexsort((np.broadcast_to(np.arange(700), d.shape), d))[:, :9]
     assert (place == want).all() and (dist == np.take_along_axis(d, want, 1)).all()
+
+
+def test_fits_on_the_same_features_share_their_score(spark, sf_dir, monkeypatch):
+    """Several seeds: true neighbours of the validation rows are found once, and models and scores are as without sharing."""
+    from vecgraph import workloads
+
+    lab, made, real = workloads.Lab(spark, sf_dir, "skew", steps=4), [], loop.code_recall
+    monkeypatch.setattr(loop, "code_recall", lambda *a: made.append(1) or real(*a))
+    fits = [lab.fitted("C", seed=seed) for seed in (1, 2)]
+    assert len(made) == 1
+    own = loop.train(lab.training, lab.training_graph, 0, 8, 16, "C", steps=4, every=1, size=128, seed=2, start=lab.quantizer("opq"), validation=workloads.sets.validation_of(lab.base), features=lab.features)
+    assert fits[1].scores == own.scores and np.array_equal(fits[1].last.books, own.last.books)
