@@ -696,3 +696,38 @@ def test_fits_on_the_same_features_share_their_score(spark, sf_dir, monkeypatch)
     assert len(made) == 1
     own = loop.train(lab.training, lab.training_graph, 0, 8, 16, "C", steps=4, every=1, size=128, seed=2, start=lab.quantizer("opq"), validation=workloads.sets.validation_of(lab.base), features=lab.features)
     assert fits[1].scores == own.scores and np.array_equal(fits[1].last.books, own.last.books)
+
+
+def test_labs_follow_one_rule_at_every_size(spark, sf_dir, monkeypatch):
+    """Scores don't jump where rows pass SHARD_ROWS, and all queries ask all shards, which hold all rows."""
+    from vecgraph import workloads
+
+    got = []
+    monkeypatch.setattr(workloads, "CELL_ROWS", 100)
+    for most in (10_000, 400):
+        monkeypatch.setattr(workloads, "SHARD_ROWS", most)
+        lab = workloads.Lab(spark, sf_dir, "skew")
+        got.append([{k: s[k] for k in ("h", "recall", "hops", "reads")} for mode, kind in (("disk_tier", "flat"), ("code_only", "layered")) for s in lab.scores(lab.curve(mode, kind, "pq", (16,)), mode)])
+        rows, ask = lab._asked("flat", lab.quantizer("pq"), True, "pq")
+        sizes = [r["count"] for r in rows.groupBy("shard").count().collect()]
+        assert sum(sizes) == 500 and len(sizes) >= 3 and max(sizes) <= 300 and "shard" not in ask.columns
+    assert got[0] == got[1]
+
+
+def test_link_weights_are_of_all_training_rows(spark, sf_dir, monkeypatch):
+    """Shards' parts of the normal equations add up to those of all rows, however few rows a driver may hold."""
+    from vecgraph import workloads
+    from vecgraph.operators.walk import assemble
+
+    monkeypatch.setattr(workloads, "CELL_ROWS", 100)
+    monkeypatch.setattr(quantize, "TRAIN_ROWS", 20)
+    lab = workloads.Lab(spark, sf_dir, "skew")
+    model = quantize.seeded_books(lab.base, 8, 16)
+    rows, _ = lab._asked("spread", model, True, "pq")
+    left, right = np.zeros((9, 9)), np.zeros(9)
+    for shard in {r.shard for r in rows.select("shard").distinct().collect()}:
+        idx = assemble(rows.where(f"shard = {shard}").toArrow())
+        places = np.flatnonzero((idx.ids % 10 != 9) & (idx.ids % 50 != 0))
+        z, y = linkreg.parts_of(idx, places, model, 8), model.turned(idx.vectors[places])
+        left, right = left + np.einsum("nad,nbd->ab", z, z), right + np.einsum("nad,nd->a", z, y)
+    assert np.allclose(lab._weights(model, "spread")[0], np.linalg.solve(left + 1e-6 * np.eye(9), right))
