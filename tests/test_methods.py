@@ -731,3 +731,35 @@ def test_link_weights_are_of_all_training_rows(spark, sf_dir, monkeypatch):
         z, y = linkreg.parts_of(idx, places, model, 8), model.turned(idx.vectors[places])
         left, right = left + np.einsum("nad,nbd->ab", z, z), right + np.einsum("nad,nd->a", z, y)
     assert np.allclose(lab._weights(model, "spread")[0], np.linalg.solve(left + 1e-6 * np.eye(9), right))
+
+
+def test_balance_case_takes_no_sample(spark, sf_dir, monkeypatch):
+    """Its covariance, start, units and batches are of all training rows; batches' sums are those of the scopes of all rows."""
+    from vecgraph import workloads
+
+    lab = workloads.Lab(spark, sf_dir, "skew", steps=6)
+    x = quantize.sample(lab.training)
+    whole, start = lab.features, quantize.opq_of(x, 8, 16)[0]
+    monkeypatch.setattr(workloads, "CELL_ROWS", 200)
+
+    def never(*_, **__):
+        raise AssertionError("a sample")
+
+    for module in (quantize, graphs, loop):
+        monkeypatch.setattr(module, "sample", never)
+    lab.shared.pop("training_graph")
+    rows = workloads.balance_case(lab).collect()
+    assert np.allclose([r.before for r in rows], np.diag(np.cov(x.T)).reshape(8, -1).sum(1))
+    assert np.allclose(quantize.covariance(lab.training, 64), np.cov(x.T))
+    q, errors = quantize.opq_over(lab.training, 8, 16)
+    assert np.abs(q.rotation @ q.rotation.T - np.eye(64)).max() < 1e-10 and errors[-1] < errors[0]
+    far = lambda m: ((m.turned(x) - m.decode(m.encode(x))) ** 2).sum(1).mean()
+    assert far(q) < 1.2 * far(start)  # seeds differ by 16 % in where they end
+    lab.shared.pop("training_graph")
+    monkeypatch.undo()
+    some = loop.collect_drawn(lab.training, lab.training_graph, 2, 4, 12, start, 3, 64)
+    assert 0 < len(some.anchors) < len(whole.anchors) and np.allclose(some.scales(start), whole.scales(start))
+    for step in range(3):
+        at = loop.Step(1, step, 0.1, 1.0, 1.0, True, False)
+        a, b = (f.sums("N", at, 64, start.rotation, start.books)["nbr"] for f in (some, whole))
+        assert a.count == b.count and np.allclose(a.books, b.books)
