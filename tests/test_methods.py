@@ -763,3 +763,29 @@ def test_balance_case_takes_no_sample(spark, sf_dir, monkeypatch):
         at = loop.Step(1, step, 0.1, 1.0, 1.0, True, False)
         a, b = (f.sums("N", at, 64, start.rotation, start.books)["nbr"] for f in (some, whole))
         assert a.count == b.count and np.allclose(a.books, b.books)
+
+
+def test_a_hub_costs_other_vertices_nothing():
+    """A star of 3000 points: no matrix of vertices by the largest degree, and walks are those over such a matrix."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    from vecgraph.operators.walk import Links, assemble
+
+    n, r = 3000, np.random.default_rng(3)
+    x, ids = r.normal(size=(n, 16)), r.permutation(10 * n)[:n]
+    hub = int(ids.argmin())
+    nbrs = [[int(i) for i in np.delete(ids, hub)] if v == hub else [int(ids[hub]), int(ids[(v + 1) % n])] for v in range(n)]
+    rows = pa.table({"vid": ids, "nbrs": pa.array(nbrs, pa.list_(pa.int64())), "vec": kernels.lists(x), "entry": np.arange(n) == 7})
+    q = r.normal(size=(200, 16))
+    tracemalloc.start()
+    index = assemble(rows)
+    w = walk(index, len(q), full_distance(index, q), 8, trace=True)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert isinstance(index.neighbours, Links) and (index.ids == np.sort(ids)).all() and (index.vectors == x[np.argsort(ids)]).all()
+    assert peak < 180 << 20  # vertices by degree alone were 72 MB, a hop's differences of all queries to the hub's links 77 MB, three times
+    dense = Index(index.ids, index.neighbours[np.arange(n)], index.entry, vectors=index.vectors)
+    want = walk(dense, 20, full_distance(dense, q[:20]), 8)
+    assert (w.place[:20] == want.place).all() and (w.d[:20] == want.d).all() and (w.hops[:20] == want.hops).all()
