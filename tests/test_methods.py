@@ -789,3 +789,20 @@ def test_a_hub_costs_other_vertices_nothing():
     dense = Index(index.ids, index.neighbours[np.arange(n)], index.entry, vectors=index.vectors)
     want = walk(dense, 20, full_distance(dense, q[:20]), 8)
     assert (w.place[:20] == want.place).all() and (w.d[:20] == want.d).all() and (w.hops[:20] == want.hops).all()
+
+
+def test_codewords_move_in_one_pass_of_distances(monkeypatch):
+    """A round of k-means takes one pass, books are fitted without a last one for codes that nobody reads, and sums are added in order."""
+    x, passes, real = R.normal(size=(300, 8)), [], quantize.d2_blas
+    monkeypatch.setattr(quantize, "d2_blas", lambda a, b: passes.append(1) or real(a, b))
+    start = quantize.books_of(x[:5], 2)
+    books = quantize.fit_books(x, 2, 5, 3, start)
+    assert len(passes) == 2 * 3
+    for j, c in enumerate(start):
+        part = x[:, 4 * j : 4 * j + 4]
+        for _ in range(3):
+            code, s = real(part, c).argmin(1), np.zeros_like(c)
+            np.add.at(s, code, part)
+            n = np.bincount(code, minlength=5)[:, None]
+            c = np.where(n > 0, s / np.maximum(n, 1), c)
+        assert np.array_equal(books[j], c)
